@@ -218,7 +218,6 @@ def components(edges: DataFrame) -> DataFrame:
 def links(members: DataFrame, texts: DataFrame, least: float, small: int = 24, rounds: int = 6) -> DataFrame:
     """Verified links (a, b) between nodes that share a bucket: ``members(bucket, node)``, each bucket with two nodes or more."""
     found = tested = roots = None
-    used: list[DataFrame] = []
     for turn in range(rounds + 1):
         if roots is None:
             open_ = members.withColumn("root", F.col("node"))
@@ -228,7 +227,10 @@ def links(members: DataFrame, texts: DataFrame, least: float, small: int = 24, r
         state = salted.groupBy("bucket").agg(
             F.min("root").alias("low"), F.max("root").alias("high"), F.count("*").alias("size"), F.min(F.struct("draw", "node", "root")).alias("pick")
         ).where("low <> high")
-        state = state.select("bucket", "size", F.col("pick.node").alias("pick"), F.col("pick.root").alias("pick_root"))
+        state = written(state.select("bucket", "size", F.col("pick.node").alias("pick"), F.col("pick.root").alias("pick_root")), "state")
+        open_buckets, large = state.agg(F.count("*"), F.count_if(F.col("size") > small)).first()
+        if not open_buckets or turn > 1 and not large:  # small buckets were tried pair by pair at turn 1
+            break
         here = open_.select("bucket", "node", "root").join(state, "bucket")
         star = here.where((F.col("size") > small) | F.lit(turn == 0)).where(F.col("root") != F.col("pick_root")).select("pick", "node")
         pairs = star.select(F.least("pick", "node").alias("a"), F.greatest("pick", "node").alias("b"))
@@ -242,11 +244,8 @@ def links(members: DataFrame, texts: DataFrame, least: float, small: int = 24, r
             pairs = pairs.join(tested, ["a", "b"], "left_anti")
         pairs = written(pairs, "pairs")
         if pairs.isEmpty():
-            if turn == 0 or turn == rounds:
-                break
             continue
         good = written(verified(pairs, texts, least), "links")
-        used += [pairs, good]
         tested = pairs if tested is None else tested.unionByName(pairs)
         found = good if found is None else found.unionByName(good)
         if not good.isEmpty():

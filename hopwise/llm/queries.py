@@ -77,12 +77,13 @@ item AS (
   SELECT CAST(item_id AS VARCHAR) AS item_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), p) AS w
   FROM benchmark, pattern),
 win AS (
-  SELECT item_id, least(10, len(w)) AS k, array_to_string(w[i : i + least(10, len(w)) - 1], ' ') AS x
-  FROM (SELECT item_id, w, unnest(range(1, greatest(2, len(w) - 8))) AS i FROM item WHERE len(w) > 0)),
+  SELECT item_id, least(10, len(w)) AS k, unnest(list_transform(range(1, greatest(2, CAST(len(w) AS BIGINT) - 8)), lambda i: array_to_string(w[i : i + least(10, len(w)) - 1], ' '))) AS x
+  FROM item WHERE len(w) > 0),
 sizes AS (SELECT DISTINCT k FROM win),
 place AS (
-  SELECT doc_id, k, i, array_to_string(w[i : i + k - 1], ' ') AS x
-  FROM (SELECT doc_id, w, k, unnest(range(1, greatest(1, CAST(len(w) AS BIGINT) - k + 2))) AS i FROM doc, sizes)),
+  SELECT doc_id, k, unnest(range(1, greatest(1, CAST(len(w) AS BIGINT) - k + 2))) AS i,
+    unnest(list_transform(range(1, greatest(1, CAST(len(w) AS BIGINT) - k + 2)), lambda i: array_to_string(w[i : i + k - 1], ' '))) AS x
+  FROM doc, sizes),
 hit AS (SELECT place.doc_id, place.i, place.k, win.item_id FROM place JOIN (SELECT DISTINCT * FROM win) win ON place.k = win.k AND place.x = win.x),
 covered AS (SELECT doc_id, count(DISTINCT j) AS n FROM (SELECT doc_id, unnest(range(i, i + k)) AS j FROM hit) GROUP BY doc_id),
 met AS (SELECT doc_id, count(DISTINCT item_id) AS n, string_agg(DISTINCT item_id, ',' ORDER BY item_id) AS ids FROM hit GROUP BY doc_id)
@@ -96,7 +97,10 @@ WITH doc AS (
   SELECT doc_id, coalesce(source, '') AS host, coalesce(text, '') AS t,
     regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w
   FROM documents),
-win AS (SELECT doc_id, i, array_to_string(w[i : i + 2], ' ') AS x FROM (SELECT doc_id, w, unnest(range(1, greatest(1, CAST(len(w) AS BIGINT) - 1))) AS i FROM doc)),
+win AS (
+  SELECT doc_id, unnest(range(1, greatest(1, CAST(len(w) AS BIGINT) - 1))) AS i,
+    unnest(list_transform(range(1, greatest(1, CAST(len(w) AS BIGINT) - 1)), lambda i: array_to_string(w[i : i + 2], ' '))) AS x
+  FROM doc),
 twice AS (SELECT doc_id, x FROM win GROUP BY ALL HAVING count(*) > 1),
 repeated AS (
   SELECT doc_id, count(DISTINCT j) AS n
@@ -105,8 +109,8 @@ own_lines AS (SELECT doc_id, unnest(string_split(t, chr(10))) AS line FROM doc),
 dup AS (
   SELECT doc_id, count(*) - count(DISTINCT line) AS n FROM own_lines WHERE regexp_matches(line, '[^\x20\x09-\x0D]') GROUP BY doc_id),
 plain AS (
-  SELECT doc_id, host, i, regexp_extract_all(l[i], '[^\x20\x09-\x0D]+') AS w
-  FROM (SELECT *, unnest(range(1, len(l) + 1)) AS i FROM (
+  SELECT doc_id, host, i, regexp_extract_all(x, '[^\x20\x09-\x0D]+') AS w
+  FROM (SELECT doc_id, host, unnest(l) AS x, unnest(range(1, len(l) + 1)) AS i FROM (
     SELECT doc_id, host, string_split(regexp_replace(translate(t, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[0-9]', '0', 'g'), chr(10)) AS l FROM doc))),
 lines AS (
   SELECT doc_id, host, i, CAST(('0x' || substr(md5(array_to_string(w, ' ')), 1, 15)) AS BIGINT) AS h, len(w) AS n FROM plain WHERE len(w) > 0),
