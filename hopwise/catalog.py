@@ -1,4 +1,468 @@
-"""Registered queries of the hop-distance engine."""
+"""Registered queries of the hop-distance engine, and the SQL that must give the same rows.
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+Distances in SQL come from a depth-bounded recursive walk over the same tables; ``BOUND`` is beyond every distance
+of the graph. Selections, records and answers are then spelled out in SQL on top of the distances.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from .functions import masks
+from .operators import cohorts as C
+from .operators import landmarks as L
+from .operators import measures as M
+from .operators import search as S
+from .operators.twohop import TwoHopIndex, batch_sizes
+from .sources import graphs as G
+from .streaming import feeds
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+ORACLES: dict[str, str] = {}
+
+
+def register(name: str, run: Callable[[SparkSession, str], DataFrame], sql: str | None = None) -> None:
+    QUERIES[name] = run
+    if sql:
+        ORACLES[name] = sql
+
+
+# ---- graphs
+
+_ORDERED = "orders JOIN lineitem ON o_orderkey = l_orderkey"
+_NEAR = """SELECT a.doc_id AS src, b.doc_id AS dst FROM held a JOIN held b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY ALL"""
+PAIRS = {
+    "part_supplier": "SELECT 2 * l_partkey AS src, 2 * l_suppkey + 1 AS dst FROM lineitem",
+    "order_part": "SELECT 2 * l_orderkey AS src, 2 * l_partkey + 1 AS dst FROM lineitem",
+    "customer_part": f"SELECT 2 * o_custkey AS src, 2 * l_partkey + 1 AS dst FROM {_ORDERED}",
+    "customer_supplier": f"SELECT 2 * o_custkey AS src, 2 * l_suppkey + 1 AS dst FROM {_ORDERED}",
+    "customer_order": "SELECT 2 * o_custkey AS src, 2 * o_orderkey + 1 AS dst FROM orders",
+    "copurchase": "SELECT a.l_partkey AS src, b.l_partkey AS dst FROM lineitem a JOIN lineitem b ON a.l_orderkey = b.l_orderkey",
+    "nation_region": "SELECT 1000 + n_nationkey AS src, 1 + n_regionkey AS dst FROM nation UNION ALL SELECT 10000 + s_suppkey, 1000 + s_nationkey FROM supplier",
+    "page_link": "SELECT page_id AS src, 1000000000 + dense_rank() OVER (ORDER BY t) AS dst FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS t FROM pages)",
+    "event_flow": "SELECT user_id AS src, lead(user_id) OVER (PARTITION BY date_trunc('hour', ts) ORDER BY ts, event_id) AS dst FROM events",
+    "turn_path": "SELECT a.conv_id * 1000 + a.turn AS src, b.conv_id * 1000 + b.turn AS dst FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND a.turn + 1 = b.turn",
+    "embedding_knn": """SELECT vec_id AS src, o AS dst FROM (SELECT a.vec_id, b.vec_id AS o, row_number() OVER (PARTITION BY a.vec_id ORDER BY
+        round(list_dot_product(a.x, b.x) / (sqrt(list_dot_product(a.x, a.x)) * sqrt(list_dot_product(b.x, b.x))), 9) DESC, b.vec_id) AS r
+        FROM (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS x FROM embeddings) a, (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS x FROM embeddings) b WHERE a.vec_id <> b.vec_id) WHERE r <= 4""",
+    "near_duplicate": """SELECT a.doc_id AS src, b.doc_id AS dst FROM
+        (SELECT doc_id, g FROM grams WHERE g IN (SELECT g FROM grams GROUP BY g HAVING count(*) BETWEEN 2 AND 50)) a JOIN grams b ON a.g = b.g AND a.doc_id < b.doc_id""",
+}
+_GRAMS = """grams AS (SELECT DISTINCT doc_id, unnest(list_transform(range(1, greatest(1, CAST(len(w) AS BIGINT) - 3)), lambda i: array_to_string(w[i : i + 4], ' '))) AS g
+        FROM (SELECT doc_id, regexp_extract_all(lower(text), '[a-z]+') AS w FROM documents))"""
+BOUND = {"part_supplier": 7, "customer_part": 7, "copurchase": 5, "page_link": 18, "nation_region": 7, "customer_order": 4, "embedding_knn": 10, "turn_path": 9}
+
+
+def edges_sql(name: str, directed: bool = False) -> str:
+    """CTEs that end in e(src, dst)."""
+    back = "" if directed else " UNION ALL SELECT dst, src FROM p"
+    extra = _GRAMS + ", " if name == "near_duplicate" else ""
+    return f"{extra}p AS ({PAIRS[name]}), e AS (SELECT DISTINCT CAST(src AS BIGINT) AS src, CAST(dst AS BIGINT) AS dst FROM (SELECT src, dst FROM p{back}) WHERE src <> dst)"
+
+
+def walk_sql(name: str, sources: str, directed: bool = False, bound: int | None = None) -> str:
+    """The edges, deg(v, deg), src(s), and dist(s, v, dist)."""
+    return f"""WITH RECURSIVE {edges_sql(name, directed)}, deg AS (SELECT src AS v, count(*) AS deg FROM e GROUP BY src), {sources},
+    walk(s, v, dist) AS (SELECT s, s, 0 FROM src UNION SELECT walk.s, e.dst, walk.dist + 1 FROM walk JOIN e ON e.src = walk.v WHERE walk.dist < {bound or BOUND[name]}),
+    dist AS (SELECT s, v, min(dist) AS dist FROM walk GROUP BY s, v)"""
+
+
+_TOP = "src AS (SELECT v AS s FROM deg ORDER BY deg DESC, v LIMIT {n})"
+
+
+def star_sql(w: int) -> str:
+    """mem(s, bit) and src(s): the vertex of the highest degree and its w-1 best neighbours."""
+    return f"""anchor AS (SELECT v FROM deg ORDER BY deg DESC, v LIMIT 1),
+    best AS (SELECT deg.v, deg.deg FROM e JOIN anchor ON e.src = anchor.v JOIN deg ON deg.v = e.dst ORDER BY deg DESC, deg.v LIMIT {w - 1}),
+    mem AS (SELECT v AS s, CAST(0 AS BIGINT) AS bit FROM anchor UNION ALL SELECT v, row_number() OVER (ORDER BY deg DESC, v) FROM best), src AS (SELECT s FROM mem)"""
+
+
+def two_stars_sql(w: int) -> str:
+    """mem(cid, s, bit) of the first two cohorts at d = 2."""
+    return f"""c0 AS (SELECT v FROM deg ORDER BY deg DESC, v LIMIT 1),
+    m0 AS (SELECT v, CAST(0 AS BIGINT) AS bit FROM c0 UNION ALL SELECT v, row_number() OVER (ORDER BY deg DESC, v) FROM
+      (SELECT deg.v, deg.deg FROM e JOIN c0 ON e.src = c0.v JOIN deg ON deg.v = e.dst ORDER BY deg DESC, deg.v LIMIT {w - 1})),
+    c1 AS (SELECT v FROM deg WHERE v NOT IN (SELECT v FROM m0) ORDER BY deg DESC, v LIMIT 1),
+    m1 AS (SELECT v, CAST(0 AS BIGINT) AS bit FROM c1 UNION ALL SELECT v, row_number() OVER (ORDER BY deg DESC, v) FROM
+      (SELECT deg.v, deg.deg FROM e JOIN c1 ON e.src = c1.v JOIN deg ON deg.v = e.dst WHERE deg.v NOT IN (SELECT v FROM m0) ORDER BY deg DESC, deg.v LIMIT {w - 1})),
+    mem AS (SELECT 0 AS cid, v AS s, bit FROM m0 UNION ALL SELECT 1, v, bit FROM m1), src AS (SELECT s FROM mem)"""
+
+
+_RECORDS = """ SELECT v, base, off, bit_or(CAST(1 AS BIGINT) << bit) AS mask FROM
+    (SELECT v, bit, min(dist) OVER (PARTITION BY v) AS base, dist - min(dist) OVER (PARTITION BY v) AS off FROM dist JOIN mem USING (s)) GROUP BY v, base, off"""
+
+
+def long_records(arrivals: DataFrame) -> DataFrame:
+    base = F.min("round").over(Window.partitionBy("v", "cid", "word"))
+    return arrivals.withColumn("base", base).select("v", "base", (F.col("round") - F.col("base")).alias("off"), F.col("fresh").alias("mask"))
+
+
+for _name, _build in G.BUILDERS.items():
+    register(f"edges_{_name}", lambda s, d, b=_build: b(s, d).edges, f"WITH {edges_sql(_name)} SELECT src, dst FROM e")
+register("edges_page_link_directed", lambda s, d: G.page_link(s, d, directed=True).edges, f"WITH {edges_sql('page_link', True)} SELECT src, dst FROM e")
+
+
+def graph_inventory(spark: SparkSession, d: str) -> DataFrame:
+    out = None
+    for name in ("part_supplier", "order_part", "customer_part", "copurchase", "customer_order", "page_link", "turn_path"):
+        one = G.BUILDERS[name](spark, d).vertices.agg(F.count("*").alias("n"), F.sum("deg").alias("m"), F.max("deg").alias("max_deg")).select(F.lit(name).alias("graph"), "n", "m", "max_deg")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+register(
+    "graph_inventory",
+    graph_inventory,
+    " UNION ALL ".join(
+        f"SELECT '{n}' AS graph, count(*) AS n, CAST(sum(deg) AS BIGINT) AS m, max(deg) AS max_deg FROM (WITH {edges_sql(n)} SELECT src, count(*) AS deg FROM e GROUP BY src)"
+        for n in ("part_supplier", "order_part", "customer_part", "copurchase", "customer_order", "page_link", "turn_path")
+    ),
+)
+register("degree_histogram", lambda s, d: G.customer_part(s, d).vertices.groupBy("deg").agg(F.count("*").alias("n")), f"WITH {edges_sql('customer_part')} SELECT deg, count(*) AS n FROM (SELECT src, count(*) AS deg FROM e GROUP BY src) GROUP BY deg")
+
+# ---- searches
+
+PS = "part_supplier"
+
+
+def _ps(spark: SparkSession, d: str) -> G.HopGraph:
+    return G.part_supplier(spark, d).cached()
+
+
+def _bfs_top(mode: str) -> Callable[[SparkSession, str], DataFrame]:
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        g = _ps(spark, d)
+        return S.bfs_each(g, C.pick_landmarks(g, 1), mode).select("v", "dist")
+
+    return run
+
+
+_ONE = walk_sql(PS, _TOP.format(n=1)) + " SELECT v, dist FROM dist"
+for _m in ("push", "pull", "auto"):
+    register(f"bfs_single_{_m}", _bfs_top(_m), _ONE)
+
+
+def bfs_many(n: int, sequential: bool = False) -> Callable[[SparkSession, str], DataFrame]:
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        g = _ps(spark, d)
+        top = C.pick_landmarks(g, n)
+        return S.bfs_sequential(g, [r["s"] for r in top.collect()]) if sequential else S.bfs_each(g, top)
+
+    return run
+
+
+register("bfs_each_64", bfs_many(64), walk_sql(PS, _TOP.format(n=64)) + " SELECT s, v, dist FROM dist")
+register("bfs_one_by_one", bfs_many(2, True), walk_sql(PS, _TOP.format(n=2)) + " SELECT s, v, dist FROM dist")
+
+
+def bfs_directed(spark: SparkSession, d: str) -> DataFrame:
+    g = G.page_link(spark, d, directed=True).cached()
+    return S.bfs_each(g, C.pick_landmarks(g, 5))
+
+
+register("bfs_directed_page", bfs_directed, walk_sql("page_link", _TOP.format(n=5), True) + " SELECT s, v, dist FROM dist")
+
+
+def bfs_forest(spark: SparkSession, d: str) -> DataFrame:
+    g = G.customer_order(spark, d).cached()
+    found = S.bfs(g, C.pick_landmarks(g, 1).first()["s"])
+    return g.vertices.join(found, "v", "left").groupBy("dist").agg(F.count("*").alias("n"))
+
+
+register(
+    "bfs_forest_unreached", bfs_forest, walk_sql("customer_order", _TOP.format(n=1)) + " SELECT dist, count(*) AS n FROM deg LEFT JOIN dist USING (v) GROUP BY dist"
+)
+register("bfs_stopped_at_2", lambda s, d: (lambda g: S.bfs_each(g, C.pick_landmarks(g, 3), stop_after=2))(_ps(s, d)), walk_sql(PS, _TOP.format(n=3), bound=2) + " SELECT s, v, dist FROM dist")
+
+
+def eccentricity(spark: SparkSession, d: str) -> DataFrame:
+    g = _ps(spark, d)
+    return S.bfs_each(g, C.pick_landmarks(g, 8)).groupBy("s").agg(F.max("dist").alias("ecc"))
+
+
+register("eccentricity", eccentricity, walk_sql(PS, _TOP.format(n=8)) + " SELECT s, max(dist) AS ecc FROM dist GROUP BY s")
+
+# ---- cluster sweeps
+
+
+def sweep(w: int, mode: str = "push", delta: bool = True, gate: bool = True, graph: str = PS) -> Callable[[SparkSession, str], DataFrame]:
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        g = G.BUILDERS[graph](spark, d).cached()
+        return long_records(S.cluster_sweep(g, C.pick_cohorts(g, 1, w), 2 if gate else None, mode, delta))
+
+    return run
+
+
+for _w in (8, 16, 32, 63):
+    register(f"sweep_star_w{_w}", sweep(_w), walk_sql(PS, star_sql(_w)) + _RECORDS)
+for _label, _run in (("pull", sweep(16, "pull")), ("auto", sweep(16, "auto")), ("seen_messages", sweep(16, delta=False)), ("no_gate", sweep(16, gate=False))):
+    register(f"sweep_{_label}", _run, walk_sql(PS, star_sql(16)) + _RECORDS)
+register("sweep_copurchase", sweep(32, graph="copurchase"), walk_sql("copurchase", star_sql(32)) + _RECORDS)
+
+
+def _star_run(make: Callable[[G.HopGraph, DataFrame], DataFrame]) -> Callable[[SparkSession, str], DataFrame]:
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        g = _ps(spark, d)
+        return make(g, C.pick_cohorts(g, 1, 16))
+
+    return run
+
+
+register("sweep_postprocess", _star_run(lambda g, c: long_records(S.sweep_postprocess(g, c))), walk_sql(PS, star_sql(16)) + _RECORDS)
+register("star_sweep", _star_run(lambda g, c: long_records(S.star_sweep(g, c))), walk_sql(PS, star_sql(16)) + _RECORDS)
+register(
+    "sweep_explode",
+    _star_run(lambda g, c: S.explode_records(S.records(S.cluster_sweep(g, c, 2), 2), c).select("s", "v", "dist")),
+    walk_sql(PS, star_sql(16)) + " SELECT s, v, dist FROM dist",
+)
+register(
+    "record_lookup",
+    _star_run(lambda g, c: S.records(S.cluster_sweep(g, c, 2), 2).select("v", masks.record_distance(F.col("base"), F.col("m"), F.lit(3)).alias("dist"))),
+    walk_sql(PS, star_sql(16)) + " SELECT v, dist FROM dist JOIN mem USING (s) WHERE bit = 3",
+)
+register("cohort_diameter", _star_run(lambda g, c: C.cohort_diameter(g, c).select("diameter")), walk_sql(PS, star_sql(16)) + " SELECT max(dist) AS diameter FROM dist JOIN mem m ON dist.v = m.s")
+register("cohorts_star", _star_run(lambda g, c: c.select("s", F.col("bit").cast("long").alias("bit"))), f"WITH {edges_sql(PS)}, deg AS (SELECT src AS v, count(*) AS deg FROM e GROUP BY src), {star_sql(16)} SELECT s, bit FROM mem")
+
+
+def sweep_many(spark: SparkSession, d: str) -> DataFrame:
+    g = _ps(spark, d)
+    c = C.pick_cohorts(g, 2, 16)
+    return S.explode_records(S.records(S.cluster_sweep(g, c, 2), 2), c)
+
+
+register("sweep_many_cohorts", sweep_many, walk_sql(PS, two_stars_sql(16)) + " SELECT cid, s, v, dist FROM dist JOIN mem USING (s)")
+
+
+def sweep_wide(spark: SparkSession, d: str) -> DataFrame:
+    g = _ps(spark, d)
+    c = C.pick_cohorts(g, 1, 100)
+    return S.explode_records(S.records(S.cluster_sweep(g, c, 2), 2), c).select("s", "v", "dist")
+
+
+register("sweep_k_over_w", sweep_wide, walk_sql(PS, star_sql(100)) + " SELECT s, v, dist FROM dist")
+
+
+def sweep_directed(spark: SparkSession, d: str) -> DataFrame:
+    g = G.page_link(spark, d, directed=True).cached()
+    marks = C.pick_landmarks(g, 16)
+    c = marks.select(F.lit(0).alias("cid"), (F.col("rank") - 1).alias("bit"), "s")
+    arrivals = S.cluster_sweep(g, c, None)
+    return arrivals.select("v", "round", F.bit_count("fresh").cast("long").alias("members"))
+
+
+register("sweep_directed", sweep_directed, walk_sql("page_link", _TOP.format(n=16), True) + " SELECT v, dist AS round, count(*) AS members FROM dist GROUP BY v, dist")
+
+
+def sweep_general(d_: int) -> Callable[[SparkSession, str], DataFrame]:
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        g = G.page_link(spark, d).cached()
+        c = C.pick_cohorts(g, 1, 32, d_)
+        return long_records(S.cluster_sweep(g, c, d_))
+
+    return run
+
+
+def _ball_sql(radius: int, w: int) -> str:
+    return f"""anchor AS (SELECT v FROM deg ORDER BY deg DESC, v LIMIT 1),
+    near(v, n) AS (SELECT v, 0 FROM anchor UNION SELECT e.dst, near.n + 1 FROM near JOIN e ON e.src = near.v WHERE near.n < {radius}),
+    best AS (SELECT DISTINCT deg.v, deg.deg FROM near JOIN deg USING (v) WHERE deg.v NOT IN (SELECT v FROM anchor) ORDER BY deg.deg DESC, deg.v LIMIT {w - 1}),
+    mem AS (SELECT v AS s, CAST(0 AS BIGINT) AS bit FROM anchor UNION ALL SELECT v, row_number() OVER (ORDER BY deg DESC, v) FROM best), src AS (SELECT s FROM mem)"""
+
+
+for _d in (3, 4, 6):
+    register(f"sweep_d{_d}", sweep_general(_d), walk_sql("page_link", _ball_sql(_d // 2, 32)) + _RECORDS)
+
+
+def all_pairs_small(spark: SparkSession, d: str) -> DataFrame:
+    """Every vertex in some cohort: all distances by sweeps."""
+    g = G.nation_region(spark, d).cached()
+    c = C.pick_cohorts(g, 200, 64, 2)
+    return S.explode_records(S.records(S.cluster_sweep(g, c, 2), 2), c).select("s", "v", "dist")
+
+
+register("all_pairs_small", all_pairs_small, walk_sql("nation_region", "src AS (SELECT v AS s FROM deg)") + " SELECT s, v, dist FROM dist")
+
+# ---- landmark index
+
+CP = "customer_part"
+_PAIRS_SQL = """numbered AS (SELECT v, row_number() OVER (ORDER BY v) - 1 AS i, count(*) OVER () AS n FROM deg),
+    drawn AS (SELECT DISTINCT (j * 7919 + 13) % n AS a, (j * 104729 + 7) % n AS b, n FROM range({count}) t(j), (SELECT DISTINCT n FROM numbered)),
+    pairs AS (SELECT a * drawn.n + b AS pid, x.v AS u, y.v AS v FROM drawn JOIN numbered x ON x.i = a JOIN numbered y ON y.i = b WHERE a <> b)"""
+_TRUTH = "truth AS (SELECT pid, dist AS truth FROM pairs LEFT JOIN dist ON dist.s = u AND dist.v = pairs.v)"
+
+
+def _index_sql(graph: str, members: str, count: int, tail: str) -> str:
+    """Distances from members and from the pairs' first ends; est is the least sum over members."""
+    pairs = _PAIRS_SQL.format(count=count)
+    return (
+        walk_sql(graph, f"{members.replace('src AS', 'own AS')}, {pairs}, src AS (SELECT s FROM own UNION SELECT u FROM pairs)")
+        + f""", {_TRUTH}, answers AS (SELECT pid, min(x.dist + y.dist) AS est FROM pairs JOIN dist x ON x.v = pairs.u JOIN own ON own.s = x.s
+        JOIN dist y ON y.s = x.s AND y.v = pairs.v GROUP BY pid) {tail}"""
+    )
+
+
+def _landmark_case(graph: str, count: int = 200):
+    def setup(spark: SparkSession, d: str):
+        g = G.BUILDERS[graph](spark, d).cached()
+        return g, L.sample_pairs(g, count).persist()
+
+    return setup
+
+
+def ll_plain(spark: SparkSession, d: str) -> DataFrame:
+    g, pairs = _landmark_case(CP)(spark, d)
+    return L.plain_query(L.plain_index(g, C.pick_landmarks(g, 8)), pairs)
+
+
+register("ll_plain_index", lambda s, d: (lambda g: L.plain_index(g, C.pick_landmarks(g, 8)))(G.customer_part(s, d).cached()), walk_sql(CP, _TOP.format(n=8)) + " SELECT v, s AS h, dist FROM dist")
+register("ll_plain_query", ll_plain, _index_sql(CP, _TOP.format(n=8), 200, "SELECT pid, est FROM pairs LEFT JOIN answers USING (pid)"))
+
+
+def ll_cluster(encoding: str) -> Callable[[SparkSession, str], DataFrame]:
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        g, pairs = _landmark_case(CP)(spark, d)
+        return L.LandmarkIndex.build(g, C.pick_cohorts(g, 2, 16), 2, encoding).query(pairs)
+
+    return run
+
+
+for _e in L.ENCODINGS:
+    register(f"ll_cluster_query_{_e}", ll_cluster(_e), _index_sql(CP, two_stars_sql(16), 200, "SELECT pid, est FROM pairs LEFT JOIN answers USING (pid)"))
+
+
+def _graded(measure) -> Callable[[SparkSession, str], DataFrame]:
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        g, pairs = _landmark_case(CP)(spark, d)
+        return measure(L.LandmarkIndex.build(g, C.pick_cohorts(g, 2, 16), 2).query(pairs), L.exact_pairs(g, pairs))
+
+    return run
+
+
+_SCORED = "scored AS (SELECT truth, est FROM answers JOIN truth USING (pid) WHERE truth > 0)"
+register(
+    "ll_distortion",
+    _graded(M.mean_excess),
+    _index_sql(CP, two_stars_sql(16), 200, f", {_SCORED} SELECT count(*) AS pairs, round(avg(est / truth) - 1, 6) AS eps, count(*) FILTER (est = truth) AS hits, round(max(est / truth), 6) AS worst FROM scored"),
+)
+register(
+    "ll_distortion_profile",
+    _graded(M.distortion_profile),
+    _index_sql(CP, two_stars_sql(16), 200, f", {_SCORED} SELECT truth, count(*) AS pairs, round(avg(est / truth) - 1, 6) AS eps, count(*) FILTER (est = truth) AS hits FROM scored GROUP BY truth"),
+)
+
+
+def ll_budget(spark: SparkSession, d: str) -> DataFrame:
+    rows = [(t, w, k, C.clusters_for_budget(t, w, k)) for t in (34, 68, 136, 1024) for w in (1, 8, 16, 32, 64) for k in (2, 3, 4)]
+    return spark.createDataFrame(rows, "t int, w int, d int, clusters int")
+
+
+register(
+    "ll_budget",
+    ll_budget,
+    "SELECT CAST(t AS INT) AS t, CAST(w AS INT) AS w, CAST(d AS INT) AS d, CAST(CASE WHEN w = 1 THEN t ELSE t // (1 + d * w // 8) END AS INT) AS clusters FROM (VALUES (34), (68), (136), (1024)) a(t), (VALUES (1), (8), (16), (32), (64)) b(w), (VALUES (2), (3), (4)) c(d)",
+)
+
+_ENDS = "src AS (SELECT u AS s FROM pairs UNION SELECT v FROM pairs)"
+_MEET = """, balls AS (SELECT s, v AS x, dist FROM (SELECT *, row_number() OVER (PARTITION BY s ORDER BY dist, v) AS r FROM dist) WHERE r <= {tau}),
+    met AS (SELECT pid, min(a.dist + b.dist) AS est FROM pairs JOIN balls a ON a.s = pairs.u JOIN balls b ON b.s = pairs.v AND a.x = b.x GROUP BY pid)"""
+
+
+def local_meet(spark: SparkSession, d: str) -> DataFrame:
+    g, pairs = _landmark_case(CP, 20)(spark, d)
+    return L.local_meet(g, pairs, 128)
+
+
+register("local_meet_tau", local_meet, walk_sql(CP, f"{_PAIRS_SQL.format(count=20)}, {_ENDS}") + _MEET.format(tau=128) + " SELECT pid, est FROM pairs LEFT JOIN met USING (pid)")
+
+
+def local_plus(spark: SparkSession, d: str) -> DataFrame:
+    g, pairs = _landmark_case(CP, 20)(spark, d)
+    return L.least_answer(L.LandmarkIndex.build(g, C.pick_cohorts(g, 1, 16), 2).query(pairs), L.local_meet(g, pairs, 128))
+
+
+register(
+    "local_plus_index",
+    local_plus,
+    walk_sql(CP, f"{star_sql(16).replace('src AS', 'own AS')}, {_PAIRS_SQL.format(count=20)}, src AS (SELECT s FROM own UNION SELECT u FROM pairs UNION SELECT v FROM pairs)")
+    + _MEET.format(tau=128)
+    + """, answers AS (SELECT pid, min(x.dist + y.dist) AS est FROM pairs JOIN dist x ON x.v = pairs.u JOIN own ON own.s = x.s JOIN dist y ON y.s = x.s AND y.v = pairs.v GROUP BY pid)
+    SELECT pid, least(answers.est, met.est) AS est FROM pairs LEFT JOIN answers USING (pid) LEFT JOIN met USING (pid)""",
+)
+
+# ---- exact index
+
+
+def pll(r: int) -> Callable[[SparkSession, str], DataFrame]:
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        g, pairs = _landmark_case("nation_region", 200)(spark, d)
+        return TwoHopIndex.build(g, r, 8, first=30).query(pairs).select("pid", "est")
+
+    return run
+
+
+_PLL = walk_sql("nation_region", f"{_PAIRS_SQL.format(count=200)}, src AS (SELECT u AS s FROM pairs)") + " SELECT pid, dist AS est FROM pairs LEFT JOIN dist ON dist.s = u AND dist.v = pairs.v"
+register("pll_query_exact", pll(0), _PLL)
+register("pll_cluster_phase_query", pll(2), _PLL)
+register(
+    "pll_batch_plan",
+    lambda s, d: s.createDataFrame([(i, x) for i, x in enumerate(batch_sizes(5000))], "batch int, size int"),
+    "SELECT CAST(i AS INT) AS batch, CAST(least(size, 5000 - before) AS INT) AS size FROM (SELECT *, coalesce(sum(size) OVER (ORDER BY i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before FROM (SELECT i, least(1000, CAST(floor(200 * pow(1.5, i)) AS INT)) AS size FROM range(20) t(i))) WHERE before < 5000",
+)
+
+# ---- surroundings
+
+
+def rollup_report(spark: SparkSession, d: str) -> DataFrame:
+    o = G.table(spark, d, "orders")
+    return o.rollup("o_orderpriority", "o_orderstatus").agg(F.count("*").alias("n"), F.round(F.sum("o_totalprice"), 2).alias("total"))
+
+
+register("report_rollup", rollup_report, "SELECT o_orderpriority, o_orderstatus, count(*) AS n, round(sum(o_totalprice), 2) AS total FROM orders GROUP BY ROLLUP (o_orderpriority, o_orderstatus)")
+
+
+def top_customers(spark: SparkSession, d: str) -> DataFrame:
+    w = Window.partitionBy("c_nationkey").orderBy(F.desc("n"), "c_custkey")
+    n = G.table(spark, d, "orders").groupBy(F.col("o_custkey").alias("c_custkey")).agg(F.count("*").alias("n"))
+    return G.table(spark, d, "customer").join(n, "c_custkey").withColumn("r", F.row_number().over(w)).where("r <= 3").select("c_nationkey", "c_custkey", "n", "r")
+
+
+register(
+    "top_k_per_group", top_customers, "SELECT * FROM (SELECT c_nationkey, c_custkey, n, CAST(row_number() OVER (PARTITION BY c_nationkey ORDER BY n DESC, c_custkey) AS INT) AS r FROM customer JOIN (SELECT o_custkey AS c_custkey, count(*) AS n FROM orders GROUP BY 1) USING (c_custkey)) WHERE r <= 3"
+)
+
+
+def last_order_before_event(spark: SparkSession, d: str) -> DataFrame:
+    """As-of join: each purchase event with its user's latest order before it, by one window over the union."""
+    e = G.table(spark, d, "events").where("event_type = 'purchase'").select(F.col("user_id").alias("k"), F.col("ts").alias("t"), F.col("event_id").alias("e"), F.lit(None).cast("long").alias("o"))
+    o = G.table(spark, d, "orders").select(F.col("o_custkey").alias("k"), F.col("o_orderdate").alias("t"), F.lit(None).cast("long").alias("e"), F.col("o_orderkey").alias("o"))
+    w = Window.partitionBy("k").orderBy("t", F.col("e").asc_nulls_first(), "o").rowsBetween(Window.unboundedPreceding, 0)
+    return e.unionByName(o).withColumn("o", F.last("o", ignorenulls=True).over(w)).where("e is not null").select(F.col("e").alias("event_id"), F.col("o").alias("o_orderkey"))
+
+
+register(
+    "asof_order",
+    last_order_before_event,
+    "SELECT event_id, max_by(o_orderkey, (o_orderdate, o_orderkey)) AS o_orderkey FROM (SELECT * FROM events WHERE event_type = 'purchase') e LEFT JOIN orders ON o_custkey = user_id AND o_orderdate <= ts GROUP BY event_id",
+)
+
+
+def edges_by_year(spark: SparkSession, d: str) -> DataFrame:
+    """Date slices of the customer-part graph."""
+    j = G.table(spark, d, "orders").join(G.table(spark, d, "lineitem"), F.col("o_orderkey") == F.col("l_orderkey"))
+    return j.select(F.year("o_orderdate").alias("y"), "o_custkey", "l_partkey").distinct().groupBy("y").agg(F.count("*").alias("n"))
+
+
+register("edges_by_year", edges_by_year, "SELECT CAST(year(o_orderdate) AS INT) AS y, count(*) AS n FROM (SELECT DISTINCT o_custkey, l_partkey, date_trunc('year', o_orderdate) AS o_orderdate FROM orders JOIN lineitem ON o_orderkey = l_orderkey) GROUP BY 1")
+register(
+    "set_difference",
+    lambda s, d: G.part_supplier(s, d).vertices.select("v").subtract(G.customer_part(s, d).vertices.select("v")),
+    f"(SELECT DISTINCT src AS v FROM (WITH {edges_sql(PS)} SELECT src FROM e)) EXCEPT (SELECT DISTINCT src FROM (WITH {edges_sql(CP)} SELECT src FROM e))",
+)
+register(
+    "stream_hourly_counts",
+    lambda s, d: feeds.drained(feeds.windowed_counts(feeds.events(s, d), "1 hour"), "complete").select(F.date_format("start", "yyyy-MM-dd HH:mm").alias("start"), "event_type", "n"),
+    "SELECT strftime(date_trunc('hour', ts), '%Y-%m-%d %H:%M') AS start, event_type, count(*) AS n FROM events GROUP BY ALL",
+)
