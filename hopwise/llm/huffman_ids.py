@@ -64,7 +64,7 @@ class Codebook:
         self.limit = int(self.lengths.max()) if len(ids) else 1
         codes, code, last = np.zeros(len(ids), np.int64), 0, 0
         starts = np.flatnonzero(np.diff(self.lengths, prepend=0))
-        for at, stop in zip(starts, [*starts[1:], len(ids)], strict=True):
+        for at, stop in zip(starts, [*starts[1:], len(ids)][: len(starts)], strict=True):
             code <<= int(self.lengths[at]) - last
             last = int(self.lengths[at])
             codes[at:stop] = code + np.arange(stop - at)
