@@ -279,8 +279,8 @@ for _d in (3, 4, 6):
 def all_pairs_small(spark: SparkSession, d: str) -> DataFrame:
     """Every vertex in some cohort: all distances by sweeps."""
     g = G.nation_region(spark, d).cached()
-    c = C.pick_cohorts(g, 200, 64, 2)
-    return S.explode_records(S.records(S.cluster_sweep(g, c, 2), 2), c).select("s", "v", "dist")
+    c = C.pick_cohorts(g, 200, 64, 6)
+    return S.explode_records(S.records(S.cluster_sweep(g, c, 6), 6), c).select("s", "v", "dist")
 
 
 register("all_pairs_small", all_pairs_small, walk_sql("nation_region", "src AS (SELECT v AS s FROM deg)") + " SELECT s, v, dist FROM dist")
