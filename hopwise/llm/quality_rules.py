@@ -6,9 +6,9 @@ for each host, lines above the limits are taken out, and a document of which too
 
 Decisions
 * The host is the column ``source``; null is a host of its own.
-* A document is one row. In the count of documents a line has, a document stands for all its copies: it is
-  known by the least and the greatest hash of its lines, so exact copies, and near copies that keep those two
-  lines, count once. A group of copies is no boilerplate, and near-duplicate removal is there for it.
+* A document is one row. In the count of documents a line has, copies (equal texts) count once: a
+  group of copies is no boilerplate, and near-duplicate removal is there for it. Nor are near copies: lines of
+  more than ``longest`` words are prose, are never counted and never removed.
 * A line is frequent at a host if more than ``max_documents`` documents and more than ``max_share`` of the
   documents of the host show it. Removed lines are only counted; texts are not changed.
 * Null, empty and blank texts have no words and fail the base rules. Ties can't arise. Rows that repeat get
@@ -71,33 +71,32 @@ def base_counts(docs: DataFrame, *extra: str) -> DataFrame:
 
 
 def document_lines(docs: DataFrame) -> DataFrame:
-    """key, host, place, line (60-bit hash of the normalised line), words, doc_low, doc_high: a row per line with a word."""
+    """key, host, place, line (60-bit hash of the normalised line), words, doc (hash of the text): a row per line with a word."""
     # lower-case A-Z, digits as 0, white space as one space
     plain = F.regexp_replace(F.translate(F.coalesce("text", F.lit("")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), "[0-9]", "0")
     words = F.transform(F.split(plain, "\n", -1), lambda x: F.regexp_extract_all(x, F.lit(WORD), F.lit(0)))
-    hash60 = lambda x: F.conv(F.substring(F.md5(F.array_join(x, " ")), 1, 15), 16, 10).cast("long")
-    lines = F.transform(F.filter(words, lambda x: F.size(x) > 0), lambda x: F.struct(hash60(x).alias("line"), F.size(x).alias("words")))
+    hash60 = lambda x: F.conv(F.substring(F.md5(x), 1, 15), 16, 10).cast("long")
+    plain_lines = F.transform(F.filter(words, lambda x: F.size(x) > 0), lambda x: F.struct(F.array_join(x, " ").alias("x"), F.size(x).alias("words")))
     return (
-        docs.select(row_key().alias("key"), F.coalesce("source", F.lit("")).alias("host"), lines.alias("lines"))
-        .withColumn("hashes", F.col("lines.line"))
-        .select("key", "host", F.array_min("hashes").alias("doc_low"), F.array_max("hashes").alias("doc_high"), F.posexplode("lines").alias("place", "x"))
-        .select("key", "host", "place", "x.line", "x.words", "doc_low", "doc_high")
+        docs.select(row_key().alias("key"), F.coalesce("source", F.lit("")).alias("host"), hash60(F.coalesce("text", F.lit(""))).alias("doc"), plain_lines.alias("lines"))
+        .select("key", "host", "doc", F.posexplode("lines").alias("place", "l"))
+        .select("key", "host", "place", hash60(F.col("l.x")).alias("line"), "l.words", "doc")
     )
 
 
 def frequent_lines(lines: DataFrame, docs: DataFrame, max_documents: int, max_share: float) -> DataFrame:
     """host, line, documents: the lines above both limits."""
-    distinct = lines.select("host", "line", "doc_low", "doc_high").distinct()
+    distinct = lines.select("host", "line", "doc").distinct()
     counts = distinct.groupBy("host", "line").agg(F.count("*").alias("documents")).where(F.col("documents") > max_documents)
     size = docs.groupBy(F.coalesce("source", F.lit("")).alias("host")).agg(F.count("*").alias("size"))
     return counts.join(size, "host").where(F.col("documents") > max_share * F.col("size")).select("host", "line", "documents")
 
 
 def quality_rules(
-    docs: DataFrame, max_documents: int = 20, max_share: float = 0.002, least_left: float = 0.3, least_words: int = 50, most_repeated: int = 50
+    docs: DataFrame, max_documents: int = 20, max_share: float = 0.002, longest: int = 25, least_left: float = 0.3, least_words: int = 50, most_repeated: int = 50
 ) -> DataFrame:
     """COLUMNS and n_removed_words: a row per row of ``docs(doc_id, source, text)``."""
-    lines = document_lines(docs)
+    lines = document_lines(docs).where(F.col("words") <= longest)
     frequent = frequent_lines(lines, docs, max_documents, max_share)
     removed = (
         lines.select("key", "host", "place", "line", "words")

@@ -113,10 +113,9 @@ plain AS (
   FROM (SELECT doc_id, host, unnest(l) AS x, unnest(range(1, len(l) + 1)) AS i FROM (
     SELECT doc_id, host, string_split(regexp_replace(translate(t, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[0-9]', '0', 'g'), chr(10)) AS l FROM doc))),
 lines AS (
-  SELECT doc_id, host, i, CAST(('0x' || substr(md5(array_to_string(w, ' ')), 1, 15)) AS BIGINT) AS h, len(w) AS n FROM plain WHERE len(w) > 0),
-known AS (SELECT doc_id, min(h) AS low, max(h) AS high FROM lines GROUP BY doc_id),
+  SELECT doc_id, host, i, array_to_string(w, ' ') AS h, len(w) AS n FROM plain WHERE len(w) BETWEEN 1 AND 25),
 frequent AS (
-  SELECT host, h FROM (SELECT DISTINCT host, h, low, high FROM lines JOIN known USING (doc_id))
+  SELECT host, h FROM (SELECT DISTINCT lines.host, h, t FROM lines JOIN doc USING (doc_id))
     JOIN (SELECT host, count(*) AS size FROM doc GROUP BY host) USING (host)
   GROUP BY host, h, size HAVING count(*) > 20 AND count(*) > 0.002 * size),
 removed AS (SELECT doc_id, sum(n) AS n FROM lines JOIN frequent USING (host, h) GROUP BY doc_id),
@@ -130,5 +129,5 @@ SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, fail
 FROM (SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS failed FROM counted)
 """
 
-#: Op 3's distinct windows are compared as strings here and as 64-bit hashes in the operator.
+#: Op 3's windows and lines are compared as strings here and by hashes in the operator.
 ORACLES: dict[str, str] = {"op2_decontamination": _OP2_SQL, "op3_quality_rules": _OP3_SQL}
