@@ -253,7 +253,7 @@ def links(members: DataFrame, texts: DataFrame, least: float, small: int = 24, r
     return found if found is not None else members.sparkSession.createDataFrame([], "a binary, b binary")
 
 
-def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 24, rows: int = 8) -> DataFrame:
+def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 32, rows: int = 6) -> DataFrame:
     """doc_id, node, class_id, is_first (the row's id is the class id): a row per row of ``docs(doc_id, text)``."""
     signed = written(banded(docs, bands, rows), "signed")
     nodes = signed.groupBy("node").agg(F.min("doc_id").alias("id"), F.first("bands").alias("bands"))
