@@ -16,10 +16,12 @@ are the connected components of the links.
 At any size
 * Texts that are equal byte for byte are one node (known by their MD5) before anything is joined, so a group of
   copies costs one row; null is the empty text; texts without a word are near-duplicates of their copies alone.
-* A bucket's nodes are first linked to one representative: as many pairs as nodes. Only where a bucket still
-  holds several components are further pairs tried, between components: in small buckets all of them at once, in
-  large ones against other representatives, round after round, and in the end all that are left. So no pair of
-  different components that shares a bucket stays untested, and inside a component no pair is needed.
+* A bucket's nodes are first linked to one representative: as many pairs as nodes. Inside a component no further
+  pair is needed. The nodes of buckets that still hold several components (a passage that many texts share does
+  this) are joined by their rarest elements instead of all pairs: two sets of the wanted similarity share one of
+  the rarest size - least * size + 1 of each, at places that leave room for the overlap. Rare elements of few nodes
+  give their pairs at once, common ones again representatives, round after round, and in the end the pairs of
+  different components whose places allow a link. So no link of different components that share a bucket is lost.
 * Counts combine before the shuffle; hot keys sit in plain joins, which adaptive execution splits.
 * Components are labelled by alternating neighbour minima on tables in the shared folder; the driver sees counts.
 
@@ -178,14 +180,21 @@ def verified(pairs: DataFrame, texts: DataFrame, least: float) -> DataFrame:
     """The rows of ``pairs(a, b)`` whose texts are similar enough."""
 
     def compare(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        hashes = _Bytes()
-        last, mine = None, None
+        hashes, sets, held = _Bytes(), {}, 0
+
+        def of(node: bytes, text: str) -> np.ndarray:
+            nonlocal held
+            if node not in sets:
+                found = elements_of(text, hashes)
+                held += len(found)
+                if held > 4_000_000:  # 32 MB of elements, kept for the nodes met lately
+                    sets.clear()
+                    held = len(found)
+                sets[node] = found
+            return sets[node]
+
         for frame in frames:
-            keep = []
-            for a, ta, tb in zip(frame["a"], frame["ta"], frame["tb"], strict=True):
-                if a != last:
-                    last, mine = a, elements_of(ta, hashes)
-                keep.append(jaccard(mine, elements_of(tb, hashes)) >= least)
+            keep = [jaccard(of(a, ta), of(b, tb)) >= least for a, b, ta, tb in zip(frame["a"], frame["b"], frame["ta"], frame["tb"], strict=True)]
             yield frame.loc[keep, ["a", "b"]]
 
     sides = pairs.join(texts.select(F.col("node").alias("b"), F.col("text").alias("tb")), "b")
@@ -215,42 +224,89 @@ def components(edges: DataFrame) -> DataFrame:
     return now.select(F.col("a").alias("node"), F.col("b").alias("root")).unionByName(roots)
 
 
-def links(members: DataFrame, texts: DataFrame, least: float, small: int = 24, rounds: int = 6) -> DataFrame:
-    """Verified links (a, b) between nodes that share a bucket: ``members(bucket, node)``, each bucket with two nodes or more."""
-    found = tested = roots = None
-    for turn in range(rounds + 1):
-        if roots is None:
-            open_ = members.withColumn("root", F.col("node"))
-        else:
-            open_ = members.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-        salted = open_.withColumn("draw", F.xxhash64("node", F.lit(turn)) if turn else F.lit(0).cast("long"))
-        state = salted.groupBy("bucket").agg(
-            F.min("root").alias("low"), F.max("root").alias("high"), F.count("*").alias("size"), F.min(F.struct("draw", "node", "root")).alias("pick")
+def merged(roots: DataFrame, good: DataFrame) -> DataFrame:
+    """``roots(node, root)`` after the links ``good(a, b)``: only the links between components are worked on."""
+    for side in ("a", "b"):
+        of = roots.select(F.col("node").alias(side), F.col("root").alias("r"))
+        good = good.join(of, side, "left").withColumn(side, F.coalesce("r", side)).drop("r")
+    grown = written(components(good), "grown")
+    up = grown.select(F.col("node").alias("root"), F.col("root").alias("r"))
+    old = roots.join(up, "root", "left").select("node", F.coalesce("r", "root").alias("root"))
+    return written(old.unionByName(grown.join(roots, "node", "left_anti")), "roots")
+
+
+def prefixes(nodes: DataFrame, texts: DataFrame, least: float) -> DataFrame:
+    """bucket, node, size, place: the elements that a node must share one of with any node similar enough.
+
+    Elements are put in order, those of the fewest nodes first; ``place`` is the element's place in this order of the
+    node's ``size`` elements. Two sets as similar as ``least`` share an element of the first size - least * size + 1
+    of each. Elements of one node take up places but make no rows.
+    """
+
+    def split(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        hashes = _Bytes()
+        for frame in frames:
+            yield pd.DataFrame({"node": frame["node"], "elements": [elements_of(t, hashes).view(np.int64) for t in frame["text"]]})
+
+    sets = written(texts.join(nodes, "node", "left_semi").select("node", "text").mapInPandas(split, "node binary, elements array<long>"), "elements")
+    each = sets.select("node", F.size("elements").alias("size"), F.explode("elements").alias("bucket"))
+    spread = each.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1")
+    known = each.join(spread, "bucket").groupBy("node", "size").agg(F.array_sort(F.collect_list(F.struct("n", "bucket"))).alias("x"))  # a text's elements at most
+    alone = F.col("size") - F.size("x")
+    first = F.greatest(F.lit(0), (F.col("size") - F.ceil(least * F.col("size") - 1e-9) + 1 - alone).cast("int"))
+    rows = known.select("node", "size", alone.alias("alone"), F.posexplode(F.slice("x", F.lit(1), first)).alias("at", "e"))
+    found = rows.select(F.col("e.bucket").alias("bucket"), "node", "size", (F.col("alone") + F.col("at")).alias("place"))
+    many = found.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1")
+    out = written(found.join(many, "bucket", "left_semi"), "prefixes")
+    forget(sets)
+    return out
+
+
+def may_match(least: float):
+    """Whether x and y (size, place) can be similar enough if the element at these places is the first that they share."""
+    left = F.least(F.col("x.size") - F.col("x.place"), F.col("y.size") - F.col("y.place"))
+    return left >= least / (1 + least) * (F.col("x.size") + F.col("y.size")) - 1e-6
+
+
+def rooted(members: DataFrame, roots: DataFrame) -> DataFrame:
+    return members.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+
+
+def links(members: DataFrame, texts: DataFrame, least: float, small: int = 24, rounds: int = 4) -> DataFrame:
+    """node, root: components of the nodes with links, for ``members(bucket, node)``, each bucket with two nodes or more."""
+    picks = members.groupBy("bucket").agg(F.min("node").alias("a"))
+    star = written(members.join(picks, "bucket").where("node <> a").select("a", F.col("node").alias("b")).distinct(), "pairs")
+    roots = written(components(written(verified(star, texts, least), "links")), "roots")
+    still = rooted(members, roots).groupBy("bucket").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high")
+    open_nodes = written(members.join(still, "bucket", "left_semi").select("node").distinct(), "open")
+    if open_nodes.isEmpty():
+        return roots
+    postings, tested = prefixes(open_nodes, texts, least), star
+    for turn in range(1, rounds + 1):
+        open_ = rooted(postings, roots).select("bucket", "root", F.struct("size", "place", "node").alias("y"))
+        state = open_.groupBy("bucket").agg(
+            F.min("root").alias("low"), F.max("root").alias("high"), F.count("*").alias("n"), F.min(F.struct(F.xxhash64("y.node", F.lit(turn)).alias("draw"), "y", "root")).alias("pick")
         ).where("low <> high")
-        state = written(state.select("bucket", "size", F.col("pick.node").alias("pick"), F.col("pick.root").alias("pick_root")), "state")
-        open_buckets, large = state.agg(F.count("*"), F.count_if(F.col("size") > small)).first()
+        state = written(state.select("bucket", "n", F.col("pick.y").alias("x"), F.col("pick.root").alias("x_root")), "state")
+        open_buckets, large = state.agg(F.count("*"), F.count_if(F.col("n") > small)).first()
         if not open_buckets or turn > 1 and not large:  # small buckets were tried pair by pair at turn 1
             break
-        here = open_.select("bucket", "node", "root").join(state, "bucket")
-        star = here.where((F.col("size") > small) | F.lit(turn == 0)).where(F.col("root") != F.col("pick_root")).select("pick", "node")
-        pairs = star.select(F.least("pick", "node").alias("a"), F.greatest("pick", "node").alias("b"))
-        if turn:
-            mine = here if turn == rounds else here.where(F.col("size") <= small)
-            other = mine.select("bucket", F.col("node").alias("n2"), F.col("root").alias("r2"))
-            all_ = mine.select("bucket", "node", "root").join(other, "bucket").where((F.col("node") < F.col("n2")) & (F.col("root") != F.col("r2")))
-            pairs = pairs.unionByName(all_.select(F.col("node").alias("a"), F.col("n2").alias("b")))
-        pairs = pairs.distinct()
-        if tested is not None:
-            pairs = pairs.join(tested, ["a", "b"], "left_anti")
-        pairs = written(pairs, "pairs")
+        here = open_.join(state.select("bucket", "n"), "bucket")
+        tried = open_.join(state.where(F.col("n") > small), "bucket").where((F.col("root") != F.col("x_root")) & may_match(least)).select("x", "y")
+        mine = here if turn == rounds else here.where(F.col("n") <= small) if turn == 1 else None
+        if mine is not None:
+            other = mine.select("bucket", F.col("y").alias("x"), F.col("root").alias("x_root"))
+            both = mine.join(other, "bucket").where((F.col("x.node") < F.col("y.node")) & (F.col("root") != F.col("x_root")) & may_match(least))
+            tried = tried.unionByName(both.select("x", "y"))
+        pairs = tried.select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
+        pairs = written(pairs.join(tested, ["a", "b"], "left_anti"), "pairs")
         if pairs.isEmpty():
             continue
+        tested = tested.unionByName(pairs)
         good = written(verified(pairs, texts, least), "links")
-        tested = pairs if tested is None else tested.unionByName(pairs)
-        found = good if found is None else found.unionByName(good)
         if not good.isEmpty():
-            roots = components(found)
-    return found if found is not None else members.sparkSession.createDataFrame([], "a binary, b binary")
+            roots = merged(roots, good)
+    return roots
 
 
 def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 32, rows: int = 6) -> DataFrame:
@@ -264,11 +320,9 @@ def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 32, rows:
     own = docs.select(node_of().alias("node"), F.col("doc_id").alias("id"), F.coalesce("text", F.lit("")).alias("text"))
     same = (own.node == wanted.node) & own.id.eqNullSafe(wanted.id)
     texts = written(own.join(wanted, same, "left_semi").groupBy("node").agg(F.first("text").alias("text")), "texts")
-    linked = links(members.select("bucket", "node"), texts, least)
-    roots = components(linked)
-    rooted = signed.select("doc_id", "node").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    ids = rooted.groupBy("root").agg(F.min("doc_id").alias("class_id"))
-    out = rooted.join(ids, "root")
+    own = rooted(signed.select("doc_id", "node"), links(members.select("bucket", "node"), texts, least))
+    ids = own.groupBy("root").agg(F.min("doc_id").alias("class_id"))
+    out = own.join(ids, "root")
     return out.select("doc_id", "node", "class_id", F.col("doc_id").eqNullSafe(F.col("class_id")).alias("is_first"))
 
 
