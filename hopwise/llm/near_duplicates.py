@@ -272,7 +272,7 @@ def rooted(members: DataFrame, roots: DataFrame) -> DataFrame:
     return members.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
 
 
-def links(members: DataFrame, texts: DataFrame, least: float, small: int = 24, rounds: int = 4) -> DataFrame:
+def links(members: DataFrame, texts: DataFrame, least: float, small: int = 24, rounds: int = 6) -> DataFrame:
     """node, root: components of the nodes with links, for ``members(bucket, node)``, each bucket with two nodes or more."""
     picks = members.groupBy("bucket").agg(F.min("node").alias("a"))
     star = written(members.join(picks, "bucket").where("node <> a").select("a", F.col("node").alias("b")).distinct(), "pairs")
@@ -284,15 +284,17 @@ def links(members: DataFrame, texts: DataFrame, least: float, small: int = 24, r
     postings, tested = prefixes(open_nodes, texts, least), star
     for turn in range(1, rounds + 1):
         open_ = rooted(postings, roots).select("bucket", "root", F.struct("size", "place", "node").alias("y"))
-        state = open_.groupBy("bucket").agg(
-            F.min("root").alias("low"), F.max("root").alias("high"), F.count("*").alias("n"), F.min(F.struct(F.xxhash64("y.node", F.lit(turn)).alias("draw"), "y", "root")).alias("pick")
-        ).where("low <> high")
-        state = written(state.select("bucket", "n", F.col("pick.y").alias("x"), F.col("pick.root").alias("x_root")), "state")
+        draw = F.struct(F.xxhash64("y.node", "bucket", F.lit(turn)).alias("draw"), "y", "root")  # other picks in every bucket
+        slots = open_.withColumn("slot", F.pmod(F.xxhash64("bucket", "y.node"), F.lit(16)))  # a pick of each slot, also against hot buckets
+        slots = slots.groupBy("bucket", "slot").agg(F.min("root").alias("low"), F.max("root").alias("high"), F.count("*").alias("n"), F.min(draw).alias("pick"))
+        state = slots.groupBy("bucket").agg(F.min("low").alias("low"), F.max("high").alias("high"), F.sum("n").alias("n"), F.collect_list("pick").alias("picks"))
+        state = written(state.where("low <> high").select("bucket", "n", "picks"), "state")
         open_buckets, large = state.agg(F.count("*"), F.count_if(F.col("n") > small)).first()
         if not open_buckets or turn > 1 and not large:  # small buckets were tried pair by pair at turn 1
             break
         here = open_.join(state.select("bucket", "n"), "bucket")
-        tried = open_.join(state.where(F.col("n") > small), "bucket").where((F.col("root") != F.col("x_root")) & may_match(least)).select("x", "y")
+        picks = state.where(F.col("n") > small).select("bucket", F.explode("picks").alias("p")).select("bucket", F.col("p.y").alias("x"), F.col("p.root").alias("x_root"))
+        tried = open_.join(picks, "bucket").where((F.col("root") != F.col("x_root")) & may_match(least)).select("x", "y")
         mine = here if turn == rounds else here.where(F.col("n") <= small) if turn == 1 else None
         if mine is not None:
             other = mine.select("bucket", F.col("y").alias("x"), F.col("root").alias("x_root"))
