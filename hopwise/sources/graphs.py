@@ -121,16 +121,18 @@ def embedding_knn(spark: SparkSession, d: str, k: int = 4) -> HopGraph:
     return from_pairs(near.withColumn("r", F.row_number().over(w)).where(F.col("r") <= k).select(F.col("vec_id").alias("src"), F.col("o").alias("dst")))
 
 
-def near_duplicate(spark: SparkSession, d: str, shared: int = 1, most: int = 50) -> HopGraph:
-    """Documents that share word 5-grams, but for 5-grams held by more than ``most`` documents."""
-    words = table(spark, d, "documents").select("doc_id", F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0)).alias("w"))
-    grams = words.where(F.size("w") >= 5).select(
-        "doc_id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - 4), lambda i: F.xxhash64(F.array_join(F.slice("w", i, 5), " "))))).alias("g")
+def near_duplicate(spark: SparkSession, d: str, shared: int = 1) -> HopGraph:
+    """Documents that share word 5-grams, however many documents hold one. Equal word runs meet as one class."""
+    words = table(spark, d, "documents").select("doc_id", F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0)).alias("w")).where(F.size("w") >= 5)
+    keyed = words.select("doc_id", F.md5(F.array_join("w", " ")).alias("k"), "w")
+    grams = keyed.groupBy("k").agg(F.first("w").alias("w")).select(
+        "k", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - 4), lambda i: F.xxhash64(F.array_join(F.slice("w", i, 5), " "))))).alias("g")
     )
-    few = grams.groupBy("g").agg(F.count("*").alias("n")).where(f"n between 2 and {most}").select("g")
-    held = grams.join(few, "g")
-    pairs = held.alias("a").join(held.alias("b"), F.expr("a.g = b.g and a.doc_id < b.doc_id")).groupBy(F.col("a.doc_id").alias("src"), F.col("b.doc_id").alias("dst")).count()
-    return from_pairs(pairs.where(F.col("count") >= shared))
+    # a class is paired with itself too: that links its members
+    pairs = grams.alias("a").join(grams.alias("b"), F.expr("a.g = b.g and a.k <= b.k")).groupBy(F.col("a.k").alias("x"), F.col("b.k").alias("y")).count()
+    members = keyed.select("doc_id", "k")
+    left, right = members.select(F.col("doc_id").alias("src"), F.col("k").alias("x")), members.select(F.col("doc_id").alias("dst"), F.col("k").alias("y"))
+    return from_pairs(pairs.where(F.col("count") >= shared).join(left, "x").join(right, "y").select("src", "dst"))
 
 
 BUILDERS: dict[str, Callable[[SparkSession, str], HopGraph]] = {
