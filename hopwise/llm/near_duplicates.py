@@ -25,7 +25,8 @@ At any size
 * Counts combine before the shuffle; hot keys sit in plain joins, which adaptive execution splits.
 * Components are labelled by alternating neighbour minima on tables in the shared folder; the driver sees counts.
 
-Rows that repeat are copies. The class id is the least doc_id of a class (null if all are null). An empty table
+Rows that repeat are copies. The class id is the least doc_id of a class (null if all are null); classes of unrelated
+texts under one id share it, and stay apart by their root. An empty table
 gives an empty table; other columns are ignored.
 """
 
@@ -312,7 +313,7 @@ def links(members: DataFrame, texts: DataFrame, least: float, small: int = 24, r
 
 
 def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 32, rows: int = 6) -> DataFrame:
-    """doc_id, node, class_id, is_first (the row's id is the class id): a row per row of ``docs(doc_id, text)``."""
+    """doc_id, node, root (the class's own key), class_id, is_first (the row's id is the class id): a row per row of ``docs(doc_id, text)``."""
     signed = written(banded(docs, bands, rows), "signed")
     nodes = signed.groupBy("node").agg(F.min("doc_id").alias("id"), F.first("bands").alias("bands"))
     keyed = nodes.select("node", "id", F.explode("bands").alias("bucket"))
@@ -325,13 +326,13 @@ def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 32, rows:
     own = rooted(signed.select("doc_id", "node"), links(members.select("bucket", "node"), texts, least))
     ids = own.groupBy("root").agg(F.min("doc_id").alias("class_id"))
     out = own.join(ids, "root")
-    return out.select("doc_id", "node", "class_id", F.col("doc_id").eqNullSafe(F.col("class_id")).alias("is_first"))
+    return out.select("doc_id", "node", "root", "class_id", F.col("doc_id").eqNullSafe(F.col("class_id")).alias("is_first"))
 
 
 def first_documents(docs: DataFrame, **how) -> DataFrame:
     """The rows of ``docs`` that are first of their class, one for each class, with all their columns."""
-    kept = near_duplicates(docs, **how).where("is_first").select("node", F.col("doc_id").alias("_id")).distinct()
-    kept = kept.groupBy("_id").agg(F.min("node").alias("_node"))  # an id that several texts of a class share counts once
+    kept = near_duplicates(docs, **how).where("is_first").select("root", "node", F.col("doc_id").alias("_id")).distinct()
+    kept = kept.groupBy("root", "_id").agg(F.min("node").alias("_node"))  # an id that several texts of a class share counts once
     mine = docs.withColumn("_node", node_of())
     found = mine.join(kept, (mine["_node"] == kept["_node"]) & mine["doc_id"].eqNullSafe(kept["_id"]), "left_semi")
     columns = [F.first(c, ignorenulls=False).alias(c) for c in docs.columns if c != "doc_id"]
