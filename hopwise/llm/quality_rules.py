@@ -6,9 +6,8 @@ for each host, lines above the limits are taken out, and a document of which too
 
 Decisions
 * The host is the column ``source``; null is a host of its own.
-* A document is one row. In the count of documents a line has, copies (equal texts) count once: a
-  group of copies is no boilerplate, and near-duplicate removal is there for it. Nor are near copies: lines of
-  more than ``longest`` words are prose, are never counted and never removed.
+* A document is one row. Lines of any length are counted. In the count of documents a line has, copies (equal
+  texts) count once: a group of copies is no boilerplate, and near-duplicate removal is there for it.
 * A line is frequent at a host if more than ``max_documents`` documents and more than ``max_share`` of the
   documents of the host show it. Removed lines are only counted; texts are not changed.
 * Null, empty and blank texts have no words and fail the base rules. Ties can't arise. Rows that repeat get
@@ -93,10 +92,10 @@ def frequent_lines(lines: DataFrame, docs: DataFrame, max_documents: int, max_sh
 
 
 def quality_rules(
-    docs: DataFrame, max_documents: int = 20, max_share: float = 0.002, longest: int = 25, least_left: float = 0.3, least_words: int = 50, most_repeated: int = 50
+    docs: DataFrame, max_documents: int = 20, max_share: float = 0.002, least_left: float = 0.3, least_words: int = 50, most_repeated: int = 50
 ) -> DataFrame:
     """COLUMNS and n_removed_words: a row per row of ``docs(doc_id, source, text)``."""
-    lines = document_lines(docs).where(F.col("words") <= longest)
+    lines = document_lines(docs)
     frequent = frequent_lines(lines, docs, max_documents, max_share)
     removed = (
         lines.select("key", "host", "place", "line", "words")
