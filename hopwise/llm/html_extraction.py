@@ -6,10 +6,11 @@ line. Lines inside menus, page headers and footers, sidebars, notices, adverts,
 element, role, or a word of class or id) are marked as boilerplate. Each line's ratio is its characters over
 its tags; the ratios of the page, boilerplate at zero, are smoothed by a Gaussian kernel, and lines above a
 threshold (half the standard deviation over the smoothed ratios, at most half the greatest) form clusters. A
-cluster votes with its characters for the elements that hold it; the article is the deepest element that
-holds at least ``share`` of the votes (an ``article`` or ``main`` element or role wins over a wrapper around
-it). All its lines that are not boilerplate are the text, short ones included: the ratios choose the region,
-and nothing inside it is dropped for being short.
+cluster votes with its characters for the elements that hold it. The article is the least element that holds
+all clusters and headings that are not boilerplate. Where an ``article`` or ``main`` element or role holds at
+least ``share`` of the votes, only clusters inside such elements, and headings inside the outermost one around
+it, count. All its lines that are not boilerplate are the text, short ones included: the ratios choose the
+region, and nothing inside it is dropped for being short.
 
 Character references are decoded, white space inside a line becomes one space, lines are joined by ``\\n``.
 Null, empty and tag-only pages give an empty text; text without any tag is one line. Nothing is capped:
@@ -29,6 +30,8 @@ from pyspark.sql import DataFrame
 
 # Elements of HTML.
 RAW = frozenset("script style noscript template svg math iframe object head select option textarea button datalist canvas audio video".split())
+#: start tags that a head may hold; any other closes it
+HEAD = frozenset("base basefont bgsound head html link meta noframes noscript script style template title".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 BLOCK = frozenset(
     "html body address article aside blockquote center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr li main menu nav ol p pre search section summary table caption colgroup tbody td tfoot th thead tr ul".split()
@@ -96,6 +99,9 @@ class LineParser(HTMLParser):
 
     def handle_starttag(self, tag: str, attrs: list) -> None:
         self.tags += 1
+        if self.open.tag == "head" and tag not in HEAD:  # the end of a head may be left out
+            self.raw -= 1
+            self.open = self.open.parent
         if tag in RAW:
             self.cut_if_block(tag)
             self.push(tag, [])
@@ -243,8 +249,25 @@ def main_text(html: str | None, share: float = 0.5) -> str:
                 e = e.parent
     enough = [e for e, v in votes.values() if v >= share * total and e.tag in BLOCK | {""}]
     named = [e for e in enough if e.content]
-    # the deepest that holds most, but no single paragraph: what holds a lone long block is its parent
-    region = max(named, key=lambda e: e.depth) if named else max((e for e in enough if not leaf(e)), key=lambda e: e.depth, default=parser.root)
+    core = max(named, key=lambda e: e.depth, default=None)
+    outer = core
+    for e in above(core):
+        if e.content and not e.boilerplate:
+            outer = e
+    region = core
+    for x, yes in zip(lines, chosen, strict=True):
+        e = x.element
+        if e.boilerplate:
+            continue
+        if core is None:
+            mark = yes or heading(e)
+        else:
+            mark = yes and LineParser.inside_content(e) or heading(e) and outer in above(e)
+        if mark:
+            region = e if region is None else common(region, e)
+    # no single paragraph: what holds a lone long block is its parent
+    while region is not core and region.parent is not None and (leaf(region) or region.tag not in BLOCK):
+        region = region.parent
     kept = []
     for x in lines:
         e = x.element
@@ -257,6 +280,29 @@ def main_text(html: str | None, share: float = 0.5) -> str:
     return "\n".join(kept)
 
 
+def above(e: Element | None) -> Iterator[Element]:
+    """An element and all that hold it."""
+    while e is not None:
+        yield e
+        e = e.parent
+
+
+def heading(e: Element) -> bool:
+    """Whether the innermost block is a heading."""
+    block = next((x for x in above(e) if x.tag in BLOCK), None)
+    return block is not None and block.tag in ("h1", "h2", "h3", "h4", "h5", "h6")
+
+
+def common(a: Element, b: Element) -> Element:
+    """The least element that holds both."""
+    while a is not b:
+        if a.depth >= b.depth:
+            a = a.parent
+        else:
+            b = b.parent
+    return a
+
+
 def leaf(e: Element) -> bool:
     return e.tag in ("p", "h1", "h2", "h3", "h4", "h5", "h6", "li", "td", "th", "tr", "tbody", "table", "ul", "ol", "dl", "dd", "dt", "pre", "blockquote", "figure", "figcaption", "caption")
 
