@@ -4,8 +4,8 @@ Base identifiers (email, ip, card, phone) are found in the text as it is, leftmo
 each kind; a match that fails its test (parts of an address over 255, digits of a card by Luhn, digits of a
 phone) is dropped. Then transducers rewrite the text and keep, for every character written, the span of
 source characters it stands for: full-width and other look-alike letters and digits become ASCII, invisible
-characters vanish, spelled digits become digits ("four" between digits, a run of three or more), and disguised
-marks become marks ("[at]", "(dot)", " at ... dot ..."). Identifiers are detected again in the rewritten
+characters vanish, spelled digits become digits (a run of three or more; one or two where an identifier that
+passes its test needs them), and disguised marks become marks ("[at]", "(dot)", " at ... dot ..."). Identifiers are detected again in the rewritten
 text, and their spans are mapped back. A span found so is added unless a span of its kind holds it already;
 base spans stay, also inside a longer span that the method adds.
 
@@ -114,7 +114,7 @@ _UNSEEN = "­​‌‍⁠﻿"
 HOMOGLYPHS = dict(zip(_CYRILLIC + _GREEK + _MARKS, _CYRILLIC_AS + _GREEK_AS + _MARKS_AS, strict=True)) | dict.fromkeys(_UNSEEN, "")
 for _c in range(0xFF01, 0xFF5F):  # full width
     HOMOGLYPHS[chr(_c)] = chr(_c - 0xFEE0)
-_LOOK = re.compile("[^\\x00-\\u024F‘’“”…€]")
+_LOOK = re.compile("[^\\x00-\\xAC\\xAE-\\u024F‘’“”…€]")  # the soft hyphen is in
 #: a look-alike matters only in a run that also holds ASCII, a digit or a mark of an identifier
 _RUN = re.compile(r"\S+")
 
@@ -167,22 +167,48 @@ def spelled_digits(x: Rewritten) -> Rewritten:
         return x
     edits = []
     for run in _RUN_OF_DIGITS.finditer(x.text):
-        if len(_SPELLED.findall(run[0])) < 3:
-            continue
-        last = None
-        for m in _JOIN.finditer(x.text, run.start(), run.end()):
-            if last is not None and m.start() > last:
-                between = x.text[last : m.start()]
-                if not between.strip(" ,"):
-                    edits.append((last, m.start(), ""))
-            word = m[0].lower()
-            new = SPELLED.get(word, "+" if m[2] else "." if word in ("dot", "point") else "-" if word == "dash" else None)
-            if new is not None and new != m[0]:
-                edits.append((m.start(), m.end(), new))
-            last = m.end()
+        n = len(_SPELLED.findall(run[0]))
+        if n >= 3:
+            edits += joined(x.text, run.start(), run.end())
+        elif n:
+            edits += identifying(x.text, run.start(), run.end())
     return x.replaced(edits)
 
 
+def joined(text: str, start: int, end: int, tight: bool = True) -> list[tuple[int, int, str]]:
+    """Edits that spell a run's digits and marks, and (``tight``) take out spaces and commas between."""
+    edits, last = [], None
+    for m in _JOIN.finditer(text, start, end):
+        if tight and last is not None and m.start() > last:
+            between = text[last : m.start()]
+            if not between.strip(" ,"):
+                edits.append((last, m.start(), ""))
+        word = m[0].lower()
+        new = SPELLED.get(word, "+" if m[2] else "." if word in ("dot", "point") else "-" if word == "dash" else None)
+        if new is not None and new != m[0]:
+            edits.append((m.start(), m.end(), new))
+        last = m.end()
+    return edits
+
+
+def identifying(text: str, start: int, end: int) -> list[tuple[int, int, str]]:
+    """The edits of a run with one or two spelled digits, if an identifier that passes its test needs one of them."""
+    run = text[start:end]
+    spelled = [m.span() for m in _SPELLED.finditer(run)]
+    plain = base_spans(run)
+    for tight in (False, True):
+        edits = joined(run, 0, len(run), tight)
+        x = Rewritten.of(run).replaced(edits)
+        for _, s, e in base_spans(x.text):
+            a, b = x.starts[s], x.ends[e - 1]
+            needed = [w for w in spelled if a <= w[0] and w[1] <= b]
+            # a word before or behind what is an identifier without it is a word
+            edge = any(w[0] == a or w[1] == b for w in needed) and any(a <= p and q <= b for _, p, q in plain)
+            if needed and not edge:
+                return [(start + p, start + q, new) for p, q, new in edits if a <= p and q <= b]
+    return []
+
+
 # Disguises of @ and of the dot.
 _AT_WORD = r"(?:at|ät|arroba|arobase|chez|bei|klammeraffe)"
 _DOT_WORD = r"(?:dot|punkt|point|punto|d0t)"
@@ -251,8 +277,9 @@ def _suspect(text: str) -> bool:
     return bool(_SUSPECT.search(text))
 
 
-#: something that a transducer could rewrite: an at and a dot on one line, or three spelled digits
-_SUSPECT = re.compile(rf"{_HINT.pattern}|(?:(?<!\w)(?:{_ONE})(?!\w)[ ,./()+-]{{0,3}}(?:[0-9 ,./()-]|(?:dot|point|dash)\s)*){{3}}", re.I)
+_BETWEEN = r"[ ,./()-]{0,3}(?:(?:dot|point|dash)[ ]?)?"
+#: something that a transducer could rewrite: an at and a dot on one line, a spelled digit beside a digit, or three spelled digits
+_SUSPECT = re.compile(rf"{_HINT.pattern}|[0-9]{_BETWEEN}(?<!\w)(?:{_ONE})(?!\w)|(?<!\w)(?:{_ONE})(?!\w){_BETWEEN}[0-9]|(?:(?<!\w)(?:{_ONE})(?!\w)[ ,./()+-]{{0,3}}(?:[0-9 ,./()-]|(?:dot|point|dash)\s)*){{3}}", re.I)
 
 
 def spans_text(spans: list[tuple[str, int, int]]) -> str:
