@@ -2,51 +2,34 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 import numpy as np
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-_OWN_FOLDER: list[str] = []
-
+from ..plans.store import forget, shared_folder, written
 
-def shared_folder(spark: SparkSession) -> str:
-    """The folder all executors share: ``spark.checkpoint.dir``; a temporary one only where that is unset (tests)."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    if found:
-        return found.rstrip("/")
-    if not _OWN_FOLDER:
-        _OWN_FOLDER.append("file://" + tempfile.mkdtemp(prefix="hopwise-"))
-    return _OWN_FOLDER[0]
+__all__ = ["WordHashes", "forget", "mixed", "once", "row_key", "shared_folder", "table", "text_key", "written"]
 
-
-def written(df: DataFrame, name: str) -> DataFrame:
-    """``df`` written to the shared folder and read back: its lineage is cut and a lost executor costs no recomputation."""
-    path = f"{shared_folder(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
-    schema = df.schema
-    df.write.parquet(path)
-    out = df.sparkSession.read.schema(schema).parquet(path)
-    out._hopwise_path = path
-    return out
+def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def forget(df: DataFrame) -> None:
-    """Delete a table made by ``written`` that no later step reads."""
-    path, jvm = df._hopwise_path, df.sparkSession._jvm
-    at = jvm.org.apache.hadoop.fs.Path(path)
-    at.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(at, True)
+def text_key(value: Column | str) -> Column:
+    """128 bits (MD5) of a string; null is the empty string."""
+    value = F.col(value) if isinstance(value, str) else value
+    return F.unhex(F.md5(F.coalesce(value, F.lit(""))))
 
 
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+def row_key(*columns: str) -> Column:
+    """128 bits of a row, by default of its id and text. Rows that repeat share it, and get the same result."""
+    parts = [F.coalesce(F.concat(F.lit("="), F.col(c).cast("string")), F.lit("")) for c in columns or ("doc_id", "text")]
+    return text_key(F.concat_ws("\x1f", *parts))
 
 
-def row_key(doc_id: str = "doc_id", text: str = "text"):
-    """A 64-bit key of a row. Rows that repeat an id and its text share it, and get the same result."""
-    return F.xxhash64(F.col(doc_id), F.coalesce(F.col(text), F.lit("")))
+def once(value: Column, use) -> Column:
+    """``use(value)`` with the value bound to a lambda's variable: no rule of the optimiser can copy it to each of its uses."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))
 
 
 class WordHashes(dict):

@@ -13,81 +13,91 @@ Decisions
 * Null, empty and blank texts have no words and fail the base rules. Ties can't arise. Rows that repeat get
   equal results. An empty table gives an empty table. Other columns are ignored, whatever their names.
 
-Nothing here collects a group: windows live in arrays of their own row, counts combine before the shuffle,
-the lines of documents meet the frequent lines in a join whose large keys adaptive execution can split.
+One pass reads the texts: counts and hashed lines of each go to a table, and the rest works on that. Nothing here
+collects a group: windows live in arrays of their own row, bound once, counts combine before the shuffle, the lines
+of documents meet the frequent lines in a join whose large keys adaptive execution can split.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import row_key
+from .common import once, row_key, text_key, written
 
 WORD = r"[^\x20\x09-\x0D]+"
 SYMBOL = r"[#*$%&|<>]"
 COLUMNS = ["doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept"]
 
 
-def base_counts(docs: DataFrame, *extra: str) -> DataFrame:
-    """doc_id, the columns ``extra`` and each text's own counts."""
-    text = docs.select("doc_id", *extra, F.coalesce("text", F.lit("")).alias("t"))
-    words = text.withColumn("w", F.regexp_extract_all("t", F.lit(WORD), F.lit(0)))
-    hashed = words.withColumn("h", F.transform("w", lambda x: F.xxhash64(x))).withColumn("n", F.size("w"))
-    window = F.when(
-        F.col("n") >= 3,
-        F.transform(
-            F.sequence(F.lit(0), F.col("n") - 3),
-            lambda i: F.struct(F.xxhash64(F.get("h", i), F.get("h", i + 1), F.get("h", i + 2)).alias("k"), i.alias("p")),
-        ),
-    )
-    sorted_ = hashed.withColumn("s", F.sort_array(window)).withColumn("m", F.size(F.coalesce("s", F.array())))
-    key = lambda j: F.get("s", j)["k"]
-    twice = F.filter(
-        F.sequence(F.lit(0), F.col("m") - 1), lambda j: key(j).eqNullSafe(key(j - 1)) | key(j).eqNullSafe(key(j + 1))
-    )
-    starts = F.sort_array(F.transform(F.when(F.col("m") > 0, twice), lambda j: F.get("s", j)["p"]))
-    covered = F.aggregate(
-        "starts",
-        F.struct(F.lit(-3).alias("last"), F.lit(0).alias("sum")),
-        lambda a, p: F.struct(p.alias("last"), (a["sum"] + F.least(F.lit(3), p - a["last"])).alias("sum")),
-        lambda a: a["sum"],
-    )
-    lines = F.filter(F.split("t", "\n", -1), lambda x: x.rlike(WORD))
-    return (
-        sorted_.withColumn("starts", starts)
-        .withColumn("lines", lines)
-        .select(
-            "doc_id",
-            *extra,
-            F.col("n").cast("long").alias("n_words"),
-            F.char_length(F.array_join("w", "")).cast("long").alias("word_chars"),
-            F.regexp_count("t", F.lit(SYMBOL)).cast("long").alias("n_symbols"),
-            (F.size("lines") - F.size(F.array_distinct("lines"))).cast("long").alias("n_dup_lines"),
-            F.coalesce(covered, F.lit(0)).cast("long").alias("n_repeat_words"),
+def repeated_words(words: Column) -> Column:
+    """How many of the words stand in three-word windows found twice or more.
+
+    Windows are hashed and sorted with their places; those with an equal neighbour are repeated, and their places,
+    in order, tell the words they cover.
+    """
+
+    def windows(h: Column) -> Column:
+        at = F.sequence(F.lit(0), F.size(h) - 3)
+        return F.sort_array(F.transform(at, lambda i: F.struct(F.xxhash64(F.get(h, i), F.get(h, i + 1), F.get(h, i + 2)).alias("k"), i.alias("p"))))
+
+    def places(s: Column) -> Column:
+        key = lambda j: F.get(s, j)["k"]
+        twice = F.filter(F.sequence(F.lit(0), F.size(s) - 1), lambda j: key(j).eqNullSafe(key(j - 1)) | key(j).eqNullSafe(key(j + 1)))
+        return F.sort_array(F.transform(twice, lambda j: F.get(s, j)["p"]))
+
+    def covered(starts: Column) -> Column:
+        return F.aggregate(
+            starts,
+            F.struct(F.lit(-3).alias("last"), F.lit(0).alias("sum")),
+            lambda a, p: F.struct(p.alias("last"), (a["sum"] + F.least(F.lit(3), p - a["last"])).alias("sum")),
+            lambda a: a["sum"],
         )
-    )
 
+    hashes = F.transform(words, lambda x: F.xxhash64(x))
+    found = once(hashes, lambda h: F.when(F.size(h) >= 3, once(windows(h), lambda s: covered(places(s)))))
+    return F.coalesce(found, F.lit(0))
 
-def document_lines(docs: DataFrame) -> DataFrame:
-    """key, host, place, line (60-bit hash of the normalised line), words, doc (hash of the text): a row per line with a word."""
+
+def own_counts() -> list[Column]:
+    """The counts of the text ``t`` alone."""
+    words = F.regexp_extract_all("t", F.lit(WORD), F.lit(0))
+    of_words = once(words, lambda w: F.struct(F.size(w).alias("n"), F.char_length(F.array_join(w, "")).alias("chars"), repeated_words(w).alias("repeated")))
+    lines = F.filter(F.split("t", "\n", -1), lambda x: x.rlike(WORD))
+    return [
+        of_words.alias("words"),
+        F.regexp_count("t", F.lit(SYMBOL)).cast("long").alias("n_symbols"),
+        once(lines, lambda x: F.size(x) - F.size(F.array_distinct(x))).cast("long").alias("n_dup_lines"),
+    ]
+
+
+def normalised_lines() -> Column:
+    """line (128 bits of the normalised line) and words, for each line of ``t`` with a word."""
     # lower-case A-Z, digits as 0, white space as one space
-    plain = F.regexp_replace(F.translate(F.coalesce("text", F.lit("")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), "[0-9]", "0")
+    plain = F.regexp_replace(F.translate("t", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), "[0-9]", "0")
     words = F.transform(F.split(plain, "\n", -1), lambda x: F.regexp_extract_all(x, F.lit(WORD), F.lit(0)))
-    hash60 = lambda x: F.conv(F.substring(F.md5(x), 1, 15), 16, 10).cast("long")
-    plain_lines = F.transform(F.filter(words, lambda x: F.size(x) > 0), lambda x: F.struct(F.array_join(x, " ").alias("x"), F.size(x).alias("words")))
-    return (
-        docs.select(row_key().alias("key"), F.coalesce("source", F.lit("")).alias("host"), hash60(F.coalesce("text", F.lit(""))).alias("doc"), plain_lines.alias("lines"))
-        .select("key", "host", "doc", F.posexplode("lines").alias("place", "l"))
-        .select("key", "host", "place", hash60(F.col("l.x")).alias("line"), "l.words", "doc")
-    )
+    return F.transform(F.filter(words, lambda x: F.size(x) > 0), lambda x: F.struct(text_key(F.array_join(x, " ")).alias("line"), F.size(x).alias("words")))
+
+
+def digests(docs: DataFrame) -> DataFrame:
+    """doc_id, key, host, doc, the base counts, lines: one pass over the texts, written, so that nothing after reads a text.
 
+    ``key`` numbers the rows of the written table.
+    """
+    text = docs.select("doc_id", F.coalesce("source", F.lit("")).alias("host"), F.coalesce("text", F.lit("")).alias("t"))
+    made = text.select("doc_id", F.monotonically_increasing_id().alias("key"), "host", text_key("t").alias("doc"), *own_counts(), normalised_lines().alias("lines"))
+    table = written(made, "digests")
+    return table.select(
+        "doc_id", "key", "host", "doc", F.col("words.n").cast("long").alias("n_words"), F.col("words.chars").cast("long").alias("word_chars"),
+        "n_symbols", "n_dup_lines", F.col("words.repeated").cast("long").alias("n_repeat_words"), "lines",
+    )
 
-def frequent_lines(lines: DataFrame, docs: DataFrame, max_documents: int, max_share: float) -> DataFrame:
+
+def frequent_lines(digest: DataFrame, max_documents: int, max_share: float) -> DataFrame:
     """host, line, documents: the lines above both limits."""
-    distinct = lines.select("host", "line", "doc").distinct()
+    distinct = digest.select("host", "doc", F.explode("lines.line").alias("line")).distinct()
     counts = distinct.groupBy("host", "line").agg(F.count("*").alias("documents")).where(F.col("documents") > max_documents)
-    size = docs.groupBy(F.coalesce("source", F.lit("")).alias("host")).agg(F.count("*").alias("size"))
+    size = digest.groupBy("host").agg(F.count("*").alias("size"))
     return counts.join(size, "host").where(F.col("documents") > max_share * F.col("size")).select("host", "line", "documents")
 
 
@@ -95,21 +105,15 @@ def quality_rules(
     docs: DataFrame, max_documents: int = 20, max_share: float = 0.002, least_left: float = 0.3, least_words: int = 50, most_repeated: int = 50
 ) -> DataFrame:
     """COLUMNS and n_removed_words: a row per row of ``docs(doc_id, source, text)``."""
-    lines = document_lines(docs)
-    frequent = frequent_lines(lines, docs, max_documents, max_share)
-    removed = (
-        lines.select("key", "host", "place", "line", "words")
-        .join(frequent.select("host", "line"), ["host", "line"])
-        .groupBy("key", "place")
-        .agg(F.max("words").alias("words"))
-        .groupBy("key")
-        .agg(F.sum("words").alias("n_removed_words"))
-    )
-    counted = base_counts(docs.withColumn("_key", row_key()), "_key")
+    digest = digests(docs)
+    frequent = frequent_lines(digest, max_documents, max_share)
+    lines = digest.select("key", "host", F.explode("lines").alias("l")).select("key", "host", "l.line", "l.words")
+    removed = lines.join(frequent.select("host", "line"), ["host", "line"]).groupBy("key").agg(F.sum("words").alias("n_removed_words"))
     failed = (F.col("n_words") < least_words) | (100 * F.col("n_repeat_words") > most_repeated * F.col("n_words"))
     left = F.col("n_words") - F.col("n_removed_words")
     return (
-        counted.join(removed.withColumnRenamed("key", "_key"), "_key", "left")
+        digest.drop("lines", "host", "doc")
+        .join(removed, "key", "left")
         .withColumn("n_removed_words", F.coalesce("n_removed_words", F.lit(0)).cast("long"))
         .withColumn("base_failed", failed)
         .withColumn("kept", ~failed & (left >= least_left * F.col("n_words")))
@@ -119,5 +123,6 @@ def quality_rules(
 
 def kept_documents(docs: DataFrame, **limits) -> DataFrame:
     """The rows of ``docs`` that pass, with all their columns."""
-    verdicts = quality_rules(docs.withColumn("doc_id", row_key()), **limits).where("kept").select(F.col("doc_id").alias("_key")).distinct()
-    return docs.withColumn("_key", row_key()).join(verdicts, "_key", "left_semi").drop("_key")
+    key = row_key("doc_id", "source", "text")
+    verdicts = quality_rules(docs.withColumn("doc_id", key), **limits).where("kept").select(F.col("doc_id").alias("_key")).distinct()
+    return docs.withColumn("_key", key).join(verdicts, "_key", "left_semi").drop("_key")
