@@ -113,7 +113,7 @@ plain AS (
   FROM (SELECT doc_id, host, unnest(l) AS x, unnest(range(1, len(l) + 1)) AS i FROM (
     SELECT doc_id, host, string_split(regexp_replace(translate(t, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[0-9]', '0', 'g'), chr(10)) AS l FROM doc))),
 lines AS (
-  SELECT doc_id, host, i, array_to_string(w, ' ') AS h, len(w) AS n FROM plain WHERE len(w) BETWEEN 1 AND 25),
+  SELECT doc_id, host, i, array_to_string(w, ' ') AS h, len(w) AS n FROM plain WHERE len(w) >= 1),
 frequent AS (
   SELECT host, h FROM (SELECT DISTINCT lines.host, h, t FROM lines JOIN doc USING (doc_id))
     JOIN (SELECT host, count(*) AS size FROM doc GROUP BY host) USING (host)
