@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..plans.store import forget, shared_folder, written
 
-__all__ = ["WordHashes", "forget", "mixed", "once", "row_key", "shared_folder", "table", "text_key", "written"]
+__all__ = ["WordHashes", "forget", "hot_join", "id_as_string", "id_back", "mixed", "once", "row_key", "shared_folder", "table", "text_key", "written"]
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
@@ -56,3 +56,30 @@ def mixed(x: np.ndarray) -> np.ndarray:
     x = x ^ (x >> np.uint64(29))
     x = x * np.uint64(0xD6E8FEB86659FD93)
     return x ^ (x >> np.uint64(32))
+
+
+def id_as_string(docs: DataFrame, name: str) -> Column:
+    """An id on its way through a Python worker: as a string, since pandas turns integers beside nulls into doubles."""
+    binary = docs.schema[name].dataType.simpleString() == "binary"
+    return (F.hex(name) if binary else F.col(name).cast("string")).alias(name)
+
+
+def id_back(docs: DataFrame, name: str) -> Column:
+    """The id as the type it had in ``docs``."""
+    kind = docs.schema[name].dataType
+    return (F.unhex(name) if kind.simpleString() == "binary" else F.col(name).cast(kind)).alias(name)
+
+
+def hot_join(rows: DataFrame, sizes: DataFrame, keys: list[str], size: str, spread: list[str], salts: int = 16) -> DataFrame:
+    """``rows`` inner-joined to ``sizes`` (one row for each of ``keys``, with how many rows have it in ``size``).
+
+    Keys above a 512th of all rows counted are hot: at most 512, so they can be broadcast. Their rows are dealt by a hash
+    of ``spread`` to ``salts`` copies of their row in ``sizes``, so that no task gets a hot key alone.
+    """
+    sizes = written(sizes, "sizes")
+    total = sizes.agg(F.sum(size)).first()[0] or 0
+    hot = F.col(size) > max(1, total // 512)
+    marked = rows.join(F.broadcast(sizes.where(hot).select(*keys, F.lit(True).alias("_hot"))), keys, "left")
+    salt = F.when(F.col("_hot"), F.pmod(F.xxhash64(*spread), F.lit(salts)).cast("int")).otherwise(0)
+    copies = F.when(hot, F.sequence(F.lit(0), F.lit(salts - 1))).otherwise(F.array(F.lit(0)))
+    return marked.withColumn("_salt", salt).drop("_hot").join(sizes.withColumn("_salt", F.explode(copies)), [*keys, "_salt"]).drop("_salt")
