@@ -1,18 +1,17 @@
 """Benchmark decontamination: a prefix-filtered join of document texts with item-sized windows.
 
 Words are lower-cased runs of ASCII letters, digits and all characters beyond ASCII. A window is ``size``
-consecutive words of an item (a shorter item, if it has a word, is one window). To find every place where a
-window occurs in a document, the words of the windows are ordered by rarity: by the number of times the whole
-corpus shows them, which one pass counts for the words of the benchmark alone. A window is a set of which all
-must be met, so its necessary prefix is its rarest word: a document without it can't hold the window. A
-document word that is some window's prefix gives, with the word's place in the window, the one start that is
-possible (positional bound); the start must leave room for the whole window (length bound); then the window
-is compared word by word (exact containment).
-
-Bounded memory: windows travel to executors in blocks of at most ``block_windows`` windows (about 100 bytes a
-word), whatever the size of the benchmark; each block is matched against all documents, and the hit spans of
-several blocks are united for each document. Documents are read as they lie, nothing of them is shuffled with
-one block; with more, spans alone are.
+consecutive words of an item (a shorter item, if it has a word, is one window). Windows and documents are sets of
+shingles, runs of up to ``SHINGLE`` words, with their places. A document holds a window only if it has all shingles
+of it, so with shingles in the order of rarity one is the necessary prefix: the rarest. How often the corpus shows
+each of the benchmark's shingles is counted in a first pass, over all documents. Then a document shingle that is
+some window's prefix joins, and its place in the window gives the one start that is possible (positional bound);
+the start must leave room for the whole window (length bound); last, the window is compared word by word.
+
+Bounded memory: windows travel to executors in blocks of at most about ``block_windows`` windows (some 200 bytes
+each), whatever the size of the benchmark, and the driver holds two blocks at most; each block is matched against all
+documents. With one block nothing of the documents is shuffled; with more, each block's spans are written, and
+united for each document.
 
 Null and empty texts have no words. Rows that repeat give equal rows; equal items each count by item_id; a
 null item_id counts as the empty string; an empty benchmark leaves zero hits, an empty table an empty table.
@@ -21,15 +20,21 @@ null item_id counts as the empty string; an empty benchmark leaves zero hits, an
 from __future__ import annotations
 
 import re
-from collections import Counter, defaultdict
+from collections import defaultdict
 from collections.abc import Iterator
+from dataclasses import dataclass
 
+import numpy as np
 import pandas as pd
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import WordHashes, id_as_string, id_back, mixed, written
+
 #: over UTF-8: bytes from 0x80 up belong to characters beyond ASCII, and lower() of bytes changes A-Z alone
 WORDS = re.compile(rb"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
+SHINGLE = 3
 
 
 def words_of(text: str | None) -> list[bytes]:
@@ -42,58 +47,106 @@ def windows_of(words: list[bytes], size: int) -> list[tuple[bytes, ...]]:
     return [tuple(words[i : i + size]) for i in range(len(words) - size + 1)]
 
 
-def corpus_counts(docs: DataFrame, vocabulary: frozenset[bytes]) -> DataFrame:
-    """word, n: how often the corpus shows each word of the vocabulary; sums are made before the shuffle."""
+class ByteHashes(WordHashes):
+    def __missing__(self, word: bytes) -> int:
+        if len(self) >= self.most:
+            self.clear()
+        value = self[word] = xxhash.xxh64_intdigest(word)
+        return value
+
+
+def shingles_of(hashes: np.ndarray, k: int) -> np.ndarray:
+    """The 64-bit hashes of the runs of ``k`` words, by place."""
+    n = max(0, len(hashes) - k + 1)
+    out = np.full(n, k, np.uint64)
+    for i in range(k):
+        out = mixed(out * np.uint64(0x100000001B3) + hashes[i : i + n])
+    return out
+
+
+@dataclass
+class Block:
+    """Windows of some items, each with the numbers of the items that have it, and the items' ids."""
+
+    windows: list[tuple[tuple[bytes, ...], list[int]]]
+    ids: list[str]
+
+    def __post_init__(self):
+        known = ByteHashes()
+        self.shingles: dict[int, list] = defaultdict(list)  # length -> (window, its shingles by place)
+        for i, (window, _) in enumerate(self.windows):
+            k = min(SHINGLE, len(window))
+            self.shingles[k].append((i, shingles_of(known.of(list(window)), k)))
+
+    def vocabulary(self) -> dict[int, np.ndarray]:
+        return {k: np.unique(np.concatenate([x for _, x in rows])) for k, rows in self.shingles.items()}
+
+    def prefixes(self, counts: dict[int, int]) -> dict[int, tuple[np.ndarray, dict[int, list]]]:
+        """length -> sorted prefix shingles, and shingle -> [(its place, window words, items)]: the rarest of each window."""
+        out = {}
+        for k, rows in self.shingles.items():
+            by: dict[int, list] = defaultdict(list)
+            for i, x in rows:
+                place = min(range(len(x)), key=lambda p: (counts.get(int(x[p]), 0), int(x[p]), p))  # noqa: B023
+                window, items = self.windows[i]
+                by[int(x[place])].append((place, list(window), items))
+            out[k] = (np.array(sorted(by), np.uint64), dict(by))
+        return out
+
+
+def members(values: np.ndarray, among: np.ndarray) -> np.ndarray:
+    """Places of ``values`` that are in the sorted ``among``."""
+    at = np.searchsorted(among, values)
+    at[at == len(among)] = 0
+    return np.flatnonzero(among[at] == values)
+
+
+def corpus_counts(docs: DataFrame, vocabulary: dict[int, np.ndarray]) -> DataFrame:
+    """shingle, n: how often the corpus shows each shingle of the vocabulary; sums are made before the shuffle."""
+    shared = docs.sparkSession.sparkContext.broadcast(vocabulary)
 
     def count(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        seen: Counter = Counter()  # bounded by the vocabulary
+        known, vocabulary = ByteHashes(), shared.value
+        seen = {k: np.zeros(len(v), np.int64) for k, v in vocabulary.items()}
         for frame in frames:
             for text in frame["text"]:
-                seen.update(filter(vocabulary.__contains__, words_of(text)))
-        yield pd.DataFrame({"word": list(seen.keys()), "n": pd.Series(list(seen.values()), dtype="int64")})
-
-    return docs.select("text").mapInPandas(count, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n"))
-
-
-class WindowIndex:
-    """Windows by their rarest word: word -> [(place of the word, window, item numbers)]."""
-
-    def __init__(self, by_word: dict[bytes, list]):
-        self.by_word = by_word
-
-    @classmethod
-    def of_windows(cls, windows: dict[tuple[bytes, ...], list[int]], counts: dict[bytes, int]) -> WindowIndex:
-        by_word: dict[bytes, list] = defaultdict(list)
-        for window, items in windows.items():
-            place = min(range(len(window)), key=lambda i: (counts.get(window[i], 0), window[i], i))
-            by_word[window[place]].append((place, list(window), items))
-        return cls(dict(by_word))
-
-    def matches(self, words: list[bytes]) -> tuple[list[tuple[int, int]], set[int]]:
-        """Merged spans [start, end) of hit words, and the numbers of the items met."""
-        spans: list[list[int]] = []
-        items: set[int] = set()
-        by_word, n = self.by_word, len(words)
-        if by_word.keys().isdisjoint(words):
-            return [], items
-        found = []
-        for at in [i for i, w in enumerate(words) if w in by_word]:
-            for place, window, of in by_word[words[at]]:
+                hashes = known.of(words_of(text))
+                for k, v in vocabulary.items():
+                    x = shingles_of(hashes, k)
+                    if len(x):
+                        np.add.at(seen[k], np.searchsorted(v, x[members(x, v)]), 1)
+        for k, v in vocabulary.items():
+            met = seen[k] > 0
+            yield pd.DataFrame({"shingle": v[met].view(np.int64), "n": seen[k][met]})
+
+    return docs.select("text").mapInPandas(count, "shingle long, n long").groupBy("shingle").agg(F.sum("n").alias("n"))
+
+
+def matches(words: list[bytes], hashes: np.ndarray, prefixes: dict[int, tuple[np.ndarray, dict[int, list]]]) -> tuple[list[tuple[int, int]], set[int]]:
+    """Merged spans [start, end) of hit words, and the numbers of the items met."""
+    found: list[tuple[int, int]] = []
+    items: set[int] = set()
+    n = len(words)
+    for k, (among, by) in prefixes.items():
+        x = shingles_of(hashes, k)
+        for at in members(x, among).tolist() if len(x) else ():
+            for place, window, of in by[int(x[at])]:
                 start = at - place
                 end = start + len(window)
                 if start >= 0 and end <= n and words[start:end] == window:
                     found.append((start, end))
                     items.update(of)
-        for start, end in sorted(found):
-            if spans and start <= spans[-1][1]:
-                spans[-1][1] = max(end, spans[-1][1])
-            else:
-                spans.append([start, end])
-        return [tuple(x) for x in spans], items
+    spans: list[list[int]] = []
+    for start, end in sorted(found):
+        if spans and start <= spans[-1][1]:
+            spans[-1][1] = max(end, spans[-1][1])
+        else:
+            spans.append([start, end])
+    return [tuple(x) for x in spans], items
 
 
-def blocks_of(benchmark: DataFrame, size: int, block_windows: int) -> Iterator[tuple[dict, list[str]]]:
-    """Blocks of windows, read item by item: {window: item numbers} and the items' ids. The driver holds one block."""
+def blocks_of(benchmark: DataFrame, size: int, block_windows: int) -> Iterator[Block]:
+    """Blocks of windows, read item by item."""
     windows: dict[tuple[bytes, ...], list[int]] = {}
     ids: list[str] = []
     for row in benchmark.select(F.col("item_id").cast("string").alias("i"), "text").toLocalIterator():
@@ -101,32 +154,31 @@ def blocks_of(benchmark: DataFrame, size: int, block_windows: int) -> Iterator[t
         for window in set(windows_of(words_of(row["text"]), size)):
             windows.setdefault(window, []).append(len(ids) - 1)
         if len(windows) >= block_windows:
-            yield windows, ids
+            yield Block(list(windows.items()), ids)
             windows, ids = {}, []
     if windows:
-        yield windows, ids
+        yield Block(list(windows.items()), ids)
 
 
-def find_matches(docs: DataFrame, index: WindowIndex, ids: list[str]) -> DataFrame:
-    """The columns of ``docs`` but for the text, and n_words, spans (array of start, end), items (array of ids)."""
-    keep = [f for f in docs.schema if f.name != "text"]
-    shared = docs.sparkSession.sparkContext.broadcast((index.by_word, ids))
+def find_matches(rows: DataFrame, block: Block | None) -> DataFrame:
+    """key, n_words, spans (array of start, end), items (array of ids) for ``rows(key, text)``, the key a string."""
+    spark = rows.sparkSession
+    counts = {} if block is None else {r["shingle"] & (2**64 - 1): r["n"] for r in corpus_counts(rows, block.vocabulary()).toLocalIterator()}  # the block's shingles at most
+    shared = spark.sparkContext.broadcast(({}, []) if block is None else (block.prefixes(counts), block.ids))
 
     def match(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        index, ids = WindowIndex(shared.value[0]), shared.value[1]
+        (prefixes, ids), known = shared.value, ByteHashes()
         for frame in frames:
             n, spans, items = [], [], []
             for text in frame["text"]:
                 words = words_of(text)
-                got, of = index.matches(words)
+                got, of = matches(words, known.of(words), prefixes) if prefixes else ([], ())
                 n.append(len(words))
                 spans.append([{"s": s, "e": e} for s, e in got])
                 items.append([ids[i] for i in of])
-            out = frame.drop(columns="text")
-            yield out.assign(n_words=n, spans=spans, items=items)
+            yield pd.DataFrame({"key": frame["key"], "n_words": n, "spans": spans, "items": items})
 
-    kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in keep)
-    return docs.mapInPandas(match, f"{kinds}{', ' if kinds else ''}n_words long, spans array<struct<s:long,e:long>>, items array<string>")
+    return rows.mapInPandas(match, "key string, n_words long, spans array<struct<s:long,e:long>>, items array<string>")
 
 
 def united(spans: pd.Series) -> pd.Series:
@@ -144,30 +196,27 @@ def united(spans: pd.Series) -> pd.Series:
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, size: int = 10, block_windows: int = 200_000) -> DataFrame:
     """doc_id, n_words, n_hit, n_items, items_sha256, contaminated, spans, items: a row per row of ``docs``."""
-    spark = docs.sparkSession
-    rows = docs.select("doc_id", "text")
-    parts = []
-    for windows, ids in blocks_of(benchmark, size, block_windows):
-        vocabulary = frozenset(w for window in windows for w in window)
-        counts = {bytes(r["word"]): r["n"] for r in corpus_counts(rows, vocabulary).toLocalIterator()}  # the block's words at most
-        parts.append((WindowIndex.of_windows(windows, counts), ids))
-    parts = parts or [(WindowIndex({}), [])]
-    if len(parts) == 1:
-        found = find_matches(rows, *parts[0])
-    else:  # a row keeps its place in the input: rows that repeat stay apart
-        keyed = rows.withColumn("_key", F.monotonically_increasing_id())
-        found = None
-        for part in parts:
-            one = find_matches(keyed, *part)
-            found = one if found is None else found.unionByName(one)
-        found = found.groupBy("_key").agg(
-            F.first("doc_id").alias("doc_id"),
-            F.max("n_words").alias("n_words"),
-            F.flatten(F.collect_list("spans")).alias("spans"),
-            F.flatten(F.collect_list("items")).alias("items"),
+    rows = docs.select(id_as_string(docs, "doc_id"), "text")
+    blocks = blocks_of(benchmark, size, block_windows)
+    block, more = next(blocks, None), next(blocks, None)
+    if more is None:
+        found = find_matches(rows.withColumnRenamed("doc_id", "key"), block).withColumnRenamed("key", "doc_id")
+    else:  # a row is known by its place in a written table: rows that repeat stay apart
+        keyed = written(rows.withColumn("key", F.monotonically_increasing_id().cast("string")), "keyed")
+        parts = []
+        while block is not None:
+            parts.append(written(find_matches(keyed.select("key", "text"), block), "matches"))
+            block, more = more, next(blocks, None) if more is not None else None
+        found = parts[0]
+        for part in parts[1:]:
+            found = found.unionByName(part)
+        found = found.groupBy("key").agg(
+            F.max("n_words").alias("n_words"), F.flatten(F.collect_list("spans")).alias("spans"), F.flatten(F.collect_list("items")).alias("items")
         )
+        found = keyed.select("key", "doc_id").join(found, "key").drop("key")
     n_hit = F.pandas_udf(united, "long")
-    sha = F.sha2(F.array_join(F.array_sort("items"), ","), 256)
-    return found.withColumn("items", F.array_distinct("items")).select(
-        "doc_id", "n_words", n_hit("spans").alias("n_hit"), F.size("items").cast("long").alias("n_items"), sha.alias("items_sha256"), (F.size("spans") > 0).alias("contaminated"), "spans", "items"
+    found = found.withColumn("items", F.array_sort(F.array_distinct("items")))
+    sha = F.sha2(F.array_join("items", ","), 256)
+    return found.select(
+        id_back(docs, "doc_id"), "n_words", n_hit("spans").alias("n_hit"), F.size("items").cast("long").alias("n_items"), sha.alias("items_sha256"), (F.size("spans") > 0).alias("contaminated"), "spans", "items"
     )
