@@ -5,9 +5,11 @@ that one shorter piece at most is left, the first. What matters for packing is h
 length: at most ``capacity`` numbers, whatever the size of the corpus. On these the driver searches: best-fit
 decreasing, done on whole groups of equal bins, gives the first incumbent; if it misses the lower bound, a
 branch-and-bound completes bins around the largest length left, trying fillings that no other filling dominates
-(full ones first), in as many bins at once as the counts allow, and gives up a branch when its waste exceeds what
-a better solution may waste. Every piece is placed whatever the search does; a limit on its nodes only ends the
-hunt for a better incumbent.
+(those that waste least first), in as many bins at once as the counts allow or half as many, and so on down to one,
+and gives up a branch when its waste exceeds what a better solution may waste. All such fillings are enumerated: the
+search is exact if it ends. ``steps`` is its budget (None: no limit); at its end the incumbent stands, and the
+``Solution`` tells the lower bound beside it and whether the search was complete. Every piece is placed whatever the
+search does.
 
 Pieces are numbered within their length (a number within the task that made them, plus a prefix sum over tasks),
 and the number alone says which bin of which pattern a piece goes to: no group of equal lengths is ever gathered.
@@ -18,10 +20,12 @@ an empty table; other columns are ignored.
 
 from __future__ import annotations
 
+import logging
 import zlib
 from bisect import bisect_right
 from collections import defaultdict
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
@@ -29,9 +33,14 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import written
+from .common import id_as_string, id_back, written
 from .tokens import tokenizer
 
+log = logging.getLogger(__name__)
+
+#: budget of the search, some two seconds
+STEPS = 100_000
+
 #: (number of bins, ((length, how many of it in each bin), ...))
 Pattern = tuple[int, tuple[tuple[int, int], ...]]
 
@@ -87,11 +96,25 @@ def bins_of(patterns: list[Pattern]) -> int:
     return sum(n for n, _ in patterns)
 
 
-def fillings(room: int, counts: dict[int, int], most_waste: int, most: int = 3) -> Iterator[tuple[tuple[int, int], ...]]:
-    """Undominated fillings of ``room`` from ``counts``, least waste first, at most ``most``.
+class Budget:
+    """Steps that a search may still take; None is no limit."""
+
+    def __init__(self, steps: int | None):
+        self.left, self.spent_all = steps, False
+
+    def step(self) -> bool:
+        if self.left is None:
+            return True
+        self.left -= 1
+        self.spent_all = self.spent_all or self.left < 0
+        return self.left >= 0
+
+
+def fillings(room: int, counts: dict[int, int], most_waste: int, budget: Budget, all_kinds: bool = False) -> Iterator[tuple[tuple[int, int], ...]]:
+    """All undominated fillings of ``room`` from ``counts``, least waste first; with ``all_kinds`` dominated ones too.
 
     Bits of an integer tell which sums can be reached with the sizes up to each; walking back from the largest
-    size, largest numbers first, reads fillings off them. A filling that leaves room for another item is dominated.
+    size, largest numbers first, reads fillings off them, and each path of the walk ends in a filling.
     """
     sizes = sorted(s for s, n in counts.items() if n and s <= room)
     mask, reach = (1 << (room + 1)) - 1, [1]
@@ -102,26 +125,22 @@ def fillings(room: int, counts: dict[int, int], most_waste: int, most: int = 3)
             bits |= (bits << (step * size)) & mask
             left, take = left - step, take * 2
         reach.append(bits)
-    given, sums = 0, reach[-1]
+    sums = reach[-1]
     while sums:
         target = sums.bit_length() - 1
         if room - target > most_waste:
             return
         sums ^= 1 << target
         stack: list[tuple[int, int, tuple[tuple[int, int], ...]]] = [(len(sizes), target, ())]
-        tried = 0
-        while stack and tried < 4 * most:
+        while stack:
+            if not budget.step():
+                return
             i, rest, chosen = stack.pop()
             if not rest:
-                tried += 1
-                if not _dominated(chosen, counts, room - target):
+                if all_kinds or not _dominated(chosen, counts, room - target):
                     yield chosen
-                    given += 1
-                    if given >= most:
-                        return
                 continue
-            while i and not (reach[i] ^ reach[i - 1]) >> rest & 1 and sizes[i - 1] > rest:
-                i -= 1
+            i = min(i, bisect_right(sizes, rest))
             if not i:
                 continue
             size = sizes[i - 1]
@@ -149,7 +168,7 @@ def least_waste(counts: dict[int, int], capacity: int) -> list[Pattern]:
     for largest in sorted(counts, reverse=True):
         while left[largest]:
             left[largest] -= 1
-            use = dict(next(fillings(capacity - largest, left, capacity, 1), ()))
+            use = dict(next(fillings(capacity - largest, left, capacity, Budget(None), True), ()))
             left[largest] += 1
             use[largest] = use.get(largest, 0) + 1
             n = min(left[s] // k for s, k in use.items())
@@ -159,22 +178,35 @@ def least_waste(counts: dict[int, int], capacity: int) -> list[Pattern]:
     return out
 
 
-def solve(counts: dict[int, int], capacity: int, nodes: int = 3000) -> list[Pattern]:
-    """Patterns that hold all of ``counts`` (length -> pieces), in as few bins as the search finds in ``nodes`` steps."""
+@dataclass
+class Solution:
+    patterns: list[Pattern]
+    bins: int
+    bound: int  # no packing has fewer bins
+    proven: bool  # the bins are as few as can be
+
+
+def solve(counts: dict[int, int], capacity: int, steps: int | None = STEPS) -> list[Pattern]:
+    """The patterns that ``search`` finds."""
+    return search(counts, capacity, steps).patterns
+
+
+def search(counts: dict[int, int], capacity: int, steps: int | None = STEPS) -> Solution:
+    """Patterns that hold all of ``counts`` (length -> pieces), in as few bins as the search finds in ``steps``."""
     counts = {s: n for s, n in counts.items() if n}
     if not counts:
-        return []
-    best = best_fit(counts, capacity)
-    if bins_of(best) > lower_bound(counts, capacity):
+        return Solution([], 0, 0, True)
+    best, bound, total = best_fit(counts, capacity), lower_bound(counts, capacity), sum(s * n for s, n in counts.items())
+    if bins_of(best) > bound:
         best = min(best, least_waste(counts, capacity), key=bins_of)
-    fewest, bound, total = bins_of(best), lower_bound(counts, capacity), sum(s * n for s, n in counts.items())
+    fewest, budget = bins_of(best), Budget(steps)
     sizes = sorted(counts, reverse=True)
 
     def choices(left: dict[int, int], waste: int) -> Iterator[tuple[int, tuple[tuple[int, int], ...], int]]:
         """(bins, content, waste) around the largest length left, what wastes least in the most bins first."""
         largest = next(s for s in sizes if left[s])
         rest = left | {largest: left[largest] - 1}
-        for option in fillings(capacity - largest, rest, (fewest - 1) * capacity - total - waste):
+        for option in fillings(capacity - largest, rest, (fewest - 1) * capacity - total - waste, budget):
             use = dict(option)
             use[largest] = use.get(largest, 0) + 1
             lost = capacity - sum(s * k for s, k in use.items())
@@ -187,10 +219,9 @@ def solve(counts: dict[int, int], capacity: int, nodes: int = 3000) -> list[Patt
     made: list[Pattern] = []
     left, waste = dict(counts), 0
     stack = [(choices(left, 0), 0)]
-    while stack and nodes and fewest > bound:
+    while stack and fewest > bound and budget.step():
         options, before = stack[-1]
         choice = next(options, None)
-        nodes -= 1
         if choice is None:
             stack.pop()
             if made:  # undo the choice that led here
@@ -210,12 +241,11 @@ def solve(counts: dict[int, int], capacity: int, nodes: int = 3000) -> list[Patt
         n, content = made.pop()
         for s, k in content:
             left[s] += n * k
-    return best
+    return Solution(best, fewest, bound, fewest == bound or not budget.spent_all)
 
 
 def make_pieces(docs: DataFrame, path: str, capacity: int = 1024, end_id: int = 2, keep_ids: bool = True) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32, task, number (of the piece among the task's of its length), and ids."""
-    id_type = docs.schema["doc_id"].dataType.simpleString()
     end = np.array([end_id], "<u4").tobytes()
 
     def cut(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -235,8 +265,9 @@ def make_pieces(docs: DataFrame, path: str, capacity: int = 1024, end_id: int =
                     numbers[length] += 1
             yield pd.DataFrame(rows, columns=["doc_id", "piece", "start", "length", "ids_crc32", "task", "number", *["ids"] * keep_ids])
 
-    schema = f"doc_id {id_type}, piece int, start long, length long, ids_crc32 long, task int, number long{', ids binary' * keep_ids}"
-    return docs.select("doc_id", "text").mapInPandas(cut, schema)
+    schema = f"doc_id string, piece int, start long, length long, ids_crc32 long, task int, number long{', ids binary' * keep_ids}"
+    made = docs.select(id_as_string(docs, "doc_id"), "text").mapInPandas(cut, schema)
+    return made.withColumn("doc_id", id_back(docs, "doc_id"))
 
 
 class Places:
@@ -271,12 +302,15 @@ class Places:
         return sequence, offset
 
 
-def place_pieces(pieces: DataFrame, capacity: int = 1024, nodes: int = 3000) -> DataFrame:
+def place_pieces(pieces: DataFrame, capacity: int = 1024, steps: int | None = STEPS) -> DataFrame:
     """``pieces(length, task, number, ...)``, a table that stays as it is, with sequence_id and offset in place of task and number."""
     spark = pieces.sparkSession
     groups = pieces.groupBy("length", "task").agg(F.count("*").alias("n"))
     totals = {r["length"]: r["n"] for r in groups.groupBy("length").agg(F.sum("n").alias("n")).collect()}  # capacity rows at most
-    places = spark.sparkContext.broadcast(Places.of_patterns(solve(totals, capacity, nodes)).table)  # some patterns per length
+    found = search(totals, capacity, steps)
+    if not found.proven:
+        log.info("packed into %d sequences; no packing has fewer than %d", found.bins, found.bound)
+    places = spark.sparkContext.broadcast(Places.of_patterns(found.patterns).table)  # some patterns per length
     before = F.sum("n").over(Window.partitionBy("length").orderBy("task").rowsBetween(Window.unboundedPreceding, -1))
     based = groups.withColumn("base", F.coalesce(before, F.lit(0))).drop("n")
     numbered = pieces.join(based, ["length", "task"]).withColumn("number", F.col("number") + F.col("base")).drop("base", "task")
@@ -289,8 +323,8 @@ def place_pieces(pieces: DataFrame, capacity: int = 1024, nodes: int = 3000) ->
     return numbered.withColumn("_at", place("length", "number")).select("*", "_at.sequence_id", "_at.offset").drop("_at", "number")
 
 
-def pack_documents(docs: DataFrame, path: str, capacity: int = 1024, end_id: int = 2, keep_ids: bool = True) -> DataFrame:
+def pack_documents(docs: DataFrame, path: str, capacity: int = 1024, end_id: int = 2, keep_ids: bool = True, steps: int | None = STEPS) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32, sequence_id, offset, and the piece's ids (little-endian unsigned 32-bit)."""
     pieces = written(make_pieces(docs, path, capacity, end_id, keep_ids), "pieces")
-    out = place_pieces(pieces, capacity)
+    out = place_pieces(pieces, capacity, steps)
     return out.select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset", *["ids"] * keep_ids)
