@@ -32,7 +32,7 @@ def op4_packing(spark: SparkSession, sf_dir: str, path: str = BYTE_BPE) -> DataF
 
 
 def op5_repeated_bytes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return repeated_bytes.remove_repeats(table(spark, sf_dir, "documents"))
+    return repeated_bytes.remove_repeats(table(spark, sf_dir, "documents"), passage_words=50)
 
 
 def op6_huffman_ids(spark: SparkSession, sf_dir: str, path: str = WORD_BPE) -> DataFrame:
