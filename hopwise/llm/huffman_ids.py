@@ -25,7 +25,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import forget, shared_folder, written
+from .common import forget, id_as_string, id_back, shared_folder, written
 from .tokens import tokenizer
 
 LIMIT, EVERY, BLOCK_IDS = 18, 128, 65_536
@@ -105,7 +105,6 @@ class Codebook:
 
 def token_table(docs: DataFrame, path: str, end_id: int) -> DataFrame:
     """doc_id, ids: 16-bit where the vocabulary allows it, else 32-bit."""
-    id_type = docs.schema["doc_id"].dataType.simpleString()
     kind = id_kind(path)
 
     def encode(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -114,7 +113,7 @@ def token_table(docs: DataFrame, path: str, end_id: int) -> DataFrame:
             ids = [np.frombuffer(tokens.ids(t) + end, "<u4").astype(kind).tobytes() for t in frame["text"]]
             yield pd.DataFrame({"doc_id": frame["doc_id"], "ids": ids})
 
-    return docs.select("doc_id", "text").mapInPandas(encode, f"doc_id {id_type}, ids binary")
+    return docs.select(id_as_string(docs, "doc_id"), "text").mapInPandas(encode, "doc_id string, ids binary").withColumn("doc_id", id_back(docs, "doc_id"))
 
 
 def id_kind(path: str) -> str:
@@ -162,7 +161,7 @@ def write_ids(docs: DataFrame, path: str, to: str | None = None, end_id: int = 1
 
         for frame in frames:
             for doc_id, data in zip(frame["doc_id"], frame["ids"], strict=True):
-                doc_ids.append(None if pd.isna(doc_id) else doc_id)
+                doc_ids.append(doc_id)
                 arrays.append(np.frombuffer(data, kind))
                 held += len(arrays[-1])
                 if held >= block_ids:
@@ -171,9 +170,10 @@ def write_ids(docs: DataFrame, path: str, to: str | None = None, end_id: int = 1
         if arrays:
             yield row()
 
-    schema = f"part int, block long, doc_ids array<{id_type}>, lengths array<long>, n_ids long, checkpoints array<long>, payload binary"
-    dealt = tokens.repartitionByRange(F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "ids")
-    dealt.mapInPandas(blocks, schema).write.parquet(f"{to}/blocks")
+    schema = "part int, block long, doc_ids array<string>, lengths array<long>, n_ids long, checkpoints array<long>, payload binary"
+    order = [F.col("doc_id").asc_nulls_first(), F.xxhash64("ids").asc(), F.col("ids").asc()]  # an id that many rows repeat is split by its ids' hash
+    dealt = tokens.repartitionByRange(*order[:2]).sortWithinPartitions(*order).select(id_as_string(tokens, "doc_id"), "ids")
+    dealt.mapInPandas(blocks, schema).withColumn("doc_ids", F.col("doc_ids").cast(f"array<{id_type}>")).write.parquet(f"{to}/blocks")
     forget(tokens)
     return to
 
@@ -196,8 +196,8 @@ def read_ids(spark: SparkSession, folder: str, every: int = EVERY, keep_ids: boo
                 out = pd.DataFrame({"doc_id": pd.Series(list(doc_ids), dtype=object), "part": part, "block": block, "within": within, "n_tokens": lengths, "ids_crc32": [zlib.crc32(x) for x in data]})
                 yield out.assign(ids=data) if keep_ids else out
 
-    read = blocks.select("part", "block", "doc_ids", "lengths", "n_ids", "checkpoints", "payload")
-    rows = read.mapInPandas(decode, f"doc_id {id_type}, part int, block long, within long, n_tokens long, ids_crc32 long{', ids binary' * keep_ids}")
+    read = blocks.select("part", "block", F.col("doc_ids").cast("array<string>").alias("doc_ids"), "lengths", "n_ids", "checkpoints", "payload")
+    rows = read.mapInPandas(decode, f"doc_id string, part int, block long, within long, n_tokens long, ids_crc32 long{', ids binary' * keep_ids}")
     sizes = blocks.select("part", "block", "n_ids")
     parts = sizes.groupBy("part").agg(F.sum("n_ids").alias("n"))
     up_to = lambda *by: (Window.partitionBy(*by) if by else Window.partitionBy())
@@ -207,4 +207,4 @@ def read_ids(spark: SparkSession, folder: str, every: int = EVERY, keep_ids: boo
     inner = sizes.select("part", "block", before("n_ids", up_to("part").orderBy("block")).alias("block_base"))
     base = inner.join(bases, "part").select("part", "block", (F.col("part_base") + F.col("block_base")).alias("base"))
     out = rows.join(base, ["part", "block"])
-    return out.select("doc_id", (F.col("base") + F.col("within")).alias("start"), "n_tokens", "ids_crc32", *["ids"] * keep_ids)
+    return out.select(F.col("doc_id").cast(id_type).alias("doc_id"), (F.col("base") + F.col("within")).alias("start"), "n_tokens", "ids_crc32", *["ids"] * keep_ids)
