@@ -21,19 +21,28 @@ import hashlib
 import re
 import unicodedata
 from collections.abc import Iterator
+from itertools import groupby
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import id_as_string, id_back
+
 # The patterns of the base identifiers.
 KINDS = ("email", "ip", "card", "phone")
 PATTERNS = {
-    "email": re.compile(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+"),
-    "ip": re.compile(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)"),
-    "card": re.compile(r"[0-9]([\x20-]?[0-9])+"),
-    "phone": re.compile(r"\+[0-9][\x20().0-9-]+[0-9]"),
+    "email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+",
+    "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)",
+    "card": r"[0-9]([\x20-]?[0-9])+",
+    "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
 }
+#: the same matches, found in time proportional to the text: no attempt starts inside a run that has failed already
+_CARD, _PHONE = re.compile(PATTERNS["card"]), re.compile(PATTERNS["phone"])
+_IP = re.compile(r"(?<![0-9])[0-9]++(?:\.[0-9]++){3}")
+_HOST = re.compile(r"[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++")
+_NAME_CHARACTERS = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 #: what a text must hold for a kind to be looked for
 _NEEDS = {"email": re.compile("@"), "ip": re.compile(r"[0-9]\.[0-9]+\."), "card": re.compile(r"[0-9](?:[\x20-]?[0-9]){15}"), "phone": re.compile(r"\+[0-9]")}
 _DIGITS = re.compile("[0-9]")
@@ -60,14 +69,33 @@ def valid(kind: str, found: str) -> bool:
     return True
 
 
+def emails(text: str) -> Iterator[tuple[int, int]]:
+    """Spans of PATTERNS["email"]: from each @, back over the name and on over the host."""
+    last, at = 0, text.find("@")
+    while at >= 0:
+        host = _HOST.match(text, at + 1)
+        if host is not None:
+            start = at
+            while start > last and text[start - 1] in _NAME_CHARACTERS:
+                start -= 1
+            if start < at:
+                last = host.end()
+                yield start, last
+        at = text.find("@", max(at + 1, last))
+
+
+def matches(kind: str, text: str) -> Iterator[tuple[int, int]]:
+    if kind == "email":
+        return emails(text)
+    return (m.span() for m in {"ip": _IP, "card": _CARD, "phone": _PHONE}[kind].finditer(text))
+
+
 def base_spans(text: str) -> list[tuple[str, int, int]]:
     """(kind, start, end) by kind, then start."""
     out = []
     for kind in KINDS:
         if _NEEDS[kind].search(text):
-            for m in PATTERNS[kind].finditer(text):
-                if valid(kind, m[0]):
-                    out.append((kind, m.start(), m.end()))
+            out += [(kind, s, e) for s, e in matches(kind, text) if valid(kind, text[s:e])]
     return out
 
 
@@ -76,12 +104,16 @@ class Rewritten:
 
     __slots__ = ("text", "starts", "ends")
 
-    def __init__(self, text: str, starts: list[int], ends: list[int]):
+    def __init__(self, text: str, starts: np.ndarray, ends: np.ndarray):
         self.text, self.starts, self.ends = text, starts, ends
 
     @classmethod
     def of(cls, text: str) -> Rewritten:
-        return cls(text, list(range(len(text))), list(range(1, len(text) + 1)))
+        at = np.arange(len(text) + 1, dtype=np.int32)
+        return cls(text, at[:-1], at[1:])
+
+    def source(self, start: int, end: int) -> tuple[int, int]:
+        return int(self.starts[start]), int(self.ends[end - 1])
 
     def replaced(self, edits: list[tuple[int, int, str]]) -> Rewritten:
         """``edits``: (start, end, new) in order, not overlapping. New characters stand for the whole edited span."""
@@ -89,16 +121,15 @@ class Rewritten:
             return self
         text, starts, ends, last = [], [], [], 0
         for s, e, new in edits:
-            text.append(self.text[last:s])
-            starts += self.starts[last:s]
-            ends += self.ends[last:s]
-            text.append(new)
-            if e > s:
-                starts += [self.starts[s]] * len(new)
-                ends += [self.ends[e - 1]] * len(new)
+            text += [self.text[last:s], new]
+            starts.append(self.starts[last:s])
+            ends.append(self.ends[last:s])
+            if e > s and new:
+                starts.append(np.full(len(new), self.starts[s]))
+                ends.append(np.full(len(new), self.ends[e - 1]))
             last = e
         text.append(self.text[last:])
-        return Rewritten("".join(text), starts + self.starts[last:], ends + self.ends[last:])
+        return Rewritten("".join(text), np.concatenate([*starts, self.starts[last:]]), np.concatenate([*ends, self.ends[last:]]))
 
 
 # Letters of other scripts that look like ASCII letters, each string against the ASCII one below it.
@@ -200,7 +231,7 @@ def identifying(text: str, start: int, end: int) -> list[tuple[int, int, str]]:
         edits = joined(run, 0, len(run), tight)
         x = Rewritten.of(run).replaced(edits)
         for _, s, e in base_spans(x.text):
-            a, b = x.starts[s], x.ends[e - 1]
+            a, b = x.source(s, e)
             needed = [w for w in spelled if a <= w[0] and w[1] <= b]
             # a word before or behind what is an identifier without it is a word
             edge = any(w[0] == a or w[1] == b for w in needed) and any(a <= p and q <= b for _, p, q in plain)
@@ -214,13 +245,12 @@ _AT_WORD = r"(?:at|ät|arroba|arobase|chez|bei|klammeraffe)"
 _DOT_WORD = r"(?:dot|punkt|point|punto|d0t)"
 _O, _C = r"[\[({<]", r"[\])}>]"
 #: in brackets, or set apart by marks
-_AT_MARK = re.compile(rf"\s*(?:{_O}\s*(?:{_AT_WORD}|@)\s*{_C}|(?<=[A-Za-z0-9])\s*[_*-]+\s*{_AT_WORD}\s*[_*-]+|&#0*64;|&commat;|%40)\s*", re.I)
-_DOT_MARK = re.compile(rf"\s*(?:{_O}\s*(?:{_DOT_WORD}|\.)\s*{_C}|(?<=[A-Za-z0-9])\s*[_*-]+\s*{_DOT_WORD}\s*[_*-]+|&#0*46;|&period;)\s*", re.I)
+_AT_MARK = re.compile(rf"(?<!\s)\s*(?:{_O}\s*(?:{_AT_WORD}|@)\s*{_C}|(?<=[A-Za-z0-9])\s*[_*-]+\s*{_AT_WORD}\s*[_*-]+|&#0*64;|&commat;|%40)\s*", re.I)
+_DOT_MARK = re.compile(rf"(?<!\s)\s*(?:{_O}\s*(?:{_DOT_WORD}|\.)\s*{_C}|(?<=[A-Za-z0-9])\s*[_*-]+\s*{_DOT_WORD}\s*[_*-]+|&#0*46;|&period;)\s*", re.I)
 #: as plain words: only name AT host DOT end, in that order
 _PLAIN = re.compile(rf"(?<![A-Za-z0-9._%+-])([A-Za-z0-9._%+-]{{1,64}}(?:\s+{_DOT_WORD}\s+[A-Za-z0-9_%+-]{{1,64}}){{0,3}})\s+{_AT_WORD}\s+([A-Za-z0-9-]{{1,63}}(?:(?:\s+{_DOT_WORD}\s+|\.)[A-Za-z0-9-]{{1,63}}){{0,4}}\s+{_DOT_WORD}\s+[A-Za-z]{{2,24}})(?![A-Za-z0-9-])", re.I)
 _HALF = re.compile(rf"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{{1,64}}(@|\s+@\s*|\s*@\s+|\s+{_AT_WORD}\s+)[A-Za-z0-9-]{{1,63}}((?:\s+{_DOT_WORD}\s+|\.)[A-Za-z0-9-]{{1,63}})+(?![A-Za-z0-9-])", re.I)
-_AT = re.compile(rf"(?<![A-Za-z])\s+{_AT_WORD}\s+|\s+{_AT_WORD}\s+", re.I)
-_DOT = re.compile(rf"\s+{_DOT_WORD}\s+", re.I)
+_DOT = re.compile(rf"(?<!\s)\s+{_DOT_WORD}\s+", re.I)
 _HINT = re.compile(rf"(?<!\w){_AT_WORD}(?!\w)[^\n]{{1,200}}?(?<!\w){_DOT_WORD}(?!\w)|{_O}\s*(?:{_AT_WORD}|{_DOT_WORD}|@|\.)\s*{_C}|[_*-]{_AT_WORD}[_*-]|&#0*(?:64|46);|&commat;|&period;|%40|@[^\n]{{1,100}}?\s{_DOT_WORD}\s|[A-Za-z0-9] @|@ [A-Za-z0-9]|(?<!\w){_AT_WORD}\s+[A-Za-z0-9-]+\.[A-Za-z]", re.I)
 #: top-level names after which "name at host.end" is taken for an address
 _ENDS = re.compile(r"(?:\.|\s)(?:com|net|org|edu|gov|info|biz|io|co|de|fr|es|eu|uk|us|at|ch|example|test)$", re.I)
@@ -260,15 +290,23 @@ def all_spans(text: str) -> tuple[list[tuple[str, int, int]], list[tuple[str, in
     x = at_and_dot(spelled_digits(homoglyphs(Rewritten.of(text) if _suspect(text) else _SAME)))
     if x is _SAME or x.text == text:
         return base, base
-    taken = {k: [(s, e) for kind, s, e in base if kind == k] for k in KINDS}
-    for kind, s, e in base_spans(x.text):
-        start, end = x.starts[s], x.ends[e - 1]
-        if not any(a <= start and end <= b for a, b in taken[kind]):
-            taken[kind].append((start, end))
-    return base, [(k, s, e) for k in KINDS for s, e in sorted(taken[k])]
+    out = []
+    for kind, spans in groupby(sorted([*base, *((k, *x.source(s, e)) for k, s, e in base_spans(x.text))], key=lambda f: KINDS.index(f[0])), key=lambda f: f[0]):
+        out += outermost([f[1:] for f in spans], {f[1:] for f in base if f[0] == kind}, kind)
+    return base, out
+
+
+def outermost(spans: list[tuple[int, int]], base: set[tuple[int, int]], kind: str) -> list[tuple[str, int, int]]:
+    """The spans of a kind, in order: those of ``base``, and others that no longer or earlier span holds."""
+    out, reach = [], -1
+    for s, e in sorted(set(spans), key=lambda x: (x[0], -x[1])):
+        if (s, e) in base or e > reach:
+            out.append((kind, s, e))
+        reach = max(reach, e)
+    return sorted(out, key=lambda x: x[1:])
 
 
-_SAME = Rewritten("", [], [])
+_SAME = Rewritten.of("")
 
 
 def _suspect(text: str) -> bool:
@@ -298,8 +336,7 @@ def redacted(text: str, spans: list[tuple[str, int, int]]) -> str:
 
 
 def find_pii(docs: DataFrame, redact: bool = False) -> DataFrame:
-    """doc_id, n_email, n_ip, n_card, n_phone, base_sha256 (base spans), spans (all), and ``redacted`` if asked for."""
-    id_type = docs.schema["doc_id"].dataType.simpleString()
+    """doc_id, n_email, n_ip, n_card, n_phone, base_sha256 (base spans), spans and n_spans (all), and ``redacted`` if asked for."""
 
     def find(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
@@ -308,15 +345,17 @@ def find_pii(docs: DataFrame, redact: bool = False) -> DataFrame:
                 text = text or ""
                 base, spans = all_spans(text)
                 kinds = [k for k, _, _ in base]
-                row = [*map(kinds.count, KINDS), hashlib.sha256(spans_text(base).encode()).hexdigest(), spans_text(spans)]
+                row = [*map(kinds.count, KINDS), hashlib.sha256(spans_text(base).encode()).hexdigest(), spans_text(spans), len(spans)]
                 rows.append(row + [redacted(text, spans)] * redact)
-            names = [*(f"n_{k}" for k in KINDS), "base_sha256", "spans", *["redacted"] * redact]
+            names = [*(f"n_{k}" for k in KINDS), "base_sha256", "spans", "n_spans", *["redacted"] * redact]
             out = pd.DataFrame(rows, columns=names)
             out.insert(0, "doc_id", frame["doc_id"].to_numpy())
             yield out
 
     counts = ", ".join(f"n_{k} long" for k in KINDS)
-    return docs.select("doc_id", "text").mapInPandas(find, f"doc_id {id_type}, {counts}, base_sha256 string, spans string{', redacted string' * redact}")
+    schema = f"doc_id string, {counts}, base_sha256 string, spans string, n_spans long{', redacted string' * redact}"
+    found = docs.select(id_as_string(docs, "doc_id"), "text").mapInPandas(find, schema)
+    return found.withColumn("doc_id", id_back(docs, "doc_id"))
 
 
 def redact_documents(docs: DataFrame, column: str = "text") -> DataFrame:
