@@ -11,9 +11,10 @@ and the first turn of a conversation is preceded by ``<s>``. Control strings ins
 backslash behind their first character (and one more where backslashes stand there already), so that the
 output can be parsed back into exactly the texts that went in.
 
-Turns of a conversation are dealt to one task by ``conv_id`` and come sorted by turn (ties: role, then text);
-they stream through it, a batch at a time, each giving one row, so no conversation is ever held whole. Null
-text is empty, null role is the empty role, null conv_id is a conversation of its own, null turns come
+Turns are dealt by ranges of (conv_id, turn, role, text) and stream through their task in that order, a batch at a
+time, each giving one row: a conversation of any length is spread over tasks, and none is held whole. Where a
+conversation goes on in the next task, its count of turns goes on too. Only a digest over all turns of a
+conversation, which is a chain, is made by one task, again streaming. Null text is empty, null role is the empty role, null conv_id is a conversation of its own, null turns come
 first. Rows that repeat are turns that repeat. An empty table gives an empty table; other columns are ignored.
 """
 
@@ -26,12 +27,13 @@ from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark import TaskContext
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import written
+from .common import id_as_string, id_back, written
 
-ASSISTANT = "assistant"
+ASSISTANT, START = "assistant", "<s>"
 PARTS = "array<struct<kind:string,text:string,ref:string,width:int,height:int,seconds:double,pages:int>>"
 SEGMENT = "conv_id {id}, place long, turn {turn}, segment string, loss_start int, loss_end int, attachments array<struct<number:int,kind:string,ref:string,tokens:long>>, expanded_tokens long"
 
@@ -102,7 +104,7 @@ class PartVisitor:
 
 def write_segment(role: str, flat: Flattened, first: bool) -> tuple[str, int, int]:
     """The segment, and where the loss mask lies in it (empty but for the assistant)."""
-    head, text = "<s>" * first, "".join(flat.text)
+    head, text = START * first, "".join(flat.text)
     if role == ASSISTANT:
         head += f"<|{ASSISTANT}|>"
         return f"{head}{text}</s>", len(head), len(head) + len(text)
@@ -120,33 +122,54 @@ def read_segment(segment: str) -> tuple[str, str]:
 def format_conversations(turns: DataFrame, content: str = "text", visitor: PartVisitor | None = None) -> DataFrame:
     """A segment row per row of ``turns(conv_id, turn, role, <content>)``; ``content`` is a string or PARTS."""
     visitor = visitor or PartVisitor()
-    kinds = {f.name: f.dataType.simpleString() for f in turns.schema}
-    plain = kinds[content] in ("string", "void")
+    plain = turns.schema[content].dataType.simpleString() in ("string", "void")
     rows = turns.select("conv_id", "turn", F.coalesce("role", F.lit("")).alias("role"), F.col(content).alias("content"))
-    order = ["conv_id", "turn", "role", F.coalesce("content", F.lit("")) if plain else F.to_json("content")]
+    said = F.coalesce("content", F.lit("")) if plain else F.coalesce(F.to_json("content"), F.lit(""))
+    order = [F.col("conv_id"), F.col("turn"), F.col("role"), F.substring(said, 1, 32)]
+    dealt = rows.repartitionByRange(*order).sortWithinPartitions(*order, said)
 
     def write(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        last, place = object(), 0
+        last, place, task = object(), 0, TaskContext.get().partitionId()
         for frame in frames:
             out = []
             for conv, turn, role, parts in zip(frame["conv_id"], frame["turn"], frame["role"], frame["content"], strict=True):
-                conv = None if pd.isna(conv) else conv
                 place = place + 1 if conv == last else 0
                 last = conv
                 flat = visitor.flatten([{"kind": "text", "text": parts}] if plain else ([] if parts is None else parts))
                 segment, start, end = write_segment(role, flat, place == 0)
                 tokens = sum(x["tokens"] for x in flat.attachments)
-                out.append((conv, place, None if pd.isna(turn) else turn, segment, start, end, flat.attachments, tokens))
-            names = ["conv_id", "place", "turn", "segment", "loss_start", "loss_end", "attachments", "expanded_tokens"]
-            yield pd.DataFrame(out, columns=names).astype({"conv_id": object, "turn": object})
-
-    schema = SEGMENT.format(id=kinds["conv_id"], turn=kinds["turn"])
-    return rows.repartition("conv_id").sortWithinPartitions(*order).mapInPandas(write, schema)
+                out.append((task, conv, place, turn, segment, start, end, flat.attachments, tokens))
+            yield pd.DataFrame(out, columns=["task", "conv_id", "place", "turn", "segment", "loss_start", "loss_end", "attachments", "expanded_tokens"])
+
+    ids = [id_as_string(turns, "conv_id"), id_as_string(turns, "turn"), "role", "content"]
+    made = written(dealt.select(*ids).mapInPandas(write, f"task int, {SEGMENT.format(id='string', turn='string')}"), "segments")
+    whole = continued(made)
+    return whole.select(id_back(turns, "conv_id"), "place", id_back(turns, "turn"), "segment", "loss_start", "loss_end", "attachments", "expanded_tokens")
+
+
+def continued(made: DataFrame) -> DataFrame:
+    """Segments whose places go on where a conversation reaches over several tasks.
+
+    Tasks hold neighbouring ranges, so at most one conversation goes on from one task to the next: the table of
+    what came before has at most a row per task.
+    """
+    each = made.groupBy("conv_id", "task").agg(F.count("*").alias("n"))
+    before = F.sum("n").over(Window.partitionBy("conv_id").orderBy("task").rowsBetween(Window.unboundedPreceding, -1))
+    bases = each.withColumn("base", before).where("base is not null").select(F.col("conv_id").alias("_conv"), F.col("task").alias("_task"), "base")
+    joined = made.join(F.broadcast(bases), made["conv_id"].eqNullSafe(F.col("_conv")) & (made["task"] == F.col("_task")), "left")
+    moved = F.col("base").isNotNull() & (F.col("place") == 0)  # written as a first turn, which it is not
+    cut = F.when(moved, len(START)).otherwise(0)
+    return (
+        joined.withColumn("segment", F.when(moved, F.substring("segment", len(START) + 1, 2**31 - 1)).otherwise(F.col("segment")))
+        .withColumn("loss_start", F.when(F.col("loss_end") > 0, F.col("loss_start") - cut).otherwise(0))
+        .withColumn("loss_end", F.when(F.col("loss_end") > 0, F.col("loss_end") - cut).otherwise(0))
+        .withColumn("place", F.col("place") + F.coalesce("base", F.lit(0)))
+        .drop("_conv", "_task", "base", "task")
+    )
 
 
 def conversation_digests(segments: DataFrame) -> DataFrame:
     """Parses segments back: conv_id, n_turns, turns_sha256, loss_chars, loss_sha256, formatted_chars."""
-    id_type = segments.schema["conv_id"].dataType.simpleString()
 
     def read(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         names = ["conv_id", "n_turns", "turns_sha256", "loss_chars", "loss_sha256", "formatted_chars"]
@@ -154,7 +177,6 @@ def conversation_digests(segments: DataFrame) -> DataFrame:
         for frame in frames:
             out = []
             for conv, segment, start, end in zip(frame["conv_id"], frame["segment"], frame["loss_start"], frame["loss_end"], strict=True):
-                conv = None if pd.isna(conv) else conv
                 if state is None or state[0] != conv:
                     if state:
                         out.append((state[0], state[1], state[2].hexdigest(), state[3], state[4].hexdigest(), state[5]))
@@ -167,13 +189,14 @@ def conversation_digests(segments: DataFrame) -> DataFrame:
                 state[4].update(masked.encode("utf-8", "surrogatepass"))
                 state[5] += len(segment)
             if out:
-                yield pd.DataFrame(out, columns=names).astype({"conv_id": object})
+                yield pd.DataFrame(out, columns=names)
         if state:
-            yield pd.DataFrame([(state[0], state[1], state[2].hexdigest(), state[3], state[4].hexdigest(), state[5])], columns=names).astype({"conv_id": object})
+            yield pd.DataFrame([(state[0], state[1], state[2].hexdigest(), state[3], state[4].hexdigest(), state[5])], columns=names)
 
-    schema = f"conv_id {id_type}, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long"
-    rows = segments.select("conv_id", "place", "segment", "loss_start", "loss_end")
-    return rows.repartition("conv_id").sortWithinPartitions("conv_id", "place").mapInPandas(read, schema)
+    schema = "conv_id string, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long"
+    rows = segments.select(id_as_string(segments, "conv_id"), "place", "segment", "loss_start", "loss_end")
+    found = rows.repartition("conv_id").sortWithinPartitions("conv_id", "place").mapInPandas(read, schema)
+    return found.withColumn("conv_id", id_back(segments, "conv_id"))
 
 
 def format_and_read_back(turns: DataFrame) -> DataFrame:
