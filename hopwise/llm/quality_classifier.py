@@ -1,16 +1,17 @@
 """A quality classifier on learned subword embeddings.
 
 A word is the run between white space. Its vector is the mean of learned vectors in a hash table of buckets:
-one for the word, one for each character n-gram of ``<word>``. Two words that are equal at a distance of one
-to ``BACK`` words are a word n-gram of their own, known by the distance alone (hashing the repeated word would
-make each repetition a new feature). A document's vector is the mean over its words and such n-grams; a
-softmax over two classes reads it. Everything is trained by stochastic gradient descent in numpy, on a bounded
+one for the word, one for each character n-gram of ``<word>``. Runs of two and three words have a learned vector
+each, in a hash table of their own that starts at zero, so that a run never seen in training says nothing. Besides,
+two equal words at a distance of one to ``BACK`` words share a vector by the distance alone. A document's vector is
+the mean over its words, runs of words and equal pairs; a softmax over two classes reads it. Everything is trained
+by stochastic gradient descent in numpy, on a bounded
 sample: of the labelled rows with crc32(doc_id as text) mod 3 other than 1, those with the least hash of the
 id, at most ``per_class`` of each label. All other rows of that kind, and all held-out rows, are never seen.
 Labels enter through the sample alone; lang, source and doc_id are never inputs of a score.
 
-With fixed weights the logit is linear in the mean, so scoring a word means adding one number, which a bounded
-cache keeps. Every document is scored over its whole text in one pass over the table, without a shuffle.
+With fixed weights the logit is linear in the mean, so scoring a word or a run means adding one number; a bounded
+cache keeps those of words. Every document is scored over its whole text in one pass over the table, without a shuffle.
 Null and empty texts have the zero vector, and so the score of the bias. A null label is no label; an id with
 labels that differ takes each as a row. Without any labelled row, or with one class alone, scores are the
 smoothed share of the classes. Ties in the sample's order are broken by the id; rows that repeat score alike.
@@ -18,18 +19,21 @@ smoothed share of the classes. Ties in the sample's order are broken by the id;
 
 from __future__ import annotations
 
-import operator
 import re
 import zlib
+from array import array
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
-from itertools import islice
 
 import numpy as np
 import pandas as pd
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import id_as_string, id_back, mixed
+
 WORDS = re.compile(r"[^\x20\x09-\x0D]+")
 BACK = 6
 #: bytes of the n-grams of ``<word>``
@@ -42,37 +46,68 @@ def buckets_of(word: str, buckets: int) -> list[int]:
     return [crc(data, 7) & mask, *[crc(data[i : i + n], n) & mask for n in N_GRAMS for i in range(len(data) - n + 1)]]
 
 
-def repeats_of(words: list[str]) -> list[int]:
+class WordTable(dict):
+    """word -> its number; ``hashes`` and ``scores`` by number. Emptied between texts when full, so its size is bounded."""
+
+    def __init__(self, line: np.ndarray | None = None, buckets: int = 0, most: int = 300_000):
+        super().__init__()
+        self.line, self.buckets, self.most = None if line is None else line.tolist(), buckets, most
+        self.hashes, self.scores = array("Q"), array("d")
+
+    def __missing__(self, word: str) -> int:
+        at = self[word] = len(self)
+        self.hashes.append(xxhash.xxh64_intdigest(word.encode("utf-8", "surrogatepass")))
+        if self.line is not None:
+            found = buckets_of(word, self.buckets)
+            self.scores.append(sum(map(self.line.__getitem__, found)) / len(found))
+        return at
+
+    def of(self, words: list[str]) -> np.ndarray:
+        if len(self) >= self.most:
+            self.clear()
+            self.hashes, self.scores = array("Q"), array("d")
+        return np.fromiter(map(self.__getitem__, words), np.int64, len(words))
+
+
+def runs_of(hashes: np.ndarray, buckets: int) -> np.ndarray:
+    """The buckets of the runs of two and of three words."""
+    step, mask = np.uint64(0x100000001B3), np.uint64(buckets - 1)
+    two = mixed(hashes[:-1] * step + hashes[1:])
+    three = mixed(two[:-1] * step + hashes[2:])
+    return (np.concatenate([two, three]) & mask).astype(np.int64)
+
+
+def repeats_of(at: np.ndarray) -> np.ndarray:
     """How many words equal the word k before, for k from 1 to BACK."""
-    return [sum(map(operator.eq, words, islice(words, k, None))) for k in range(1, BACK + 1)]
+    return np.array([np.count_nonzero(at[k:] == at[:-k]) for k in range(1, BACK + 1)])
 
 
 @dataclass
 class SubwordModel:
-    vectors: np.ndarray  # buckets + BACK rows
+    vectors: np.ndarray  # buckets of words and characters, BACK rows, as many buckets of runs
     weights: np.ndarray  # 2 x dimensions
     bias: np.ndarray  # 2
 
     @property
     def buckets(self) -> int:
-        return len(self.vectors) - BACK
+        return (len(self.vectors) - BACK) // 2
 
-    def features(self, text: str | None, cache: dict) -> tuple[np.ndarray, np.ndarray]:
+    def features(self, text: str | None, table: WordTable, cache: dict) -> tuple[np.ndarray, np.ndarray]:
         """Rows of ``vectors`` and the share of each in the document's mean."""
         words = WORDS.findall(text or "")
-        repeats = repeats_of(words)
-        total = len(words) + sum(repeats)
-        if not total:
+        if not words:
             return np.zeros(0, np.int64), np.zeros(0, np.float32)
-        counts: dict[str, int] = {}
-        for w in words:
-            counts[w] = counts.get(w, 0) + 1
-        shares = {self.buckets + k: n / total for k, n in enumerate(repeats)}
-        for w, n in counts.items():
+        at = table.of(words)
+        repeats, runs = repeats_of(at), runs_of(np.frombuffer(table.hashes, np.uint64)[at], self.buckets)
+        total = len(words) + len(runs) + int(repeats.sum())
+        shares = {self.buckets + k: n / total for k, n in enumerate(repeats.tolist())}
+        for w, n in Counter(words).items():
             if w not in cache:
                 cache[w] = buckets_of(w, self.buckets)
             for b in cache[w]:
                 shares[b] = shares.get(b, 0.0) + n / (len(cache[w]) * total)
+        for b, n in Counter(runs.tolist()).items():
+            shares[self.buckets + BACK + b] = n / total
         return np.fromiter(shares.keys(), np.int64, len(shares)), np.fromiter(shares.values(), np.float32, len(shares))
 
     def line(self) -> tuple[np.ndarray, float]:
@@ -83,13 +118,14 @@ class SubwordModel:
 def train(rows: list[tuple[str | None, int]], buckets: int = 1 << 17, dimensions: int = 8, epochs: int = 8, rate: float = 4.0, seed: int = 11) -> SubwordModel:
     """Stochastic gradient descent, one document at a step, with a rate that falls to nothing."""
     rng = np.random.default_rng(seed)
-    model = SubwordModel(rng.uniform(-1, 1, (buckets + BACK, dimensions)).astype(np.float32) / dimensions, np.zeros((2, dimensions), np.float32), np.zeros(2, np.float32))
+    drawn = rng.uniform(-1, 1, (buckets + BACK, dimensions)).astype(np.float32) / dimensions
+    model = SubwordModel(np.concatenate([drawn, np.zeros((buckets, dimensions), np.float32)]), np.zeros((2, dimensions), np.float32), np.zeros(2, np.float32))
     counts = np.bincount([y for _, y in rows], minlength=2)[:2] if rows else np.zeros(2, int)
     model.bias[:] = np.log((counts + 1) / (counts.sum() + 2))
     if (counts == 0).any():
         return model
-    cache: dict[str, list[int]] = {}
-    data = [(*model.features(text, cache), y) for text, y in rows]
+    table, cache = WordTable(), {}
+    data = [(*model.features(text, table, cache), y) for text, y in rows]
     step, steps = 0, epochs * len(data)
     for _ in range(epochs):
         for k in rng.permutation(len(data)):
@@ -124,31 +160,16 @@ def training_rows(docs: DataFrame, labels: DataFrame, per_class: int) -> list[tu
     return [(r["text"], r["y"]) for r in rows]
 
 
-class WordScores(dict):
-    """word -> its share of the logit, kept for the words met lately; bounded."""
-
-    def __init__(self, line: np.ndarray, buckets: int, most: int = 300_000):
-        super().__init__()
-        self.line_, self.buckets, self.most = line.tolist(), buckets, most
-
-    def __missing__(self, word: str) -> float:
-        if len(self) >= self.most:
-            self.clear()
-        found = buckets_of(word, self.buckets)
-        value = self[word] = sum(map(self.line_.__getitem__, found)) / len(found)
-        return value
-
-
-def score_texts(texts, scores: WordScores, bias: float) -> np.ndarray:
+def score_texts(texts, table: WordTable, back: np.ndarray, of_runs: np.ndarray, bias: float) -> np.ndarray:
     out = np.empty(len(texts))
-    back = scores.line_[scores.buckets :]
     for i, text in enumerate(texts):
         words = WORDS.findall(text) if text else []
-        repeats = repeats_of(words)
-        total = len(words) + sum(repeats)
         logit = bias
-        if total:
-            logit += (sum(map(scores.__getitem__, words)) + sum(map(operator.mul, repeats, back))) / total
+        if words:
+            at = table.of(words)
+            repeats, runs = repeats_of(at), runs_of(np.frombuffer(table.hashes, np.uint64)[at], len(of_runs))
+            total = len(words) + len(runs) + int(repeats.sum())
+            logit += (np.frombuffer(table.scores, np.float64)[at].sum() + of_runs[runs].sum() + repeats @ back) / total
         out[i] = 1 / (1 + np.exp(-np.clip(logit, -60, 60)))
     return out
 
@@ -157,14 +178,14 @@ def classify(docs: DataFrame, labels: DataFrame, per_class: int = 500, **trainin
     """doc_id, held_out, score, predicted: a row per row of ``docs(doc_id, text)``."""
     model = train(training_rows(docs, labels, per_class), **training)
     line, bias = model.line()
-    shared = docs.sparkSession.sparkContext.broadcast((line.astype(np.float64), model.buckets, bias))
-    id_type = docs.schema["doc_id"].dataType.simpleString()
+    shared = docs.sparkSession.sparkContext.broadcast((line.astype(np.float64), model.buckets, bias))  # as large as the model
 
     def score(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         line, buckets, bias = shared.value
-        words = WordScores(line, buckets)
+        table = WordTable(line[:buckets], buckets)
         for frame in frames:
-            yield pd.DataFrame({"doc_id": frame["doc_id"], "score": score_texts(frame["text"].tolist(), words, bias)})
+            scores = score_texts(frame["text"].tolist(), table, line[buckets : buckets + BACK], line[buckets + BACK :], bias)
+            yield pd.DataFrame({"doc_id": frame["doc_id"], "score": scores})
 
-    scored = docs.select("doc_id", "text").mapInPandas(score, f"doc_id {id_type}, score double")
-    return scored.select("doc_id", held_out().alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+    scored = docs.select(id_as_string(docs, "doc_id"), "text").mapInPandas(score, "doc_id string, score double")
+    return scored.select(id_back(docs, "doc_id"), held_out().alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
