@@ -20,9 +20,12 @@ At any size
   pair is needed. The nodes of buckets that still hold several components (a passage that many texts share does
   this) are joined by their rarest elements instead of all pairs: two sets of the wanted similarity share one of
   the rarest size - least * size + 1 of each, at places that leave room for the overlap. Rare elements of few nodes
-  give their pairs at once, common ones again representatives, round after round, and in the end the pairs of
-  different components whose places allow a link. So no link of different components that share a bucket is lost.
-* Counts combine before the shuffle; hot keys sit in plain joins, which adaptive execution splits.
+  give their pairs at once. Of common ones a block of picks (16 a bucket, in each turn four times as many) is tried
+  against all nodes of the bucket in other components whose places allow a link, and leaves the bucket: every link of
+  a pick has been tried. This goes on until a bucket is of one component or small, so no link of different components
+  that share a bucket is lost, and a turn makes at most (picks x nodes) pairs, dealt over tasks by the node.
+* Counts combine before the shuffle; rows of hot copies, hot classes and hot buckets are dealt over tasks by a salt.
+  Of a pair to verify one text moves; the other is sent once for some hundreds of pairs.
 * Components are labelled by alternating neighbour minima on tables in the shared folder; the driver sees counts.
 
 Rows that repeat are copies. The class id is the least doc_id of a class (null if all are null); classes of unrelated
@@ -41,7 +44,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordHashes, forget, mixed, written
+from .common import WordHashes, forget, hot_join, id_as_string, id_back, mixed, written
 
 WORDS = re.compile(rb"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
 SHINGLE = 5
@@ -162,7 +165,6 @@ def node_of(text: str = "text"):
 
 def banded(docs: DataFrame, bands: int, rows: int) -> DataFrame:
     """doc_id, node, bands: a row per row of ``docs``; no bands for texts without a word."""
-    id_type = docs.schema["doc_id"].dataType.simpleString()
 
     def sign(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         hashes = _Bytes()
@@ -174,32 +176,35 @@ def banded(docs: DataFrame, bands: int, rows: int) -> DataFrame:
                     out[i] = bands_of(sig, rows)
             yield pd.DataFrame({"doc_id": frame["doc_id"], "node": frame["node"], "bands": out})
 
-    return docs.select("doc_id", node_of().alias("node"), "text").mapInPandas(sign, f"doc_id {id_type}, node binary, bands array<long>")
+    made = docs.select(id_as_string(docs, "doc_id"), node_of().alias("node"), "text").mapInPandas(sign, "doc_id string, node binary, bands array<long>")
+    return made.withColumn("doc_id", id_back(docs, "doc_id"))
 
 
-def verified(pairs: DataFrame, texts: DataFrame, least: float) -> DataFrame:
-    """The rows of ``pairs(a, b)`` whose texts are similar enough."""
+def verified(pairs: DataFrame, texts: DataFrame, least: float, each: int = 256) -> DataFrame:
+    """The rows of ``pairs(a, b)`` whose texts are similar enough.
 
-    def compare(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        hashes, sets, held = _Bytes(), {}, 0
-
-        def of(node: bytes, text: str) -> np.ndarray:
-            nonlocal held
-            if node not in sets:
-                found = elements_of(text, hashes)
-                held += len(found)
-                if held > 4_000_000:  # 32 MB of elements, kept for the nodes met lately
-                    sets.clear()
-                    held = len(found)
-                sets[node] = found
-            return sets[node]
+    Rows with b's text come behind the text of their a, which is sent once for about ``each`` pairs.
+    """
 
+    def compare(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        hashes, head, own = _Bytes(), None, None
         for frame in frames:
-            keep = [jaccard(of(a, ta), of(b, tb)) >= least for a, b, ta, tb in zip(frame["a"], frame["b"], frame["ta"], frame["tb"], strict=True)]
-            yield frame.loc[keep, ["a", "b"]]
-
-    sides = pairs.join(texts.select(F.col("node").alias("b"), F.col("text").alias("tb")), "b")
-    return sides.join(texts.select(F.col("node").alias("a"), F.col("text").alias("ta")), "a").select("a", "b", "ta", "tb").mapInPandas(compare, "a binary, b binary")
+            keep = []
+            for a, b, text in zip(frame["a"], frame["b"], frame["text"], strict=True):
+                if b is None:
+                    head, own = a, elements_of(text, hashes)
+                elif a == head and jaccard(own, elements_of(text, hashes)) >= least:
+                    keep.append((a, b))
+            if keep:
+                yield pd.DataFrame(keep, columns=["a", "b"])
+
+    sizes = written(pairs.groupBy("a").agg(F.count("*").alias("size")), "pair-counts")
+    parts = F.ceil(F.col("size") / each).cast("int")
+    heads = sizes.join(texts.withColumnRenamed("node", "a"), "a").select("a", F.explode(F.sequence(F.lit(1), parts)).alias("part"), F.lit(None).cast("binary").alias("b"), "text")
+    dealt = hot_join(pairs, sizes, ["a"], "size", ["b"]).select("a", (F.pmod(F.xxhash64("b"), parts) + 1).cast("int").alias("part"), "b")
+    rows = dealt.join(texts.withColumnRenamed("node", "b"), "b").select("a", "part", "b", "text")
+    both = heads.unionByName(rows).repartition("a", "part").sortWithinPartitions("a", "part", F.col("b").asc_nulls_first())
+    return both.select("a", "b", "text").mapInPandas(compare, "a binary, b binary")
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -209,9 +214,9 @@ def components(edges: DataFrame) -> DataFrame:
     before = measure(now)
     while True:
         both = now.unionByName(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        least = both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("u"), F.least("a", "m").alias("m"))
+        least = both.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n")).select("a", F.least("a", "m").alias("m"), "n")
         # large star: greater neighbours are linked to the least
-        large = both.join(least, both.a == least.u).where(F.col("b") > F.col("a")).select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+        large = hot_join(both, least, ["a"], "n", ["b"]).where(F.col("b") > F.col("a")).select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
         # small star: a node and its lesser neighbours are linked to the least
         low = large.groupBy("a").agg(F.min("b").alias("m"))
         small = large.join(low.withColumnRenamed("a", "u"), large.a == F.col("u")).select(F.explode(F.array(F.struct("b", "m"), F.struct(F.col("a").alias("b"), "m"))).alias("x"))
@@ -252,14 +257,16 @@ def prefixes(nodes: DataFrame, texts: DataFrame, least: float) -> DataFrame:
     sets = written(texts.join(nodes, "node", "left_semi").select("node", "text").mapInPandas(split, "node binary, elements array<long>"), "elements")
     each = sets.select("node", F.size("elements").alias("size"), F.explode("elements").alias("bucket"))
     spread = each.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1")
-    known = each.join(spread, "bucket").groupBy("node", "size").agg(F.array_sort(F.collect_list(F.struct("n", "bucket"))).alias("x"))  # a text's elements at most
+    known = hot_join(each, spread, ["bucket"], "n", ["node"]).groupBy("node", "size").agg(F.array_sort(F.collect_list(F.struct("n", "bucket"))).alias("x"))  # a text's elements at most
     alone = F.col("size") - F.size("x")
     first = F.greatest(F.lit(0), (F.col("size") - F.ceil(least * F.col("size") - 1e-9) + 1 - alone).cast("int"))
     rows = known.select("node", "size", alone.alias("alone"), F.posexplode(F.slice("x", F.lit(1), first)).alias("at", "e"))
     found = rows.select(F.col("e.bucket").alias("bucket"), "node", "size", (F.col("alone") + F.col("at")).alias("place"))
+    found = written(found, "prefix-rows")
     many = found.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1")
-    out = written(found.join(many, "bucket", "left_semi"), "prefixes")
+    out = written(hot_join(found, many, ["bucket"], "n", ["node"]).drop("n"), "prefixes")
     forget(sets)
+    forget(found)
     return out
 
 
@@ -273,59 +280,71 @@ def rooted(members: DataFrame, roots: DataFrame) -> DataFrame:
     return members.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
 
 
-def links(members: DataFrame, texts: DataFrame, least: float, small: int = 24, rounds: int = 6) -> DataFrame:
-    """node, root: components of the nodes with links, for ``members(bucket, node)``, each bucket with two nodes or more."""
-    picks = members.groupBy("bucket").agg(F.min("node").alias("a"))
-    star = written(members.join(picks, "bucket").where("node <> a").select("a", F.col("node").alias("b")).distinct(), "pairs")
+def links(members: DataFrame, texts: DataFrame, least: float, small: int = 24, rounds: int | None = None) -> DataFrame:
+    """node, root: components of the nodes with links, for ``members(bucket, node)``, each bucket with two nodes or more.
+
+    ``rounds``: the turn at which what is left of every bucket is tried pair by pair (None: never)."""
+    picks = members.groupBy("bucket").agg(F.min("node").alias("a"), F.count("*").alias("size"))
+    star = written(hot_join(members, picks, ["bucket"], "size", ["node"]).where("node <> a").select("a", F.col("node").alias("b")).distinct(), "pairs")
     roots = written(components(written(verified(star, texts, least), "links")), "roots")
-    still = rooted(members, roots).groupBy("bucket").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high")
-    open_nodes = written(members.join(still, "bucket", "left_semi").select("node").distinct(), "open")
+    still = rooted(members, roots).groupBy("bucket").agg(F.min("root").alias("low"), F.max("root").alias("high"), F.count("*").alias("size")).where("low <> high")
+    open_nodes = written(hot_join(members, still.select("bucket", "size"), ["bucket"], "size", ["node"]).select("node").distinct(), "open")
     if open_nodes.isEmpty():
         return roots
-    postings, tested = prefixes(open_nodes, texts, least), star
-    for turn in range(1, rounds + 1):
+    postings, tested, block, turn = prefixes(open_nodes, texts, least), star, 16, 0
+    while True:
+        turn += 1
         open_ = rooted(postings, roots).select("bucket", "root", F.struct("size", "place", "node").alias("y"))
-        draw = F.struct(F.xxhash64("y.node", "bucket", F.lit(turn)).alias("draw"), "y", "root")  # other picks in every bucket
-        slots = open_.withColumn("slot", F.pmod(F.xxhash64("bucket", "y.node"), F.lit(16)))  # a pick of each slot, also against hot buckets
-        slots = slots.groupBy("bucket", "slot").agg(F.min("root").alias("low"), F.max("root").alias("high"), F.count("*").alias("n"), F.min(draw).alias("pick"))
-        state = slots.groupBy("bucket").agg(F.min("low").alias("low"), F.max("high").alias("high"), F.sum("n").alias("n"), F.collect_list("pick").alias("picks"))
-        state = written(state.where("low <> high").select("bucket", "n", "picks"), "state")
-        open_buckets, large = state.agg(F.count("*"), F.count_if(F.col("n") > small)).first()
-        if not open_buckets or turn > 1 and not large:  # small buckets were tried pair by pair at turn 1
+        state = open_.groupBy("bucket").agg(F.min("root").alias("low"), F.max("root").alias("high"), F.count("*").alias("n"))
+        state = written(state.where("low <> high").select("bucket", "n"), "state")
+        if state.isEmpty():
             break
-        here = open_.join(state.select("bucket", "n"), "bucket")
-        picks = state.where(F.col("n") > small).select("bucket", F.explode("picks").alias("p")).select("bucket", F.col("p.y").alias("x"), F.col("p.root").alias("x_root"))
-        tried = open_.join(picks, "bucket").where((F.col("root") != F.col("x_root")) & may_match(least)).select("x", "y")
-        mine = here if turn == rounds else here.where(F.col("n") <= small) if turn == 1 else None
-        if mine is not None:
-            other = mine.select("bucket", F.col("y").alias("x"), F.col("root").alias("x_root"))
-            both = mine.join(other, "bucket").where((F.col("x.node") < F.col("y.node")) & (F.col("root") != F.col("x_root")) & may_match(least))
-            tried = tried.unionByName(both.select("x", "y"))
+        here = written(hot_join(open_, state, ["bucket"], "n", ["y"]), "here")
+        few = F.lit(turn == rounds) | (F.col("n") <= small)
+        mine, wide = here.where(few), here.where(~few)
+        other = mine.select("bucket", F.col("y").alias("x"), F.col("root").alias("x_root"))
+        tried = mine.join(other, "bucket").where((F.col("root") != F.col("x_root")) & may_match(least)).where(F.col("x.node") < F.col("y.node")).select("x", "y")
+        # a pick of each slot of a bucket; slots are drawn anew in every bucket and turn
+        slotted = wide.withColumn("slot", F.pmod(F.xxhash64("bucket", "y.node", F.lit(block)), F.lit(block)))
+        draw = F.min(F.struct(F.xxhash64("y.node", "bucket", F.lit(block)).alias("draw"), "y", "root")).alias("p")
+        picks = written(slotted.groupBy("bucket", "slot").agg(draw).select("bucket", F.col("p.y").alias("x"), F.col("p.root").alias("x_root")), "picks")
+        salts = 8
+        spread = picks.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+        against = wide.withColumn("salt", F.pmod(F.xxhash64("y.node"), F.lit(salts)).cast("int")).join(spread, ["bucket", "salt"])
+        tried = tried.unionByName(against.where((F.col("root") != F.col("x_root")) & may_match(least)).select("x", "y"))
         pairs = tried.select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
         pairs = written(pairs.join(tested, ["a", "b"], "left_anti"), "pairs")
-        if pairs.isEmpty():
-            continue
-        tested = tested.unionByName(pairs)
-        good = written(verified(pairs, texts, least), "links")
-        if not good.isEmpty():
-            roots = merged(roots, good)
+        if not pairs.isEmpty():
+            tested = tested.unionByName(pairs)
+            good = written(verified(pairs, texts, least), "links")
+            if not good.isEmpty():
+                roots = merged(roots, good)
+        done = picks.select("bucket", F.col("x.node").alias("node"))
+        old, postings = postings, written(wide.select("bucket", "y.node", "y.size", "y.place").join(done, ["bucket", "node"], "left_anti"), "postings")
+        for used in (old, state, here, picks):
+            forget(used)
+        if postings.isEmpty():
+            break
+        block *= 4
     return roots
 
 
 def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 32, rows: int = 6) -> DataFrame:
     """doc_id, node, root (the class's own key), class_id, is_first (the row's id is the class id): a row per row of ``docs(doc_id, text)``."""
     signed = written(banded(docs, bands, rows), "signed")
-    nodes = signed.groupBy("node").agg(F.min("doc_id").alias("id"), F.first("bands").alias("bands"))
+    nodes = signed.groupBy("node").agg(F.min("doc_id").alias("id"), F.first("bands").alias("bands"), F.count("*").alias("copies"))
+    nodes = written(nodes, "nodes")
     keyed = nodes.select("node", "id", F.explode("bands").alias("bucket"))
-    shared = keyed.groupBy("bucket").agg(F.min("node").alias("low"), F.max("node").alias("high")).where("low <> high").select("bucket")
-    members = written(keyed.join(shared, "bucket").select("bucket", "node", "id"), "members")
+    shared = keyed.groupBy("bucket").agg(F.min("node").alias("low"), F.max("node").alias("high"), F.count("*").alias("size")).where("low <> high").select("bucket", "size")
+    members = written(hot_join(keyed, shared, ["bucket"], "size", ["node"]).select("bucket", "node", "id"), "members")
     wanted = members.select("node", "id").distinct()
     own = docs.select(node_of().alias("node"), F.col("doc_id").alias("id"), F.coalesce("text", F.lit("")).alias("text"))
     same = (own.node == wanted.node) & own.id.eqNullSafe(wanted.id)
     texts = written(own.join(wanted, same, "left_semi").groupBy("node").agg(F.first("text").alias("text")), "texts")
-    own = rooted(signed.select("doc_id", "node"), links(members.select("bucket", "node"), texts, least))
-    ids = own.groupBy("root").agg(F.min("doc_id").alias("class_id"))
-    out = own.join(ids, "root")
+    of_nodes = written(rooted(nodes.select("node", "id", "copies"), links(members.select("bucket", "node"), texts, least)), "of-nodes")
+    classes = of_nodes.groupBy("root").agg(F.min("id").alias("class_id"), F.count("*").alias("size"))
+    named = hot_join(of_nodes.select("node", "root", "copies"), classes, ["root"], "size", ["node"]).select("node", "root", "class_id", "copies")
+    out = hot_join(signed.select("doc_id", "node"), named, ["node"], "copies", ["doc_id"])
     return out.select("doc_id", "node", "root", "class_id", F.col("doc_id").eqNullSafe(F.col("class_id")).alias("is_first"))
 
 
