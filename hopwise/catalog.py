@@ -6,17 +6,20 @@ of the graph. Selections, records and answers are then spelled out in SQL on top
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from . import sql
 from .functions import masks
 from .operators import cohorts as C
 from .operators import landmarks as L
 from .operators import measures as M
 from .operators import search as S
 from .operators.twohop import TwoHopIndex, batch_sizes
+from .plans.store import shared_folder
 from .sources import graphs as G
 from .streaming import feeds
 
@@ -33,7 +36,6 @@ def register(name: str, run: Callable[[SparkSession, str], DataFrame], sql: str
 # ---- graphs
 
 _ORDERED = "orders JOIN lineitem ON o_orderkey = l_orderkey"
-_NEAR = """SELECT a.doc_id AS src, b.doc_id AS dst FROM held a JOIN held b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY ALL"""
 PAIRS = {
     "part_supplier": "SELECT 2 * l_partkey AS src, 2 * l_suppkey + 1 AS dst FROM lineitem",
     "order_part": "SELECT 2 * l_orderkey AS src, 2 * l_partkey + 1 AS dst FROM lineitem",
@@ -48,12 +50,14 @@ PAIRS = {
     "embedding_knn": """SELECT vec_id AS src, o AS dst FROM (SELECT a.vec_id, b.vec_id AS o, row_number() OVER (PARTITION BY a.vec_id ORDER BY
         round(list_dot_product(a.x, b.x) / (sqrt(list_dot_product(a.x, a.x)) * sqrt(list_dot_product(b.x, b.x))), 9) DESC, b.vec_id) AS r
         FROM (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS x FROM embeddings) a, (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS x FROM embeddings) b WHERE a.vec_id <> b.vec_id) WHERE r <= 4""",
-    "near_duplicate": """SELECT a.doc_id AS src, b.doc_id AS dst FROM
-        (SELECT doc_id, g FROM grams WHERE g IN (SELECT g FROM grams GROUP BY g HAVING count(*) BETWEEN 2 AND 50)) a JOIN grams b ON a.g = b.g AND a.doc_id < b.doc_id""",
+    "near_duplicate": """SELECT x.rep AS src, y.rep AS dst FROM (SELECT a.rep AS ra, b.rep AS rb, count(*) AS n FROM grams a JOIN grams b ON a.g = b.g AND a.rep < b.rep GROUP BY ALL)
+        JOIN sizes x ON x.rep = ra JOIN sizes y ON y.rep = rb WHERE 10 * n >= 8 * (x.size + y.size - n) UNION ALL SELECT doc_id, rep FROM classes""",
 }
-_GRAMS = """grams AS (SELECT DISTINCT doc_id, unnest(list_transform(range(1, greatest(1, CAST(len(w) AS BIGINT) - 3)), lambda i: array_to_string(w[i : i + 4], ' '))) AS g
-        FROM (SELECT doc_id, regexp_extract_all(lower(text), '[a-z]+') AS w FROM documents))"""
-BOUND = {"part_supplier": 7, "customer_part": 7, "copurchase": 5, "page_link": 18, "nation_region": 7, "customer_order": 4, "embedding_knn": 10, "turn_path": 9}
+_GRAMS = """classes AS (SELECT doc_id, w, min(doc_id) OVER (PARTITION BY array_to_string(w, ' ')) AS rep
+        FROM (SELECT doc_id, regexp_extract_all(lower(text), '[a-z]+') AS w FROM documents) WHERE len(w) >= 5),
+    grams AS (SELECT DISTINCT rep, unnest(list_transform(range(1, CAST(len(w) AS BIGINT) - 3), lambda i: array_to_string(w[i : i + 4], ' '))) AS g FROM classes WHERE doc_id = rep),
+    sizes AS (SELECT rep, count(*) AS size FROM grams GROUP BY rep)"""
+BOUND = {"part_supplier": 7, "customer_part": 7, "copurchase": 5, "page_link": 18, "nation_region": 7, "customer_order": 4, "embedding_knn": 10, "turn_path": 9, "event_flow": 12}
 
 
 def edges_sql(name: str, directed: bool = False) -> str:
@@ -107,7 +111,7 @@ register("edges_page_link_directed", lambda s, d: G.page_link(s, d, directed=Tru
 
 def graph_inventory(spark: SparkSession, d: str) -> DataFrame:
     out = None
-    for name in ("part_supplier", "order_part", "customer_part", "copurchase", "customer_order", "page_link", "turn_path"):
+    for name in G.BUILDERS:
         one = G.BUILDERS[name](spark, d).vertices.agg(F.count("*").alias("n"), F.sum("deg").alias("m"), F.max("deg").alias("max_deg")).select(F.lit(name).alias("graph"), "n", "m", "max_deg")
         out = one if out is None else out.unionByName(one)
     return out
@@ -118,7 +122,7 @@ register(
     graph_inventory,
     " UNION ALL ".join(
         f"SELECT '{n}' AS graph, count(*) AS n, CAST(sum(deg) AS BIGINT) AS m, max(deg) AS max_deg FROM (WITH {edges_sql(n)} SELECT src, count(*) AS deg FROM e GROUP BY src)"
-        for n in ("part_supplier", "order_part", "customer_part", "copurchase", "customer_order", "page_link", "turn_path")
+        for n in G.BUILDERS
     ),
 )
 register("degree_histogram", lambda s, d: G.customer_part(s, d).vertices.groupBy("deg").agg(F.count("*").alias("n")), f"WITH {edges_sql('customer_part')} SELECT deg, count(*) AS n FROM (SELECT src, count(*) AS deg FROM e GROUP BY src) GROUP BY deg")
@@ -278,9 +282,7 @@ for _d in (3, 4, 6):
 
 def all_pairs_small(spark: SparkSession, d: str) -> DataFrame:
     """Every vertex in some cohort: all distances by sweeps."""
-    g = G.nation_region(spark, d).cached()
-    c = C.pick_cohorts(g, 200, 64, 6)
-    return S.explode_records(S.records(S.cluster_sweep(g, c, 6), 6), c).select("s", "v", "dist")
+    return C.all_pairs(G.nation_region(spark, d).cached(), 64, 6)
 
 
 register("all_pairs_small", all_pairs_small, walk_sql("nation_region", "src AS (SELECT v AS s FROM deg)") + " SELECT s, v, dist FROM dist")
@@ -288,9 +290,12 @@ register("all_pairs_small", all_pairs_small, walk_sql("nation_region", "src AS (
 # ---- landmark index
 
 CP = "customer_part"
-_PAIRS_SQL = """numbered AS (SELECT v, row_number() OVER (ORDER BY v) - 1 AS i, count(*) OVER () AS n FROM deg),
-    drawn AS (SELECT DISTINCT (j * 7919 + 13) % n AS a, (j * 104729 + 7) % n AS b, n FROM range({count}) t(j), (SELECT DISTINCT n FROM numbered)),
-    pairs AS (SELECT a * drawn.n + b AS pid, x.v AS u, y.v AS v FROM drawn JOIN numbered x ON x.i = a JOIN numbered y ON y.i = b WHERE a <> b)"""
+_DRAW = "CAST(concat('0x', substring(md5(concat('0-', j, '-{k}')), 1, 12)) AS BIGINT) % n"
+_PAIRS_SQL = (
+    "numbered AS (SELECT v, row_number() OVER (ORDER BY v) - 1 AS i, count(*) OVER () AS n FROM deg), drawn AS (SELECT j AS pid, "
+    + _DRAW.replace("{k}", "a") + " AS a, " + _DRAW.replace("{k}", "b")
+    + " AS b FROM range({count}) t(j), (SELECT DISTINCT n FROM numbered)), pairs AS (SELECT pid, x.v AS u, y.v AS v FROM drawn JOIN numbered x ON x.i = a JOIN numbered y ON y.i = b WHERE a <> b)"
+)
 _TRUTH = "truth AS (SELECT pid, dist AS truth FROM pairs LEFT JOIN dist ON dist.s = u AND dist.v = pairs.v)"
 
 
@@ -304,7 +309,13 @@ def _index_sql(graph: str, members: str, count: int, tail: str) -> str:
     )
 
 
-def _landmark_case(graph: str, count: int = 200):
+#: evaluation pairs; the bench takes 10,000
+N_PAIRS = 1000
+#: where the SQL walks from every first end, for several variants
+N_GRADED = 250
+
+
+def _landmark_case(graph: str, count: int = N_PAIRS):
     def setup(spark: SparkSession, d: str):
         g = G.BUILDERS[graph](spark, d).cached()
         return g, L.sample_pairs(g, count).persist()
@@ -312,16 +323,16 @@ def _landmark_case(graph: str, count: int = 200):
     return setup
 
 
-def ll_plain(spark: SparkSession, d: str) -> DataFrame:
+def landmark_plain(spark: SparkSession, d: str) -> DataFrame:
     g, pairs = _landmark_case(CP)(spark, d)
     return L.plain_query(L.plain_index(g, C.pick_landmarks(g, 8)), pairs)
 
 
-register("ll_plain_index", lambda s, d: (lambda g: L.plain_index(g, C.pick_landmarks(g, 8)))(G.customer_part(s, d).cached()), walk_sql(CP, _TOP.format(n=8)) + " SELECT v, s AS h, dist FROM dist")
-register("ll_plain_query", ll_plain, _index_sql(CP, _TOP.format(n=8), 200, "SELECT pid, est FROM pairs LEFT JOIN answers USING (pid)"))
+register("landmark_plain_index", lambda s, d: (lambda g: L.plain_index(g, C.pick_landmarks(g, 8)))(G.customer_part(s, d).cached()), walk_sql(CP, _TOP.format(n=8)) + " SELECT v, s AS h, dist FROM dist")
+register("landmark_plain_query", landmark_plain, _index_sql(CP, _TOP.format(n=8), N_PAIRS, "SELECT pid, est FROM pairs LEFT JOIN answers USING (pid)"))
 
 
-def ll_cluster(encoding: str) -> Callable[[SparkSession, str], DataFrame]:
+def landmark_cluster(encoding: str) -> Callable[[SparkSession, str], DataFrame]:
     def run(spark: SparkSession, d: str) -> DataFrame:
         g, pairs = _landmark_case(CP)(spark, d)
         return L.LandmarkIndex.build(g, C.pick_cohorts(g, 2, 16), 2, encoding).query(pairs)
@@ -330,7 +341,7 @@ def ll_cluster(encoding: str) -> Callable[[SparkSession, str], DataFrame]:
 
 
 for _e in L.ENCODINGS:
-    register(f"ll_cluster_query_{_e}", ll_cluster(_e), _index_sql(CP, two_stars_sql(16), 200, "SELECT pid, est FROM pairs LEFT JOIN answers USING (pid)"))
+    register(f"landmark_cluster_query_{_e}", landmark_cluster(_e), _index_sql(CP, two_stars_sql(16), N_PAIRS, "SELECT pid, est FROM pairs LEFT JOIN answers USING (pid)"))
 
 
 def _graded(measure) -> Callable[[SparkSession, str], DataFrame]:
@@ -343,25 +354,25 @@ def _graded(measure) -> Callable[[SparkSession, str], DataFrame]:
 
 _SCORED = "scored AS (SELECT truth, est FROM answers JOIN truth USING (pid) WHERE truth > 0)"
 register(
-    "ll_distortion",
+    "landmark_distortion",
     _graded(M.mean_excess),
-    _index_sql(CP, two_stars_sql(16), 200, f", {_SCORED} SELECT count(*) AS pairs, round(avg(est / truth) - 1, 6) AS eps, count(*) FILTER (est = truth) AS hits, round(max(est / truth), 6) AS worst FROM scored"),
+    _index_sql(CP, two_stars_sql(16), N_PAIRS, f", {_SCORED} SELECT count(*) AS pairs, round(avg(est / truth) - 1, 6) AS eps, count(*) FILTER (est = truth) AS hits, round(max(est / truth), 6) AS worst FROM scored"),
 )
 register(
-    "ll_distortion_profile",
+    "landmark_distortion_profile",
     _graded(M.distortion_profile),
-    _index_sql(CP, two_stars_sql(16), 200, f", {_SCORED} SELECT truth, count(*) AS pairs, round(avg(est / truth) - 1, 6) AS eps, count(*) FILTER (est = truth) AS hits FROM scored GROUP BY truth"),
+    _index_sql(CP, two_stars_sql(16), N_PAIRS, f", {_SCORED} SELECT truth, count(*) AS pairs, round(avg(est / truth) - 1, 6) AS eps, count(*) FILTER (est = truth) AS hits FROM scored GROUP BY truth"),
 )
 
 
-def ll_budget(spark: SparkSession, d: str) -> DataFrame:
+def landmark_budget(spark: SparkSession, d: str) -> DataFrame:
     rows = [(t, w, k, C.clusters_for_budget(t, w, k)) for t in (34, 68, 136, 1024) for w in (1, 8, 16, 32, 64) for k in (2, 3, 4)]
     return spark.createDataFrame(rows, "t int, w int, d int, clusters int")
 
 
 register(
-    "ll_budget",
-    ll_budget,
+    "landmark_budget",
+    landmark_budget,
     "SELECT CAST(t AS INT) AS t, CAST(w AS INT) AS w, CAST(d AS INT) AS d, CAST(CASE WHEN w = 1 THEN t ELSE t // (1 + d * w // 8) END AS INT) AS clusters FROM (VALUES (34), (68), (136), (1024)) a(t), (VALUES (1), (8), (16), (32), (64)) b(w), (VALUES (2), (3), (4)) c(d)",
 )
 
@@ -371,22 +382,22 @@ _MEET = """, balls AS (SELECT s, v AS x, dist FROM (SELECT *, row_number() OVER
 
 
 def local_meet(spark: SparkSession, d: str) -> DataFrame:
-    g, pairs = _landmark_case(CP, 20)(spark, d)
+    g, pairs = _landmark_case(CP, 200)(spark, d)
     return L.local_meet(g, pairs, 128)
 
 
-register("local_meet_tau", local_meet, walk_sql(CP, f"{_PAIRS_SQL.format(count=20)}, {_ENDS}") + _MEET.format(tau=128) + " SELECT pid, est FROM pairs LEFT JOIN met USING (pid)")
+register("local_meet_tau", local_meet, walk_sql(CP, f"{_PAIRS_SQL.format(count=200)}, {_ENDS}") + _MEET.format(tau=128) + " SELECT pid, est FROM pairs LEFT JOIN met USING (pid)")
 
 
 def local_plus(spark: SparkSession, d: str) -> DataFrame:
-    g, pairs = _landmark_case(CP, 20)(spark, d)
+    g, pairs = _landmark_case(CP, 200)(spark, d)
     return L.least_answer(L.LandmarkIndex.build(g, C.pick_cohorts(g, 1, 16), 2).query(pairs), L.local_meet(g, pairs, 128))
 
 
 register(
     "local_plus_index",
     local_plus,
-    walk_sql(CP, f"{star_sql(16).replace('src AS', 'own AS')}, {_PAIRS_SQL.format(count=20)}, src AS (SELECT s FROM own UNION SELECT u FROM pairs UNION SELECT v FROM pairs)")
+    walk_sql(CP, f"{star_sql(16).replace('src AS', 'own AS')}, {_PAIRS_SQL.format(count=200)}, src AS (SELECT s FROM own UNION SELECT u FROM pairs UNION SELECT v FROM pairs)")
     + _MEET.format(tau=128)
     + """, answers AS (SELECT pid, min(x.dist + y.dist) AS est FROM pairs JOIN dist x ON x.v = pairs.u JOIN own ON own.s = x.s JOIN dist y ON y.s = x.s AND y.v = pairs.v GROUP BY pid)
     SELECT pid, least(answers.est, met.est) AS est FROM pairs LEFT JOIN answers USING (pid) LEFT JOIN met USING (pid)""",
@@ -395,23 +406,149 @@ register(
 # ---- exact index
 
 
-def pll(r: int) -> Callable[[SparkSession, str], DataFrame]:
+def exact(graph: str, r: int, **how) -> Callable[[SparkSession, str], DataFrame]:
     def run(spark: SparkSession, d: str) -> DataFrame:
-        g, pairs = _landmark_case("nation_region", 200)(spark, d)
-        return TwoHopIndex.build(g, r, 8, first=30).query(pairs).select("pid", "est")
+        g, pairs = _landmark_case(graph)(spark, d)
+        return TwoHopIndex.build(g, r, 16, **how).query(pairs).select("pid", "est")
 
     return run
 
 
-_PLL = walk_sql("nation_region", f"{_PAIRS_SQL.format(count=200)}, src AS (SELECT u AS s FROM pairs)") + " SELECT pid, dist AS est FROM pairs LEFT JOIN dist ON dist.s = u AND dist.v = pairs.v"
-register("pll_query_exact", pll(0), _PLL)
-register("pll_cluster_phase_query", pll(2), _PLL)
+def _exact_sql(graph: str) -> str:
+    return walk_sql(graph, f"{_PAIRS_SQL.format(count=N_PAIRS)}, src AS (SELECT DISTINCT u AS s FROM pairs)") + " SELECT pid, dist AS est FROM pairs LEFT JOIN dist ON dist.s = u AND dist.v = pairs.v"
+
+
+register("exact_query_forest", exact("nation_region", 0, first=30), _exact_sql("nation_region"))
+# graphs with cycles, where several shortest paths meet
+register("exact_query", exact("event_flow", 0), _exact_sql("event_flow"))
+register("exact_cluster_phase_query", exact("event_flow", 2), _exact_sql("event_flow"))
+register("exact_trimmed_query", exact("event_flow", 2, trim=True), _exact_sql("event_flow"))
+
+
+def exact_label_superset(spark: SparkSession, d: str) -> DataFrame:
+    """Labels of a build of one search at a time that a build in batches lacks (none), and how many more it has."""
+    g = G.from_pairs(G.table(spark, d, "nation").select((1000 + F.col("n_nationkey")).alias("src"), (1 + F.col("n_regionkey")).alias("dst"))).cached()
+    one, batched = (TwoHopIndex.build(g, 0, **how).labels for how in ({"first": 1, "growth": 1.0, "cap": 1}, {"first": 10}))
+    missing = one.join(batched, ["v", "hub", "dist"], "left_anti")
+    return missing.agg(F.count("*").alias("missing")).withColumn("fewer_than_batched", F.lit(one.count() <= batched.count()))
+
+
 register(
-    "pll_batch_plan",
+    "exact_batch_plan",
     lambda s, d: s.createDataFrame([(i, x) for i, x in enumerate(batch_sizes(5000))], "batch int, size int"),
     "SELECT CAST(i AS INT) AS batch, CAST(least(size, 5000 - before) AS INT) AS size FROM (SELECT *, coalesce(sum(size) OVER (ORDER BY i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before FROM (SELECT i, least(1000, CAST(floor(200 * pow(1.5, i)) AS INT)) AS size FROM range(20) t(i))) WHERE before < 5000",
 )
 
+# ---- selections, budgets, diameters
+
+_DEG = "WITH {edges}, deg AS (SELECT src AS v, count(*) AS deg FROM e GROUP BY src)"
+
+
+def _deg_sql(graph: str) -> str:
+    return _DEG.format(edges=edges_sql(graph))
+
+
+register("landmarks_top_degree", lambda s, d: C.pick_landmarks(_ps(s, d), 50), _deg_sql(PS) + " SELECT v AS s, CAST(row_number() OVER (ORDER BY deg DESC, v) AS INT) AS rank FROM deg QUALIFY rank <= 50")
+register("landmarks_random", lambda s, d: C.pick_landmarks(_ps(s, d), 50, "hash"), _deg_sql(PS) + " SELECT v AS s, CAST(row_number() OVER (ORDER BY md5(concat('0-', v)), v) AS INT) AS rank FROM deg QUALIFY rank <= 50")
+
+
+def _members(graph: str, r: int, w: int, d_: int, rule: str = "floor") -> Callable[[SparkSession, str], DataFrame]:
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        g = G.BUILDERS[graph](spark, d).cached()
+        return C.pick_cohorts(g, r, w, d_, rule).select("s", F.col("bit").cast("long").alias("bit"))
+
+    return run
+
+
+_EDGE_BALL = """anchor AS (SELECT v FROM deg ORDER BY deg DESC, v LIMIT 1),
+    second AS (SELECT deg.v FROM e JOIN anchor ON e.src = anchor.v JOIN deg ON deg.v = e.dst ORDER BY deg DESC, deg.v LIMIT 1),
+    near AS (SELECT DISTINCT e.dst AS v FROM e WHERE e.src IN (SELECT v FROM anchor UNION SELECT v FROM second)),
+    best AS (SELECT deg.v, deg.deg FROM near JOIN deg USING (v) WHERE deg.v NOT IN (SELECT v FROM anchor) ORDER BY deg.deg DESC, deg.v LIMIT {n}),
+    mem AS (SELECT v AS s, CAST(0 AS BIGINT) AS bit FROM anchor UNION ALL SELECT v, row_number() OVER (ORDER BY deg DESC, v) FROM best)"""
+_BITS = " SELECT s, bit FROM mem"
+register("cohorts_d4", _members("page_link", 1, 32, 4), _deg_sql("page_link").replace("WITH", "WITH RECURSIVE", 1) + ", " + _ball_sql(2, 32) + _BITS)
+register("cohorts_edge_d3", _members("copurchase", 1, 64, 3, "edge"), _deg_sql("copurchase") + ", " + _EDGE_BALL.format(n=63) + _BITS)
+# degrees below w: cohorts stay short
+register("cohorts_short", _members("customer_order", 2, 64, 2), _deg_sql("customer_order") + ", " + two_stars_sql(64) + _BITS)
+
+
+def sweep_edge_d3(spark: SparkSession, d: str) -> DataFrame:
+    g = G.copurchase(spark, d).cached()
+    return long_records(S.cluster_sweep(g, C.pick_cohorts(g, 1, 32, 3, "edge"), 3))
+
+
+register("sweep_edge_d3", sweep_edge_d3, walk_sql("copurchase", _EDGE_BALL.format(n=31) + ", src AS (SELECT s FROM mem)") + _RECORDS)
+
+
+def exact_hits(spark: SparkSession, d: str) -> DataFrame:
+    """The pairs that the index answers exactly: those with a member of a cohort on a shortest path."""
+    g, pairs = _landmark_case(CP)(spark, d)
+    found = L.LandmarkIndex.build(g, C.pick_cohorts(g, 2, 16), 2).query(pairs)
+    return M.scored(found, L.exact_pairs(g, pairs)).where("est = truth").select("pid")
+
+
+register("landmark_exact_hits", exact_hits, _index_sql(CP, two_stars_sql(16), N_PAIRS, f", {_SCORED.replace('SELECT truth', 'SELECT pid, truth')} SELECT pid FROM scored WHERE est = truth"))
+
+
+def _eps(graph: str, variants: tuple[tuple[int, int, int], ...]) -> Callable[[SparkSession, str], DataFrame]:
+    """t, w, d, clusters, eps for variants (t bytes a vertex, w, d); w = 1 is single landmarks."""
+
+    def run(spark: SparkSession, folder: str) -> DataFrame:
+        g, pairs = _landmark_case(graph, N_GRADED)(spark, folder)
+        truth = L.exact_pairs(g, pairs).persist()
+        out = None
+        for t, w, d in variants:
+            n = C.clusters_for_budget(t, w, d)
+            answers = L.plain_query(L.wide(L.plain_index(g, C.pick_landmarks(g, n))), pairs) if w == 1 else L.LandmarkIndex.build(g, C.pick_cohorts(g, n, w, d), d, "complement").query(pairs)
+            one = M.mean_excess(answers, truth).select(F.lit(t).alias("t"), F.lit(w).alias("w"), F.lit(d).alias("d"), F.lit(n).alias("clusters"), "eps")
+            out = one if out is None else out.unionByName(one)
+        return out
+
+    return run
+
+
+def _eps_sql(graph: str, variants: tuple[tuple[int, int, int], ...]) -> str:
+    def members(t: int, w: int, d: int) -> str:
+        n = C.clusters_for_budget(t, w, d)
+        if w == 1:
+            return _TOP.format(n=n)
+        if d == 2:
+            return two_stars_sql(w) if n == 2 else star_sql(w)
+        return _ball_sql(d // 2, w)
+
+    graded = f", {_SCORED} SELECT {{}} AS t, {{}} AS w, {{}} AS d, {{}} AS clusters, round(avg(est / truth) - 1, 6) AS eps FROM scored"
+    parts = [_index_sql(graph, members(*v), N_GRADED, graded.format(*v, C.clusters_for_budget(*v))) for v in variants]
+    return " UNION ALL ".join(f"SELECT CAST(t AS INT) AS t, CAST(w AS INT) AS w, CAST(d AS INT) AS d, CAST(clusters AS INT) AS clusters, eps FROM ({p})" for p in parts)
+
+
+_BUDGETS = ((17, 1, 2), (17, 64, 2), (34, 1, 2), (34, 64, 2))
+_DIAMETERS = ((34, 64, 2), (34, 64, 3), (34, 64, 4))
+register("landmark_budget_eps", _eps("copurchase", _BUDGETS), _eps_sql("copurchase", _BUDGETS))
+register("landmark_tradeoff_eps", _eps(CP, _BUDGETS), _eps_sql(CP, _BUDGETS))
+register("landmark_diameter_eps", _eps("copurchase", _DIAMETERS), _eps_sql("copurchase", _DIAMETERS))
+
+
+def local_tau_sweep(spark: SparkSession, d: str) -> DataFrame:
+    g, pairs = _landmark_case(CP, 200)(spark, d)
+    out = None
+    for tau, scope in ((32, "side"), (128, "side"), (128, "total"), (512, "side")):
+        one = L.local_meet(g, pairs, tau, scope=scope).select(F.lit(tau).alias("tau"), F.lit(scope).alias("scope"), "pid", "est")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+register(
+    "local_tau_sweep",
+    local_tau_sweep,
+    " UNION ALL ".join(
+        f"SELECT CAST({tau} AS INT) AS tau, '{scope}' AS scope, * FROM ({walk_sql(CP, f'{_PAIRS_SQL.format(count=200)}, {_ENDS}') + _MEET.format(tau=tau if scope == 'side' else tau // 2)} SELECT pid, est FROM pairs LEFT JOIN met USING (pid))"
+        for tau, scope in ((32, "side"), (128, "side"), (128, "total"), (512, "side"))
+    ),
+)
+
+
+register("exact_label_superset", exact_label_superset, "SELECT CAST(0 AS BIGINT) AS missing, true AS fewer_than_batched")
+
 # ---- surroundings
 
 
@@ -466,3 +603,88 @@ register(
     lambda s, d: feeds.drained(feeds.windowed_counts(feeds.events(s, d), "1 hour"), "complete").select(F.date_format("start", "yyyy-MM-dd HH:mm").alias("start"), "event_type", "n"),
     "SELECT strftime(date_trunc('hour', ts), '%Y-%m-%d %H:%M') AS start, event_type, count(*) AS n FROM events GROUP BY ALL",
 )
+
+
+def _table(name: str, use: Callable[[DataFrame], DataFrame]) -> Callable[[SparkSession, str], DataFrame]:
+    return lambda spark, d: use(G.table(spark, d, name))
+
+
+register(
+    "report_cube",
+    _table("orders", lambda o: o.cube("o_orderpriority", "o_orderstatus").agg(F.count("*").alias("n"), F.grouping_id().cast("int").alias("level"))),
+    "SELECT o_orderpriority, o_orderstatus, count(*) AS n, CAST(grouping_id(o_orderpriority, o_orderstatus) AS INT) AS level FROM orders GROUP BY CUBE (o_orderpriority, o_orderstatus)",
+)
+register(
+    "report_pivot",
+    _table("orders", lambda o: o.groupBy("o_orderpriority").pivot("o_orderstatus", ["F", "O", "P"]).agg(F.count("o_orderkey")).fillna(0)),
+    "SELECT o_orderpriority, " + ", ".join(f"count(*) FILTER (o_orderstatus = '{x}') AS \"{x}\"" for x in "FOP") + " FROM orders GROUP BY 1",
+)
+register(
+    "report_unpivot",
+    lambda s, d: _ps(s, d).vertices.agg(F.count("*").alias("n"), F.sum("deg").alias("m"), F.max("deg").alias("max_deg")).unpivot([], ["n", "m", "max_deg"], "measure", "value"),
+    _deg_sql(PS) + ", t AS (SELECT count(*) AS n, CAST(sum(deg) AS BIGINT) AS m, max(deg) AS max_deg FROM deg) SELECT 'n' AS measure, n AS value FROM t UNION ALL SELECT 'm', m FROM t UNION ALL SELECT 'max_deg', max_deg FROM t",
+)
+register(
+    "degree_quantiles",
+    lambda s, d: _ps(s, d).vertices.agg(*(F.round(F.percentile("deg", F.lit(q)), 6).alias(f"p{int(100 * q)}") for q in (0.25, 0.5, 0.9)), F.round(F.stddev_samp("deg"), 6).alias("sd")),
+    _deg_sql(PS) + " SELECT " + ", ".join(f"round(quantile_cont(deg, {q}), 6) AS p{int(100 * q)}" for q in (0.25, 0.5, 0.9)) + ", round(stddev_samp(deg), 6) AS sd FROM deg",
+)
+register(
+    "set_intersect",
+    lambda s, d: G.part_supplier(s, d).vertices.select("v").intersect(G.customer_part(s, d).vertices.select("v")),
+    f"(SELECT DISTINCT src AS v FROM (WITH {edges_sql(PS)} SELECT src FROM e)) INTERSECT (SELECT DISTINCT src FROM (WITH {edges_sql(CP)} SELECT src FROM e))",
+)
+register(
+    "set_except_all",
+    lambda s, d: G.table(s, d, "events").select(F.col("user_id").alias("k")).exceptAll(G.table(s, d, "orders").select(F.col("o_custkey").alias("k"))),
+    "SELECT user_id AS k FROM events EXCEPT ALL SELECT o_custkey FROM orders",
+)
+register(
+    "json_filter",
+    _table("events", lambda e: e.select("event_type", F.get_json_object("props", "$.k").cast("long").alias("k")).where("k < 10").groupBy("event_type", "k").agg(F.count("*").alias("n"))),
+    "SELECT event_type, CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, count(*) AS n FROM events WHERE CAST(json_extract_string(props, '$.k') AS BIGINT) < 10 GROUP BY ALL",
+)
+
+
+def status_maps(orders: DataFrame) -> DataFrame:
+    """A map of counts by status for each priority, read by its keys."""
+    n = orders.groupBy("o_orderpriority", "o_orderstatus").agg(F.count("*").alias("n"))
+    maps = n.groupBy("o_orderpriority").agg(F.map_from_entries(F.collect_list(F.struct("o_orderstatus", "n"))).alias("m"))  # a few statuses
+    return maps.select("o_orderpriority", F.size(F.map_keys("m")).cast("long").alias("statuses"), F.try_element_at("m", F.lit("F")).alias("f"))
+
+
+register("status_maps", _table("orders", status_maps), "SELECT o_orderpriority, count(DISTINCT o_orderstatus) AS statuses, count(*) FILTER (o_orderstatus = 'F') AS f FROM orders GROUP BY 1")
+
+
+def json_edges(spark: SparkSession, d: str) -> DataFrame:
+    """Edges written as JSON lines and read back."""
+    g = G.nation_region(spark, d)
+    path = f"{shared_folder(spark)}/edges-json-{uuid.uuid4().hex}"
+    g.edges.write.json(path)
+    return G.read_edge_json(spark, path).edges
+
+
+def text_edges(spark: SparkSession, d: str) -> DataFrame:
+    """Edges written as tab-separated lines and read back."""
+    path = f"{shared_folder(spark)}/edges-text-{uuid.uuid4().hex}"
+    G.nation_region(spark, d).edges.write.csv(path, sep="\t")
+    return G.read_edge_list(spark, path).edges
+
+
+register("edges_json_round_trip", json_edges, f"WITH {edges_sql('nation_region')} SELECT src, dst FROM e")
+register("edges_text_round_trip", text_edges, f"WITH {edges_sql('nation_region')} SELECT src, dst FROM e")
+register(
+    "sql_table_function",
+    lambda s, d: sql.exploded(s, _ps(s, d), 16),
+    walk_sql(PS, star_sql(16)) + " SELECT v, bit, dist FROM dist JOIN mem USING (s)",
+)
+register(
+    "stream_sliding_counts",
+    lambda s, d: feeds.drained(feeds.windowed_counts(feeds.events(s, d), "2 hours", "1 hour"), "complete").select(F.date_format("start", "yyyy-MM-dd HH:mm").alias("start"), "event_type", "n"),
+    "SELECT strftime(date_trunc('hour', ts) - h * INTERVAL 1 HOUR, '%Y-%m-%d %H:%M') AS start, event_type, count(*) AS n FROM events, (VALUES (0), (1)) t(h) GROUP BY ALL",
+)
+register(
+    "stream_interval_join",
+    lambda s, d: feeds.drained(feeds.clicks_before_purchases(s, d)),
+    "SELECT p.event_id AS purchase, c.event_id AS click FROM events p JOIN events c ON p.user_id = c.user_id AND c.ts BETWEEN p.ts - INTERVAL 1 HOUR AND p.ts WHERE p.event_type = 'purchase' AND c.event_type = 'click'",
+)

@@ -40,3 +40,8 @@ def record_distance(base: Column, masks: Column, position: Column) -> Column:
     """Distance of the source at ``position``: the base plus the offset of the mask that holds it; null if none does."""
     at = F.transform(masks, lambda m, i: F.when(has(m, position), i))
     return base + F.array_min(at)
+
+
+def once(value: Column, use) -> Column:
+    """``use(value)`` with the value bound to a lambda's variable, so that it is worked out once however often it is used."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))

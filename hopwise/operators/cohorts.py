@@ -2,62 +2,120 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..plans.ranking import ranked
+from ..plans.store import forget, written
 from ..sources.graphs import HopGraph
-from .search import bfs_each
+from .search import bfs_each, cluster_sweep, explode_records, records
 
 SCHEMA = "cid int, bit int, s long, is_anchor boolean"
 
 
 def pick_landmarks(g: HopGraph, count: int, strategy: str = "degree", seed: int = 0) -> DataFrame:
     """s, rank: the ``count`` of the highest degree (ties by id), or by a hash of the id."""
-    order = [F.desc("deg"), F.col("v")] if strategy == "degree" else [F.xxhash64(F.lit(seed), "v"), F.col("v")]
+    order = [F.desc("deg"), F.col("v")] if strategy == "degree" else [F.md5(F.concat_ws("-", F.lit(seed), F.col("v"))), F.col("v")]
     top = [r["v"] for r in g.vertices.orderBy(*order).limit(count).collect()]
     return g.edges.sparkSession.createDataFrame(list(zip(top, range(1, len(top) + 1), strict=True)), "s long, rank int")
 
 
 def ball(g: HopGraph, anchor: int, radius: int) -> DataFrame:
     """v: within ``radius`` hops of the anchor, without it."""
+    return balls(g, g.edges.sparkSession.createDataFrame([(anchor,)], "s long"), radius).select("v")
+
+
+def balls(g: HopGraph, anchors: DataFrame, radius: int) -> DataFrame:
+    """s, v: the vertices within ``radius`` hops of each of ``anchors(s)``, without the anchor itself."""
     if radius == 1:
-        return g.edges.where(F.col("src") == anchor).select(F.col("dst").alias("v"))
-    spark = g.edges.sparkSession
-    found = bfs_each(g, spark.createDataFrame([(anchor,)], "s long"), stop_after=radius)
-    return found.where("dist > 0").select("v")
+        return g.along(anchors.withColumnRenamed("s", "v")).select(F.col("v").alias("s"), F.col("dst").alias("v"))
+    return bfs_each(g, anchors, stop_after=radius).where("dist > 0").select("s", "v")
 
 
-def pick_cohorts(g: HopGraph, r: int, w: int = 64, d: int = 2, radius_rule: str = "floor") -> DataFrame:
+def pick_cohorts(g: HopGraph, r: int, w: int = 64, d: int = 2, radius_rule: str = "floor", chunk: int = 16) -> DataFrame:
     """r cohorts of at most w: the unmarked vertex of the highest degree, and the w-1 unmarked of the highest degree
-    within half of d; all are then marked. What the driver holds is r * w ids.
+    within half of d; all are then marked.
 
-    ``radius_rule="edge"`` (d = 3) takes the neighbours of both ends of the anchor's edge to its best neighbour.
+    Candidates are worked on ``chunk`` at a time. The chunk's balls are fetched in one job, and of each the best
+    (w-1) + (chunk-1) w unmarked vertices: earlier candidates of the chunk can mark no more than the surplus, so the
+    driver's greedy choice on these rows is the choice on the whole graph. What the driver holds is r * w ids and
+    chunk^2 * w rows.
+
+    ``radius_rule="edge"`` (d = 3) takes the neighbours of both ends of the anchor's edge to its best neighbour; that
+    depends on the marks, so it is done one cohort at a time.
     """
-    spark, degrees = g.edges.sparkSession, g.vertices.persist()
-    marked: list[int] = []
+    spark = g.edges.sparkSession
+    degrees = written(g.vertices, "degrees")
+    marked: set[int] = set()
     out: list[tuple[int, int, int, bool]] = []
+    edge_rule, radius = radius_rule == "edge" and d == 3, max(d // 2, 0)
 
-    def best(among: DataFrame, n: int) -> list[int]:
-        gone = spark.createDataFrame([(x,) for x in marked], "v long")
-        return [x["v"] for x in among.join(F.broadcast(gone), "v", "left_anti").orderBy(F.desc("deg"), "v").limit(n).collect()]
+    def unmarked(among: DataFrame) -> DataFrame:
+        gone = spark.createDataFrame([(x,) for x in sorted(marked)], "v long")  # r * w rows at most
+        return among.join(F.broadcast(gone), "v", "left_anti")
 
-    for cid in range(r):
-        anchor = best(degrees, 1)
-        if not anchor:
+    def best(among: DataFrame, n: int) -> list[tuple[int, int]]:
+        return [(x["v"], x["deg"]) for x in unmarked(among).orderBy(F.desc("deg"), "v").limit(n).collect()]
+
+    def choose(anchor: int, near: list[int]) -> None:
+        members = [anchor, *[v for v in near if v not in marked and v != anchor][: w - 1]]
+        marked.update(members)
+        cid = out[-1][0] + 1 if out else 0
+        out.extend((cid, bit, s, bit == 0) for bit, s in enumerate(members))
+
+    taken = 0
+    while taken < r:
+        candidates = [v for v, _ in best(degrees, 1 if edge_rule else min(chunk, r - taken))]
+        if not candidates:
             break
-        marked += anchor
-        if radius_rule == "edge" and d == 3:
-            near = ball(g, anchor[0], 1)
+        if edge_rule:
+            near = ball(g, candidates[0], 1)
+            marked.add(candidates[0])
             second = best(near.join(degrees, "v"), 1)
-            around = near.unionByName(ball(g, second[0], 1)).distinct() if second else near
-        else:
-            around = ball(g, anchor[0], max(d // 2, 0)) if d >= 2 else degrees.select("v").limit(0)
-        members = anchor + best(around.join(degrees, "v"), w - 1)
-        marked += members[1:]
-        out += [(cid, bit, s, bit == 0) for bit, s in enumerate(members)]
+            around = near.unionByName(ball(g, second[0][0], 1)).distinct() if second else near
+            choose(candidates[0], [v for v, _ in best(around.join(degrees, "v"), w - 1)])
+            taken += 1
+            continue
+        around: dict[int, list[int]] = {}
+        if radius:
+            anchors = spark.createDataFrame([(x,) for x in candidates], "s long")
+            rows = unmarked(balls(g, anchors, radius)).join(degrees, "v")
+            place = F.row_number().over(Window.partitionBy("s").orderBy(F.desc("deg"), "v"))
+            top = rows.withColumn("place", place).where(F.col("place") <= (w - 1) + (len(candidates) - 1) * w)
+            for x in top.select("s", "v", "place").orderBy("s", "place").collect():
+                around.setdefault(x["s"], []).append(x["v"])
+        for anchor in candidates:
+            if anchor not in marked and taken < r:
+                choose(anchor, around.get(anchor, []))
+                taken += 1
+    forget(degrees)
     return spark.createDataFrame(out, SCHEMA)
 
 
+def spread_cohorts(g: HopGraph, count: int, w: int = 64, d: int = 2) -> DataFrame:
+    """``count`` test cohorts far from one another in rank: anchors at even steps of the degree order, among vertices of
+    degree w - 1 or more if there are so many, each with its best neighbours; cohorts may overlap."""
+    degrees = written(g.vertices, "degrees")
+    wide = degrees.where(F.col("deg") >= w - 1)
+    n = wide.count()
+    pool, n = (wide, n) if n >= count else (degrees, degrees.count())
+    step = max(1, n // count)
+    order = ranked(pool, F.desc("deg"), "v")
+    anchors = [x["v"] for x in order.where((F.col("rank") - 1) % step == 0).orderBy("rank").limit(count).collect()]
+    near = balls(g, g.edges.sparkSession.createDataFrame([(x,) for x in anchors], "s long"), max(1, d // 2)).join(degrees, "v")
+    place = F.row_number().over(Window.partitionBy("s").orderBy(F.desc("deg"), "v"))
+    rows = near.withColumn("place", place).where(F.col("place") < w).select("s", "v", "place").orderBy("s", "place").collect()
+    members = {a: [x["v"] for x in rows if x["s"] == a] for a in anchors}
+    out = [(cid, bit, s, bit == 0) for cid, a in enumerate(anchors) for bit, s in enumerate([a, *members[a]])]
+    return g.edges.sparkSession.createDataFrame(out, SCHEMA)
+
+
+def all_pairs(g: HopGraph, w: int = 64, d: int = 2) -> DataFrame:
+    """s, v, dist: all distances, by sweeps over cohorts that cover the graph. The answer is quadratic; so is the work."""
+    cover = pick_cohorts(g, g.vertices.count(), w, d)
+    return explode_records(records(cluster_sweep(g, cover, d), d), cover).select("s", "v", "dist")
+
+
 def star(g: HopGraph, anchor: int, w: int = 64) -> DataFrame:
     """The anchor and its w-1 neighbours of the highest degree."""
     rows = ball(g, anchor, 1).join(g.vertices, "v").orderBy(F.desc("deg"), "v").limit(w - 1).collect()

@@ -4,38 +4,50 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from ..functions import masks
 from ..plans.ranking import ranked
-from ..plans.store import written
+from ..plans.store import RoundLog, written
 from ..sources.graphs import HopGraph
-from .search import bfs_each, cluster_sweep, records
+from .search import bfs_each, cluster_sweep, records, sent_along
 
 ENCODINGS = ("full", "complement", "anchor")
 
 
-def sample_pairs(g: HopGraph, count: int) -> DataFrame:
-    """pid, u, v: deterministic pairs of different vertices, by two strides over the vertices in the order of their ids."""
+def sample_pairs(g: HopGraph, count: int, seed: int = 0) -> DataFrame:
+    """pid, u, v: ``count`` deterministic pairs of different vertices, spread over the whole square.
+
+    Both ends are drawn by hashes of the pair's number among the vertices in the order of their ids.
+    """
     v = written(ranked(g.vertices.select("v"), "v").select("v", (F.col("rank") - 1).alias("i")), "numbered")
     n = v.count()
-    j = g.edges.sparkSession.range(count)
-    at = j.select(F.pmod(F.col("id") * 7919 + 13, F.lit(n)).alias("a"), F.pmod(F.col("id") * 104729 + 7, F.lit(n)).alias("b")).where("a <> b").distinct()
-    out = at.join(v.select(F.col("i").alias("a"), F.col("v").alias("u")), "a").join(v.select(F.col("i").alias("b"), "v"), "b")
-    return out.select((F.col("a") * n + F.col("b")).alias("pid"), "u", "v")
+    draw = lambda k: F.conv(F.substring(F.md5(F.concat_ws("-", F.lit(seed), F.col("id"), F.lit(k))), 1, 12), 16, 10).cast("long") % n
+    at = g.edges.sparkSession.range(count).select(F.col("id").alias("pid"), draw("a").alias("a"), draw("b").alias("b")).where("a <> b")
+    return at.join(v.select(F.col("i").alias("a"), F.col("v").alias("u")), "a").join(v.select(F.col("i").alias("b"), "v"), "b").select("pid", "u", "v")
 
 
 def plain_index(g: HopGraph, landmarks: DataFrame) -> DataFrame:
-    """v, h, dist"""
+    """v, h, dist: the long layout."""
     return bfs_each(g, landmarks).select("v", F.col("s").alias("h"), "dist")
 
 
+def wide(index: DataFrame) -> DataFrame:
+    """v, marks: the wide layout of a plain index, one row a vertex with (h, dist) of its landmarks."""
+    return index.groupBy("v").agg(F.sort_array(F.collect_list(F.struct("h", "dist"))).alias("marks"))  # as many as landmarks
+
+
 def plain_query(index: DataFrame, pairs: DataFrame) -> DataFrame:
-    """pid, est: the least sum over a common landmark; 0 for u = v, null without one."""
-    a = index.select(F.col("v").alias("u"), "h", F.col("dist").alias("du"))
-    b = index.select("v", "h", F.col("dist").alias("dv"))
-    est = pairs.join(a, "u").join(b, ["v", "h"]).groupBy("pid").agg(F.min(F.col("du") + F.col("dv")).alias("est"))
+    """pid, est: the least sum over a common landmark; 0 for u = v, null without one. The index may be long or wide."""
+    if "marks" in index.columns:
+        a, b = index.select(F.col("v").alias("u"), F.col("marks").alias("x")), index.select("v", F.col("marks").alias("y"))
+        sums = masks.once(F.map_from_entries("y"), lambda y: F.transform("x", lambda x: x["dist"] + F.try_element_at(y, x["h"])))
+        est = pairs.join(a, "u").join(b, "v").select("pid", F.array_min(sums).alias("est"))
+    else:
+        a = index.select(F.col("v").alias("u"), "h", F.col("dist").alias("du"))
+        b = index.select("v", "h", F.col("dist").alias("dv"))
+        est = pairs.join(a, "u").join(b, ["v", "h"]).groupBy("pid").agg(F.min(F.col("du") + F.col("dv")).alias("est"))
     return pairs.join(est, "pid", "left").select("pid", F.when(F.col("u") == F.col("v"), 0).otherwise(F.col("est")).alias("est"))
 
 
@@ -86,15 +98,23 @@ class LandmarkIndex:
         return out
 
     def query(self, pairs: DataFrame) -> DataFrame:
-        """pid, est: never below the distance; 0 for u = v, null without a common cohort. Pairs move, and index rows of their ends."""
-        a = self.table.select(F.col("v").alias("u"), F.col("recs").alias("ru"))
-        b = self.table.select("v", F.explode("recs").alias("y"))
-        a = a.select("u", F.explode("ru").alias("x"))
-        joined = pairs.join(a, "u").join(b, "v").where("x.cid = y.cid")
-        ma, mb = F.col("x.m"), F.col("y.m")
-        if self.encoding == "complement":
-            ma, mb = self._restored(ma, F.col("x.cid")), self._restored(mb, F.col("y.cid"))
-        est = joined.select("pid", (F.col("x.base") + F.col("y.base") + self._offset(ma, mb)).alias("est")).groupBy("pid").agg(F.min("est").alias("est"))
+        """pid, est: never below the distance; 0 for u = v, null without a common cohort.
+
+        The rows of both ends meet the pair as they are; records of one cohort meet inside the row. Of the index, only
+        rows of ends move, none if the pairs are few enough to be broadcast.
+        """
+        a = self.table.select(F.col("v").alias("u"), F.col("recs").alias("x"))
+        b = self.table.select("v", F.map_from_entries(F.transform("recs", lambda y: F.struct(y["cid"], y))).alias("y"))
+
+        def full(rec: Column) -> Column:
+            return self._restored(rec["m"], rec["cid"]) if self.encoding == "complement" else rec["m"]
+
+        def one(x: Column, y: Column) -> Column:
+            met = masks.once(full(x), lambda ma: masks.once(full(y), lambda mb: self._offset(ma, mb)))
+            return F.when(y.isNotNull(), x["base"] + y["base"] + met)
+
+        sums = F.transform("x", lambda x: masks.once(F.try_element_at("y", x["cid"]), lambda y: one(x, y)))
+        est = pairs.join(a, "u").join(b, "v").select("pid", F.array_min(sums).alias("est"))
         return pairs.join(est, "pid", "left").select("pid", F.when(F.col("u") == F.col("v"), 0).otherwise(F.col("est")).alias("est"))
 
 
@@ -104,36 +124,41 @@ def exact_pairs(g: HopGraph, pairs: DataFrame) -> DataFrame:
     return pairs.join(found.select(F.col("s").alias("u"), "v", F.col("dist").alias("truth")), ["u", "v"], "left").select("pid", "truth")
 
 
-def local_meet(g: HopGraph, pairs: DataFrame, tau: int, skip: DataFrame | None = None) -> DataFrame:
-    """pid, est: the least sum over vertices in both balls, each the first ``tau`` vertices by (distance, id)."""
-    from pyspark.sql import Window
+def local_meet(g: HopGraph, pairs: DataFrame, tau: int, skip: DataFrame | None = None, scope: str = "side") -> DataFrame:
+    """pid, est: the least sum over vertices in both balls, each the first ``tau`` vertices by (distance, id).
 
+    ``scope="total"`` shares tau between the two sides. Vertices of ``skip(s)`` are not visited: a query that also
+    asks the index has their answers already. A ball that is full grows no further; of what a round reaches, only the
+    first by id that still fit are kept.
+    """
+    if scope not in ("side", "total"):
+        raise ValueError("scope is side or total")
+    room = tau if scope == "side" else max(1, tau // 2)
     ends = pairs.select(F.col("u").alias("s")).union(pairs.select(F.col("v").alias("s"))).distinct()
-    inner = HopGraph(g.edges.join(skip.select(F.col("s").alias("dst")), "dst", "left_anti"), g.directed) if skip is not None else g
-    state = written(ends.select("s", F.col("s").alias("v"), F.lit(0).alias("dist")), "ball")
-    i, size = 0, state.count()
-    while size:
-        frontier = state.where(F.col("dist") == i).select("v", "s", F.lit(i + 1).alias("next"))
-        sent = frontier.join(inner.edges, frontier.v == inner.edges.src).select(F.col("dst").alias("v"), "s", "next").distinct()
-        new = sent.join(state.select("v", "s"), ["v", "s"], "left_anti").select("s", "v", F.col("next").alias("dist"))
-        near = state.unionByName(new).withColumn("r", F.row_number().over(Window.partitionBy("s").orderBy("dist", "v"))).where(F.col("r") <= tau).drop("r")
-        i += 1
-        state, size = _observed(near, i)
-    a = state.select(F.col("s").alias("u"), F.col("v").alias("x"), F.col("dist").alias("du"))
-    b = state.select(F.col("s").alias("v"), F.col("v").alias("x"), F.col("dist").alias("dv"))
+    edges = g.edges if skip is None else g.edges.join(skip.select(F.col("s").alias("dst")), "dst", "left_anti").select("src", "dst")
+    # of a hub, a ball of ``room`` can use the first by id that it has not visited: they are among the first 2 * room
+    first = edges.withColumn("place", F.row_number().over(Window.partitionBy("src").orderBy("dst"))).where(F.col("place") <= 2 * room)
+    inner = HopGraph(written(first.select("src", "dst"), "first-edges"), g.directed)
+    log, counted = RoundLog(g.edges.sparkSession, "balls", "s long, v long"), Observation()
+    log.append(ends.select("s", F.col("s").alias("v")).observe(counted, F.count("*").alias("n")))
+    while counted.get["n"]:
+        left = log.since().groupBy("s").agg((room - F.count("*")).alias("left")).where("left > 0")
+        frontier = log.last().select("v", "s").join(left.select("s"), "s", "left_semi")
+        sent = sent_along(inner, frontier)
+        recent = log.since() if g.directed else log.since(log.rounds - 2)
+        both = sent.select("s", "v", F.lit(True).alias("met")).unionByName(recent.select("s", "v", F.lit(False).alias("met")))
+        new = both.groupBy("s", "v").agg(F.every("met").alias("met")).where("met")
+        place = F.row_number().over(Window.partitionBy("s").orderBy("v"))
+        kept = new.join(left, "s").withColumn("place", place).where(F.col("place") <= F.least("left", F.lit(room))).select("s", "v")
+        counted = Observation()
+        log.append(kept.observe(counted, F.count("*").alias("n")))
+    state = log.since()
+    a = state.select(F.col("s").alias("u"), F.col("v").alias("x"), F.col("round").alias("du"))
+    b = state.select(F.col("s").alias("v"), F.col("v").alias("x"), F.col("round").alias("dv"))
     est = pairs.join(a, "u").join(b, ["v", "x"]).groupBy("pid").agg(F.min(F.col("du") + F.col("dv")).alias("est"))
     return pairs.join(est, "pid", "left").select("pid", "est")
 
 
-def _observed(df: DataFrame, i: int) -> tuple[DataFrame, int]:
-    """The table written, and how many of its rows are at distance i."""
-    from pyspark.sql import Observation
-
-    seen = Observation()
-    out = written(df.observe(seen, F.count_if(F.col("dist") == i).alias("n")), "ball")
-    return out, seen.get["n"]
-
-
 def least_answer(a: DataFrame, b: DataFrame) -> DataFrame:
     """pid, est: the smaller of two answers."""
     return a.join(b.withColumnRenamed("est", "other"), "pid").select("pid", F.least("est", "other").alias("est"))

@@ -69,3 +69,20 @@ def scorecard(rows: DataFrame) -> DataFrame:
     """From (graph, base_s, other_s, base_eps, other_eps): graphs improved in time, in accuracy, in both, in either."""
     t, e = F.col("other_s") < F.col("base_s"), F.col("other_eps") < F.col("base_eps")
     return rows.agg(F.count_if(t).alias("time"), F.count_if(e).alias("accuracy"), F.count_if(t & e).alias("both"), F.count_if(t | e).alias("either"), F.count("*").alias("graphs"))
+
+
+def work_saving(one_by_one: int, swept: int) -> float:
+    """Edge activations of separate searches over those of a sweep."""
+    return one_by_one / max(1, swept)
+
+
+def relative_times(rows: DataFrame, base_d: int = 2) -> DataFrame:
+    """From (graph, d, seconds): each time over the graph's time at ``base_d``."""
+    base = rows.where(F.col("d") == base_d).select("graph", F.col("seconds").alias("base"))
+    return rows.join(base, "graph").select("graph", "d", (F.col("seconds") / F.col("base")).alias("relative"))
+
+
+def shuffled_bytes(spark) -> int:
+    """Bytes that the stages of this session have written to shuffles so far."""
+    stages = spark.sparkContext._jsc.sc().statusStore().stageList(None)
+    return sum(stages.apply(i).shuffleWriteBytes() for i in range(stages.size()))

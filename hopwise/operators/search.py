@@ -1,8 +1,10 @@
 """Level-synchronous traversals: plain searches keyed by source, and cluster sweeps that carry sources as bits.
 
-A round is one job: frontier rows join the edges, messages combine before the shuffle (min or bit_or, both
-idempotent, so repeated tasks are safe), meet the state in one outer join, and the new state is written to the
-shared folder. What arrived in the round is the part of the state with fresh bits; the driver sees its count.
+A round is one job. Frontier rows meet their edges; what they send, and the rows of the log that could know it
+already, are combined in one aggregation by vertex (min or bit_or, all idempotent, so repeated tasks are safe);
+what is new is appended to the log, which is the answer. In an undirected graph neighbours are reached at most a
+round apart, so only the last rounds of the log can know a vertex that is met now: two for a plain search, d + 2
+for a sweep of gate d. Nothing that no message touches moves, and no state is written twice.
 """
 
 from __future__ import annotations
@@ -13,32 +15,69 @@ from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from ..functions import masks
-from ..plans.store import written
+from ..plans.store import RoundLog, written
 from ..sources.graphs import HopGraph
 
-PULL_RATIO = 0.05
+#: "auto" pulls while the frontier's edges are more than this share of the edges of vertices not yet met
+PULL_SHARE = 0.5
 
 
 @dataclass
 class Report:
-    """Per round: mode, frontier rows that went in, rows that arrived."""
+    """Per round: mode, frontier rows that went in, edges that they activated, messages after combining, rows that arrived."""
 
     rounds: list[dict] = field(default_factory=list)
 
+    def total(self, what: str) -> int:
+        return sum(r[what] for r in self.rounds)
+
     @property
     def messages(self) -> int:
-        return sum(r["arrived"] for r in self.rounds)
+        return self.total("messages")
+
+    @property
+    def activations(self) -> int:
+        return self.total("activations")
 
 
-def edge_step(g: HopGraph, frontier: DataFrame, keys: list[str], value: str, combine, closed: DataFrame | None = None) -> DataFrame:
-    """(v, keys, value) that frontier rows (v, keys, value) send along out-edges, combined by head.
+def sent_along(g: HopGraph, frontier: DataFrame, open_: DataFrame | None = None) -> DataFrame:
+    """``frontier(v, ...)`` once for every out-edge, v being the head.
 
-    With ``closed(v)`` the step pulls: only edges into vertices that are still open are looked at. All frontier
-    in-neighbours of an open vertex are combined; stopping at the first would lose the others' bits.
+    With ``open_(v)`` the step pulls: open vertices look along their in-edges for rows of the frontier. (Searches
+    that carry bits must see all of them; for one source a semi-join stops at the first, see ``reached_by_pull``.)
     """
-    edges = g.edges if closed is None else g.edges.join(closed.withColumnRenamed("v", "dst"), "dst", "left_anti")
-    sent = frontier.join(edges, frontier.v == edges.src).select(F.col("dst").alias("v"), *keys, value)
-    return sent.groupBy("v", *keys).agg(combine(value).alias(value))
+    if open_ is None:
+        return g.along(frontier).drop("v").withColumnRenamed("dst", "v")
+    looked = g.incoming().along(open_)
+    tails = frontier.withColumnRenamed("v", "_tail")
+    return looked.join(tails, looked.dst == tails["_tail"]).drop("dst", "_tail")
+
+
+def reached_by_pull(g: HopGraph, frontier: DataFrame, open_: DataFrame) -> DataFrame:
+    """v: open vertices with an in-neighbour in ``frontier(v)``; an edge is dropped at its first hit, and one row a vertex leaves each task."""
+    looked = g.incoming().along(open_)
+    return looked.join(frontier.select(F.col("v").alias("dst")), "dst", "left_semi").select("v").distinct()
+
+
+class Direction:
+    """Push, pull or, by the edges ahead, either."""
+
+    def __init__(self, g: HopGraph, mode: str):
+        self.mode, self.degrees, self.unmet = mode, None, 0
+        if mode == "auto":
+            self.degrees = written(g.vertices, "degrees")
+            self.unmet = self.degrees.agg(F.sum("deg")).first()[0] or 0
+        self.ahead = 0
+
+    def weigh(self, arrived: DataFrame) -> DataFrame:
+        """``arrived(v, first, ...)`` with the out-degree of v, where it is needed."""
+        return arrived.withColumn("deg", F.lit(0).cast("long")) if self.degrees is None else arrived.join(self.degrees, "v", "left").fillna(0, ["deg"])
+
+    def saw(self, edges: int, first_edges: int) -> None:
+        self.ahead, self.unmet = edges, self.unmet - first_edges
+
+    def pull(self) -> bool:
+        return self.mode == "pull" or self.mode == "auto" and self.ahead > PULL_SHARE * self.unmet
 
 
 def cluster_sweep(
@@ -50,66 +89,85 @@ def cluster_sweep(
     part for d rounds after its first. None lifts the gate: right for any set of sources. ``delta`` sends fresh
     bits only; else all seen ones. ``mode``: push, pull or auto.
     """
-    keys = ["cid", "word"]
-    seeds = cohorts.select(F.col("s").alias("v"), F.col("cid").cast("int").alias("cid"), F.floor(F.col("bit") / 64).cast("int").alias("word"), masks.bit(F.col("bit") % 64).alias("m"))
-    state = seeds.groupBy("v", *keys).agg(F.bit_or("m").alias("seen")).select("v", *keys, F.lit(0).alias("base"), "seen", F.col("seen").alias("fresh"))
-    whole = seeds.groupBy(*keys).agg(F.bit_or("m").alias("whole"))
-    state = written(state, "sweep")
-    log = [state.select("v", *keys, F.lit(0).alias("round"), "fresh")]
-    arrived, i = state.count(), 0
-    m = g.edges.count() if mode == "auto" else 0
+    spark, keys = g.edges.sparkSession, ["cid", "word"]
+    none = F.lit(0).cast("long")
+    seeds = cohorts.select(F.col("s").cast("long").alias("v"), F.col("cid").cast("int").alias("cid"), F.floor(F.col("bit") / 64).cast("int").alias("word"), masks.bit(F.col("bit") % 64).alias("m"))
+    whole = written(seeds.groupBy(*keys).agg(F.bit_or("m").alias("whole")), "whole")
+    log, way = RoundLog(spark, "sweep", "v long, cid int, word int, fresh long"), Direction(g, mode)
+    back = None if d is None or g.directed else d + 2
+    counted = Observation()
+    start = way.weigh(seeds.groupBy("v", *keys).agg(F.bit_or("m").alias("fresh"))).observe(counted, F.count("*").alias("n"), F.sum("deg").alias("deg"))
+    log.append(start.select("v", *keys, "fresh"))
+    arrived, i = counted.get["n"], 0
+    way.saw(counted.get["deg"] or 0, counted.get["deg"] or 0)
     while arrived and (stop_after is None or i < stop_after):
         i += 1
+        recent = log.since(0 if back is None else i - back)
+        frontier = log.last().select("v", *keys, F.col("fresh").alias("msg"))
+        if not delta:
+            frontier = recent.join(frontier.drop("msg"), ["v", *keys], "left_semi").groupBy("v", *keys).agg(F.bit_or("fresh").alias("msg"))
+        pull = way.pull()
+        activated, combined, counted = Observation(), Observation(), Observation()
+        sent = sent_along(g, frontier, _open(g, log.since(), whole, d, i) if pull else None).observe(activated, F.count("*").alias("n"))
         # a vertex at its last offset still sends: a neighbour met a round later is open for its bits
-        frontier = state.where("fresh <> 0").select("v", *keys, (F.col("fresh") if delta else F.col("seen")).alias("msg"))
-        pull = mode == "pull" or mode == "auto" and arrived > PULL_RATIO * m
-        closed = _closed(state, whole, d, i) if pull else None
-        msgs = edge_step(g, frontier, keys, "msg", F.bit_or, closed)
-        joined = state.drop("fresh").join(msgs, ["v", *keys], "full")
-        late = F.lit(False) if d is None else F.coalesce(F.lit(i) - F.col("base") > d, F.lit(False))
-        fresh = F.when(late | F.col("msg").isNull(), F.lit(0).cast("long")).otherwise(masks.minus(F.col("msg"), F.coalesce("seen", F.lit(0).cast("long"))))
-        joined = joined.withColumn("fresh", fresh).withColumn("seen", masks.union(F.coalesce("seen", F.lit(0).cast("long")), F.col("fresh")))
-        joined = joined.select("v", *keys, F.coalesce("base", F.lit(i)).alias("base"), "seen", "fresh")
-        seen = Observation()
-        state = written(joined.observe(seen, F.count_if(F.col("fresh") != 0).alias("n")), "sweep")
+        both = sent.select("v", *keys, "msg", none.alias("fresh"), F.lit(None).cast("int").alias("round"))
+        both = both.unionByName(recent.select("v", *keys, none.alias("msg"), "fresh", "round"))
+        met = both.groupBy("v", *keys).agg(F.bit_or("msg").alias("msg"), F.bit_or("fresh").alias("seen"), F.min("round").alias("base"))
+        met = met.observe(combined, F.count_if(F.col("msg") != 0).alias("n"))
+        gate = F.lit(True) if d is None else F.coalesce(i - F.col("base") <= d, F.lit(True))
+        new = met.withColumn("fresh", masks.minus(F.col("msg"), F.col("seen"))).where((F.col("fresh") != 0) & gate)
+        new = way.weigh(new).observe(counted, F.count("*").alias("n"), F.sum("deg").alias("deg"), F.sum(F.when(F.col("base").isNull(), F.col("deg"))).alias("first"))
+        log.append(new.select("v", *keys, "fresh"))
         if report is not None:
-            report.rounds.append({"round": i, "mode": "pull" if pull else "push", "frontier": arrived, "arrived": seen.get["n"]})
-        arrived = seen.get["n"]
-        log.append(state.where("fresh <> 0").select("v", *keys, F.lit(i).alias("round"), "fresh"))
-    out = log[0]
-    for part in log[1:]:
-        out = out.unionByName(part)
-    return out
+            report.rounds.append({"round": i, "mode": "pull" if pull else "push", "frontier": arrived, "activations": activated.get["n"], "messages": combined.get["n"], "arrived": counted.get["n"]})
+        arrived = counted.get["n"]
+        way.saw(counted.get["deg"] or 0, counted.get["first"] or 0)
+    return log.since().select("v", *keys, "round", "fresh")
 
 
-def _closed(state: DataFrame, whole: DataFrame, d: int | None, i: int) -> DataFrame:
-    """Vertices at which no cohort can gain a bit: all are met in full, or beyond their gate."""
+def _open(g: HopGraph, log: DataFrame, whole: DataFrame, d: int | None, i: int) -> DataFrame:
+    """Vertices at which some cohort can gain a bit: not met in full, nor beyond their gate, by all of them."""
+    met = log.groupBy("v", "cid", "word").agg(F.bit_or("fresh").alias("seen"), F.min("round").alias("base"))
     done = F.col("seen") == F.col("whole")
     if d is not None:
         done = done | (F.lit(i) - F.col("base") > d)
     n = whole.count()  # words of cohorts: a number of the call
-    return state.join(F.broadcast(whole), ["cid", "word"]).groupBy("v").agg(F.count_if(done).alias("done")).where(F.col("done") == n).select("v")
+    closed = met.join(whole, ["cid", "word"]).groupBy("v").agg(F.count_if(done).alias("done")).where(F.col("done") == n)
+    return g.vertices.select("v").join(closed.select("v"), "v", "left_anti")
 
 
 def bfs_each(g: HopGraph, sources: DataFrame, mode: str = "push", stop_after: int | None = None, report: Report | None = None) -> DataFrame:
     """(s, v, dist): plain searches from all of ``sources(s)`` side by side, one row per source and vertex, no bits."""
-    sources = sources.select(F.col("s").cast("long").alias("s")).distinct()
-    state = written(sources.select(F.col("s").alias("v"), "s", F.lit(0).alias("dist")), "bfs")
-    arrived, i = state.count(), 0
-    k, m = arrived, g.edges.count() if mode == "auto" else 0
+    spark = g.edges.sparkSession
+    log, way = RoundLog(spark, "bfs", "v long, s long"), Direction(g, mode)
+    own = sources.select(F.col("s").cast("long").alias("s")).distinct()
+    counted = Observation()
+    log.append(way.weigh(own.select(F.col("s").alias("v"), "s")).observe(counted, F.count("*").alias("n"), F.sum("deg").alias("deg")).select("v", "s"))
+    k = arrived = counted.get["n"]
+    way.unmet *= max(k, 1)
+    way.saw(counted.get["deg"] or 0, counted.get["deg"] or 0)
+    i = 0
     while arrived and (stop_after is None or i < stop_after):
-        frontier = state.where(F.col("dist") == i).select("v", "s", F.lit(i + 1).alias("next"))
-        pull = mode == "pull" or mode == "auto" and arrived > PULL_RATIO * m
-        closed = state.groupBy("v").count().where(F.col("count") == k).select("v") if pull else None
-        reached = edge_step(g, frontier, ["s"], "next", F.min, closed)
         i += 1
-        seen = Observation()
-        joined = state.join(reached, ["v", "s"], "full").select("v", "s", F.coalesce("dist", "next").alias("dist"))
-        state = written(joined.observe(seen, F.count_if(F.col("dist") == i).alias("n")), "bfs")
+        recent, frontier = log.since(0 if g.directed else i - 2), log.last().select("v", "s")
+        pull = way.pull()
+        activated, combined, counted = Observation(), Observation(), Observation()
+        if pull and k == 1:
+            open_ = g.vertices.select("v").join(log.since().select("v"), "v", "left_anti")
+            sent = reached_by_pull(g, frontier, open_).crossJoin(F.broadcast(own))  # one source
+        else:
+            open_ = g.vertices.select("v").join(log.since().groupBy("v").count().where(F.col("count") == k).select("v"), "v", "left_anti") if pull else None
+            sent = sent_along(g, frontier, open_)
+        sent = sent.observe(activated, F.count("*").alias("n"))
+        both = sent.select("v", "s", F.lit(True).alias("met")).unionByName(recent.select("v", "s", F.lit(False).alias("met")))
+        new = both.groupBy("v", "s").agg(F.every("met").alias("new"), F.some("met").alias("met")).observe(combined, F.count_if("met").alias("n"))
+        new = way.weigh(new.where("new")).observe(counted, F.count("*").alias("n"), F.sum("deg").alias("deg"))
+        log.append(new.select("v", "s"))
         if report is not None:
-            report.rounds.append({"round": i, "mode": "pull" if pull else "push", "frontier": arrived, "arrived": seen.get["n"]})
-        arrived = seen.get["n"]
-    return state.select("s", "v", "dist")
+            report.rounds.append({"round": i, "mode": "pull" if pull else "push", "frontier": arrived, "activations": activated.get["n"], "messages": combined.get["n"], "arrived": counted.get["n"]})
+        arrived = counted.get["n"]
+        way.saw(counted.get["deg"] or 0, counted.get["deg"] or 0)
+    return log.since().select("s", "v", F.col("round").alias("dist"))
 
 
 def bfs(g: HopGraph, source: int, mode: str = "push", stop_after: int | None = None) -> DataFrame:
@@ -140,7 +198,7 @@ def explode_records(recs: DataFrame, cohorts: DataFrame) -> DataFrame:
     """(cid, s, v, dist) from records."""
     long = recs.select("v", "cid", "word", "base", F.posexplode("m").alias("off", "mask")).where("mask <> 0")
     c = cohorts.select("cid", "s", F.floor(F.col("bit") / 64).cast("int").alias("word"), (F.col("bit") % 64).alias("b"))
-    return long.join(F.broadcast(c), ["cid", "word"]).where(masks.has(F.col("mask"), F.col("b"))).select("cid", "s", "v", (F.col("base") + F.col("off")).alias("dist"))
+    return long.join(c, ["cid", "word"]).where(masks.has(F.col("mask"), F.col("b"))).select("cid", "s", "v", (F.col("base") + F.col("off")).alias("dist"))
 
 
 def star_sweep(g: HopGraph, cohorts: DataFrame) -> DataFrame:
@@ -174,14 +232,22 @@ def star_sweep(g: HopGraph, cohorts: DataFrame) -> DataFrame:
 
 
 def sweep_postprocess(g: HopGraph, cohorts: DataFrame) -> DataFrame:
-    """Arrivals by running unions: bits reached by each round, then what each round adds (no gate). A slow second way."""
-    rows = cluster_sweep(g, cohorts, None, delta=False)
-    from pyspark.sql import Window
-
-    w = Window.partitionBy("v", "cid", "word").orderBy("round")
-    reached = F.bit_or("fresh").over(w.rowsBetween(Window.unboundedPreceding, 0))
-    before = F.bit_or("fresh").over(w.rowsBetween(Window.unboundedPreceding, -1))
-    return rows.select("v", "cid", "word", "round", masks.minus(reached, F.coalesce(before, F.lit(0).cast("long"))).alias("fresh")).where("fresh <> 0")
+    """Arrivals by running unions: the sets of sources that reach each vertex within i rounds, for all i; then what each
+    round adds. No frontier, no gate, all edges in every round: a slow second way, for any set of sources."""
+    keys = ["v", "cid", "word"]
+    seeds = cohorts.select(F.col("s").cast("long").alias("v"), F.col("cid").cast("int").alias("cid"), F.floor(F.col("bit") / 64).cast("int").alias("word"), masks.bit(F.col("bit") % 64).alias("m"))
+    log = RoundLog(g.edges.sparkSession, "unions", "v long, cid int, word int, reached long, before long")
+    log.append(seeds.groupBy(*keys).agg(F.bit_or("m").alias("reached")).withColumn("before", F.lit(0).cast("long")))
+    changed = True
+    while changed:
+        now = log.last().select(*keys, "reached")
+        own = now.withColumn("before", F.col("reached"))
+        sent = sent_along(g, now).withColumn("before", F.lit(0).cast("long"))
+        counted = Observation()
+        after = own.unionByName(sent.select(*own.columns)).groupBy(*keys).agg(F.bit_or("reached").alias("reached"), F.bit_or("before").alias("before"))
+        log.append(after.observe(counted, F.count_if(F.col("reached") != F.col("before")).alias("n")))
+        changed = counted.get["n"] > 0
+    return log.since().select(*keys, "round", masks.minus(F.col("reached"), F.col("before")).alias("fresh")).where("fresh <> 0")
 
 
 def graph_stats(g: HopGraph) -> DataFrame:

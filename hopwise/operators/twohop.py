@@ -2,16 +2,18 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+import time
+from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from ..plans.ranking import ranked
-from ..plans.store import written
+from ..plans.store import RoundLog, forget, written
 from ..sources.graphs import HopGraph
 from .cohorts import pick_cohorts
 from .landmarks import LandmarkIndex
+from .search import sent_along
 
 
 def batch_sizes(n: int, first: int = 200, growth: float = 1.5, cap: int = 1000) -> list[int]:
@@ -24,59 +26,109 @@ def batch_sizes(n: int, first: int = 200, growth: float = 1.5, cap: int = 1000)
     return out
 
 
+# The published sizes of batches.
+FIRST, GROWTH, CAP = 200, 1.5, 1000
+
+
 @dataclass
 class TwoHopIndex:
     labels: DataFrame  # v, hub, dist
     phase_one: LandmarkIndex | None
+    seconds: dict[str, float] = field(default_factory=dict)  # of the two phases
 
     @classmethod
-    def build(cls, g: HopGraph, r: int = 0, w: int = 64, d: int = 2, first: int | None = None, growth: float = 1.5, cap: int = 1000) -> TwoHopIndex:
-        """``first=1, growth=1`` is one search at a time: the smallest index, and the slowest build."""
+    def build(
+        cls, g: HopGraph, r: int = 0, w: int = 64, d: int = 2, first: int = FIRST, growth: float = GROWTH, cap: int = CAP, trim: bool = False
+    ) -> TwoHopIndex:
+        """``first=1, growth=1`` is one search at a time: the smallest index, and the slowest build.
+
+        ``trim`` drops, after each batch, labels that better hubs of the same batch answer already.
+        """
         if g.directed:
             raise ValueError("the index is for undirected graphs")
-        spark = g.edges.sparkSession
+        began = time.perf_counter()
         cohorts = pick_cohorts(g, r, w, d) if r else None
         phase_one = LandmarkIndex.build(g, cohorts, d) if r else None
+        between = time.perf_counter()
         rest = g.vertices
         if r:
-            rest = rest.join(F.broadcast(cohorts.select(F.col("s").alias("v"))), "v", "left_anti")
-        order = written(ranked(rest, F.desc("deg"), "v").select("v", "rank"), "ranks")
-        n = order.count()
-        first = first or min(200, max(1, -(-n // 50)))
-        index, done = cls(written(spark.createDataFrame([], "v long, hub long, dist int"), "labels"), phase_one), 0
+            rest = rest.join(cohorts.select(F.col("s").alias("v")), "v", "left_anti")
+        order = written(ranked(rest, F.desc("deg"), "v").select(F.col("v").alias("hub"), "rank"), "ranks")
+        n, done = order.count(), 0
+        log = RoundLog(g.edges.sparkSession, "labels", "v long, hub long, dist int")  # a folder per batch: nothing is written twice
         for size in batch_sizes(n, first, growth, cap):
-            hubs = order.where((F.col("rank") > done) & (F.col("rank") <= done + size)).select(F.col("v").alias("hub"))
-            index = cls(written(index.labels.unionByName(index._searched(g, hubs)), "labels"), phase_one)
+            hubs = order.where((F.col("rank") > done) & (F.col("rank") <= done + size))
+            known = cls(log.since().drop("round"), phase_one) if log.rounds else cls(None, phase_one)
+            new = known._searched(g, hubs.select("hub"))
+            log.append(trimmed(new, hubs) if trim else new)
             done += size
-        return index
+        if not log.rounds:
+            log.append(g.edges.sparkSession.createDataFrame([], "v long, hub long, dist int"))
+        return cls(log.since().select("v", "hub", "dist"), phase_one, {"phase_one": between - began, "phase_two": time.perf_counter() - between})
 
     def _searched(self, g: HopGraph, hubs: DataFrame) -> DataFrame:
         """New labels of a batch: a vertex whose distance the index answers already is neither labelled nor passed."""
-        state = written(hubs.select(F.col("hub").alias("v"), "hub", F.lit(0).alias("dist"), F.lit(True).alias("kept")), "batch")
-        i, alive = 0, state.count()
-        while alive:
-            frontier = state.where((F.col("dist") == i) & F.col("kept")).select("v", "hub")
-            reached = frontier.join(g.edges, frontier.v == g.edges.src).select(F.col("dst").alias("v"), "hub").distinct()
-            new = reached.join(state.select("v", "hub"), ["v", "hub"], "left_anti")
-            i += 1
-            pairs = new.select(F.xxhash64("hub", "v").alias("pid"), F.col("hub").alias("u"), "v")
-            known = self.query(pairs, only_known=True).where(F.col("est") <= i).select("u", "v")
-            marked = new.join(known.withColumnRenamed("u", "hub").withColumn("covered", F.lit(True)), ["hub", "v"], "left")
-            rows = marked.select("v", "hub", F.lit(i).alias("dist"), F.col("covered").isNull().alias("kept"))
-            seen = Observation()
-            state = written(state.unionByName(rows).observe(seen, F.count_if((F.col("dist") == i) & F.col("kept")).alias("n")), "batch")
-            alive = seen.get["n"]
-        return state.where("kept").select("v", "hub", "dist")
-
-    def query(self, pairs: DataFrame, only_known: bool = False) -> DataFrame:
+        # what is known of the batch's own hubs is small, and the same in every round: (hub, mid, to)
+        own = None
+        if self.labels is not None:
+            own = self.labels.join(hubs, self.labels["v"] == hubs["hub"], "left_semi").select(F.col("v").alias("hub"), F.col("hub").alias("mid"), F.col("dist").alias("to"))
+            own = written(own, "hub-labels")
+        log, counted = RoundLog(g.edges.sparkSession, "batch", "v long, hub long, kept boolean"), Observation()
+        start = hubs.select(F.col("hub").alias("v"), "hub", F.lit(True).alias("kept"))
+        log.append(start.observe(counted, F.count("*").alias("n")))
+        while counted.get["n"]:
+            i = log.rounds
+            frontier = log.last().where("kept").select("v", "hub")
+            both = sent_along(g, frontier).select("v", "hub", F.lit(True).alias("met"))
+            # pruning lets a search come back later to what it passed by, so all rounds count
+            both = both.unionByName(log.since().select("v", "hub", F.lit(False).alias("met")))
+            new = written(both.groupBy("v", "hub").agg(F.every("met").alias("met")).where("met").select("v", "hub"), "reached")
+            covered = self._covered(new, own, i)
+            marked = new if covered is None else new.join(covered.withColumn("covered", F.lit(True)), ["hub", "v"], "left")
+            rows = marked.select("v", "hub", (F.lit(True) if covered is None else F.col("covered").isNull()).alias("kept"))
+            counted = Observation()
+            log.append(rows.observe(counted, F.count_if("kept").alias("n")))
+            forget(new)
+        return log.since().where("kept").select("v", "hub", F.col("round").alias("dist"))
+
+    def _covered(self, new: DataFrame, own: DataFrame | None, i: int) -> DataFrame | None:
+        """hub, v: the rows of ``new(v, hub)`` whose distance the index knows to be i or less."""
+        parts = []
+        if own is not None:
+            mine = self.labels.select("v", F.col("hub").alias("mid"), F.col("dist").alias("back"))
+            met = new.join(own, "hub").join(mine, ["v", "mid"])
+            parts.append(met.where(F.col("to") + F.col("back") <= i).select("hub", "v"))
+        if self.phase_one is not None:
+            pairs = new.select(F.struct("hub", "v").alias("pid"), F.col("hub").alias("u"), "v")
+            parts.append(self.phase_one.query(pairs).where(F.col("est") <= i).select("pid.hub", "pid.v"))
+        if not parts:
+            return None
+        return (parts[0] if len(parts) == 1 else parts[0].unionByName(parts[1])).distinct()
+
+    def query(self, pairs: DataFrame) -> DataFrame:
         """pid, u, v, est: the least sum over common hubs and phase one; null out of reach."""
         a = self.labels.select(F.col("v").alias("u"), "hub", F.col("dist").alias("du"))
         b = self.labels.select("v", "hub", F.col("dist").alias("dv"))
-        est = pairs.join(a, "u").join(b, ["v", "hub"]).select("pid", "u", "v", (F.col("du") + F.col("dv")).alias("est"))
+        est = pairs.join(a, "u").join(b, ["v", "hub"]).select("pid", (F.col("du") + F.col("dv")).alias("est"))
         if self.phase_one is not None:
-            est = est.unionByName(pairs.join(self.phase_one.query(pairs).where("est is not null"), "pid").select("pid", "u", "v", "est"))
-        est = est.groupBy("pid", "u", "v").agg(F.min("est").alias("est"))
-        if only_known:
-            return est
-        out = pairs.join(est.select("pid", "est"), "pid", "left")
+            est = est.unionByName(self.phase_one.query(pairs).where("est is not null"))
+        est = est.groupBy("pid").agg(F.min("est").alias("est"))
+        out = pairs.join(est, "pid", "left")
         return out.select("pid", "u", "v", F.when(F.col("u") == F.col("v"), 0).otherwise(F.col("est")).alias("est"))
+
+
+def trimmed(labels: DataFrame, hubs: DataFrame) -> DataFrame:
+    """``labels(v, hub, dist)`` of one batch without those that a hub of a better rank in ``hubs(hub, rank)`` answers."""
+    labels = written(labels, "untrimmed")
+    mine = labels.join(hubs, "hub")
+    # from a hub of the batch to a better one: (hub, mid, to)
+    up = mine.select(F.col("v").alias("from"), F.col("hub").alias("mid"), F.col("rank").alias("mid_rank"), F.col("dist").alias("to"))
+    up = hubs.join(up, hubs["hub"] == up["from"]).where("mid_rank < rank").select("hub", "mid", "to")
+    back = labels.select("v", F.col("hub").alias("mid"), F.col("dist").alias("back"))
+    covered = labels.join(up, "hub").join(back, ["v", "mid"]).where(F.col("to") + F.col("back") <= F.col("dist")).select("v", "hub").distinct()
+    return labels.join(covered, ["v", "hub"], "left_anti").select("v", "hub", "dist")
+
+
+def label_inflation(batched: DataFrame, one_by_one: DataFrame) -> float:
+    """Labels of a build in batches over labels of a build of one search at a time."""
+    return batched.count() / max(1, one_by_one.count())

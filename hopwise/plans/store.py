@@ -39,6 +39,26 @@ def forget(df: DataFrame) -> None:
     at.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(at, True)
 
 
+class RoundLog:
+    """An append-only table of rounds: each is written once to a folder of its own, and any run of rounds is one scan."""
+
+    def __init__(self, spark: SparkSession, name: str, schema: str):
+        self.spark, self.schema = spark, f"{schema}, round int"
+        self.path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+        self.rounds = 0
+
+    def append(self, df: DataFrame) -> None:
+        df.write.parquet(f"{self.path}/round={self.rounds}")
+        self.rounds += 1
+
+    def since(self, first: int = 0) -> DataFrame:
+        folders = [f"{self.path}/round={i}" for i in range(max(first, 0), self.rounds)]
+        return self.spark.read.schema(self.schema).option("basePath", self.path).parquet(*folders)
+
+    def last(self) -> DataFrame:
+        return self.since(self.rounds - 1)
+
+
 def save_bucketed(df: DataFrame, table: str, key: str, buckets: int) -> DataFrame:
     """A catalog table bucketed and sorted by ``key``: later joins on the key with as many buckets need no exchange."""
     df.repartition(buckets, key).write.bucketBy(buckets, key).sortBy(key).mode("overwrite").saveAsTable(table)

@@ -9,12 +9,20 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..plans.ranking import ranked
+from ..plans.store import written
+
+
+#: a vertex with more than this share of all edges is a hub; there are no more hubs than its inverse
+HUB_SHARE = 1 / 512
+HUB_PARTS = 16
 
 
 @dataclass(frozen=True)
 class HopGraph:
     edges: DataFrame
     directed: bool = False
+    parted: DataFrame | None = None  # src, part, dst: a hub's edges in HUB_PARTS parts
+    hubs: DataFrame | None = None  # v: at most 1 / HUB_SHARE rows
 
     @property
     def vertices(self) -> DataFrame:
@@ -27,9 +35,34 @@ class HopGraph:
     def reverse(self) -> HopGraph:
         return HopGraph(self.edges.select(F.col("dst").alias("src"), F.col("src").alias("dst")), self.directed)
 
+    def incoming(self) -> HopGraph:
+        """The graph whose out-edges are this one's in-edges: itself, if undirected."""
+        return self.reverse() if self.directed else self
+
     def cached(self) -> HopGraph:
-        """Edges dealt by source and kept: loops join them round after round. A lost part is computed again."""
-        return HopGraph(self.edges.repartition("src").persist(), self.directed)
+        """Edges written once, dealt by source and kept: loops join them round after round. A lost part is read again.
+
+        The edges of hubs are dealt over HUB_PARTS parts, so that no task gets a hub's whole adjacency.
+        """
+        edges = written(self.edges, "edges")
+        degrees = edges.groupBy("src").agg(F.count("*").alias("deg"))
+        most = max(1000, int(edges.count() * HUB_SHARE))
+        hubs = written(degrees.where(F.col("deg") > most).select(F.col("src").alias("v")), "hubs")
+        if hubs.isEmpty():
+            return HopGraph(edges.repartition("src").persist(), self.directed)
+        marked = edges.join(F.broadcast(hubs), edges.src == hubs.v, "left")
+        part = F.when(F.col("v").isNotNull(), F.pmod(F.xxhash64("dst"), F.lit(HUB_PARTS))).otherwise(0).cast("int")
+        parted = marked.select("src", part.alias("part"), "dst").repartition("src", "part").persist()
+        return HopGraph(parted.select("src", "dst"), self.directed, parted, hubs)
+
+    def along(self, rows: DataFrame) -> DataFrame:
+        """``rows(v, ...)`` and the head ``dst`` of each out-edge of v."""
+        if self.hubs is None:
+            return rows.join(self.edges.withColumnRenamed("src", "v"), "v")
+        hub = self.hubs.withColumn("_hub", F.lit(True))
+        parts = F.when(F.col("_hub"), F.sequence(F.lit(0), F.lit(HUB_PARTS - 1))).otherwise(F.array(F.lit(0)))
+        dealt = rows.join(F.broadcast(hub), "v", "left").withColumn("part", F.explode(parts)).drop("_hub")
+        return dealt.join(self.parted.withColumnRenamed("src", "v"), ["v", "part"]).drop("part")
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -49,6 +82,11 @@ def read_edge_list(spark: SparkSession, path: str, sep: str = "\t", directed: bo
     return from_pairs(spark.read.csv(path, sep=sep, comment="#", schema="src long, dst long"), directed)
 
 
+def read_edge_json(spark: SparkSession, path: str, directed: bool = False) -> HopGraph:
+    """JSON lines with the fields src and dst."""
+    return from_pairs(spark.read.schema("src long, dst long").json(path), directed)
+
+
 def _sides(df: DataFrame, left: str, right: str) -> HopGraph:
     return from_pairs(df.select((2 * F.col(left)).alias("src"), (2 * F.col(right) + 1).alias("dst")))
 
@@ -110,29 +148,76 @@ def turn_path(spark: SparkSession, d: str) -> HopGraph:
     return from_pairs(t.join(t.select("conv_id", (F.col("turn") - 1).alias("turn"), F.col("src").alias("dst")), ["conv_id", "turn"]).select("src", "dst"))
 
 
-def embedding_knn(spark: SparkSession, d: str, k: int = 4) -> HopGraph:
-    """The k nearest by cosine (ties by id), symmetrised: every vector against all, vectors in blocks of one broadcast."""
-    e = table(spark, d, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("x"))
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda p, q: p * q), F.lit(0.0), lambda s, y: s + y)
-    e = e.withColumn("n", F.sqrt(dot("x", "x")))
-    o = e.select(F.col("vec_id").alias("o"), F.col("x").alias("y"), F.col("n").alias("m"))
-    near = e.join(o, F.col("vec_id") != F.col("o")).select("vec_id", "o", F.round(dot("x", "y") / (F.col("n") * F.col("m")), 9).alias("c"))
-    w = Window.partitionBy("vec_id").orderBy(F.desc("c"), "o")
-    return from_pairs(near.withColumn("r", F.row_number().over(w)).where(F.col("r") <= k).select(F.col("vec_id").alias("src"), F.col("o").alias("dst")))
-
-
-def near_duplicate(spark: SparkSession, d: str, shared: int = 1) -> HopGraph:
-    """Documents that share word 5-grams, however many documents hold one. Equal word runs meet as one class."""
+def embedding_knn(spark: SparkSession, d: str, k: int = 4, block: int = 2048) -> HopGraph:
+    """The k nearest by cosine (ties by id), symmetrised: blocks of ``block`` query vectors against all.
+
+    A block is what is broadcast, so its size is a number of the call; every task keeps the k best of its rows for each
+    query of the block, and these few rows are merged.
+    """
+    import numpy as np
+    import pandas as pd
+
+    e = table(spark, d, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("x")).where("vec_id is not null and x is not null")
+
+    def unit(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        return x, np.sqrt((x * x).sum(axis=1))
+
+    def against(ids: np.ndarray, x: np.ndarray) -> DataFrame:
+        shared = spark.sparkContext.broadcast((ids, *unit(x)))
+
+        def near(frames):
+            ids, x, nx = shared.value
+            for frame in frames:
+                own = frame["vec_id"].to_numpy(np.int64)
+                y, ny = unit(np.stack(frame["x"].to_numpy()))
+                cosine = np.round(x @ y.T / (nx[:, None] * ny[None, :]), 9)
+                cosine[ids[:, None] == own[None, :]] = -np.inf
+                order = np.lexsort((np.broadcast_to(own, cosine.shape), -cosine), axis=1)[:, :k]
+                rows = np.repeat(np.arange(len(ids)), order.shape[1])
+                found = pd.DataFrame({"vec_id": ids[rows], "o": own[order.ravel()], "c": cosine[rows, order.ravel()]})
+                yield found[found["c"] > -np.inf]
+
+        return e.mapInPandas(near, "vec_id long, o long, c double")
+
+    out, ids, rows = None, [], []
+    for r in e.toLocalIterator():
+        ids.append(r["vec_id"])
+        rows.append(r["x"])
+        if len(ids) == block:
+            one, ids, rows = against(np.array(ids), np.array(rows)), [], []
+            out = one if out is None else out.unionByName(one)
+    if ids or out is None:
+        one = against(np.array(ids, np.int64), np.array(rows, float).reshape(len(ids), -1))
+        out = one if out is None else out.unionByName(one)
+    best = F.row_number().over(Window.partitionBy("vec_id").orderBy(F.desc("c"), "o"))
+    return from_pairs(out.withColumn("r", best).where(F.col("r") <= k).select(F.col("vec_id").alias("src"), F.col("o").alias("dst")))
+
+
+def near_duplicate(spark: SparkSession, d: str, least_tenths: int = 8) -> HopGraph:
+    """Documents whose sets of word 5-grams have a Jaccard similarity of ``least_tenths`` / 10 or more, by representatives.
+
+    Documents of equal words are one class: each is linked to the class's least doc_id, and representatives to each
+    other. Candidates share one of the rarest size - least * size + 1 grams of each (any two sets so similar do), and
+    have sizes that allow the similarity; then the sets are compared.
+    """
     words = table(spark, d, "documents").select("doc_id", F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0)).alias("w")).where(F.size("w") >= 5)
     keyed = words.select("doc_id", F.md5(F.array_join("w", " ")).alias("k"), "w")
-    grams = keyed.groupBy("k").agg(F.first("w").alias("w")).select(
-        "k", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - 4), lambda i: F.xxhash64(F.array_join(F.slice("w", i, 5), " "))))).alias("g")
-    )
-    # a class is paired with itself too: that links its members
-    pairs = grams.alias("a").join(grams.alias("b"), F.expr("a.g = b.g and a.k <= b.k")).groupBy(F.col("a.k").alias("x"), F.col("b.k").alias("y")).count()
-    members = keyed.select("doc_id", "k")
-    left, right = members.select(F.col("doc_id").alias("src"), F.col("k").alias("x")), members.select(F.col("doc_id").alias("dst"), F.col("k").alias("y"))
-    return from_pairs(pairs.where(F.col("count") >= shared).join(left, "x").join(right, "y").select("src", "dst"))
+    own = F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - 4), lambda i: F.xxhash64(F.array_join(F.slice("w", i, 5), " "))))
+    sets = written(keyed.groupBy("k").agg(F.min("doc_id").alias("rep"), F.first("w").alias("w")).select("k", "rep", own.alias("grams")), "gram-sets")
+    each = sets.select("rep", F.size("grams").alias("size"), F.explode("grams").alias("g"))
+    counts = each.groupBy("g").agg(F.count("*").alias("n")).where("n > 1")
+    known = each.join(counts, "g").groupBy("rep", "size").agg(F.array_sort(F.collect_list(F.struct("n", "g"))).alias("x"))  # a text's grams at most
+    alone = F.col("size") - F.size("x")  # grams of no other class come first, and make no rows
+    first = F.greatest(F.lit(0), F.col("size") - F.ceil(least_tenths * F.col("size") / 10) + 1 - alone).cast("int")
+    prefix = written(known.select("rep", "size", F.explode(F.slice("x", F.lit(1), first)).alias("e")).select("rep", "size", "e.g"), "gram-prefixes")
+    other = prefix.select(F.col("rep").alias("rep2"), F.col("size").alias("size2"), "g")
+    near = prefix.join(other, "g").where((F.col("rep") < F.col("rep2")) & (10 * F.col("size") >= least_tenths * F.col("size2")) & (10 * F.col("size2") >= least_tenths * F.col("size")))
+    pairs = near.select("rep", "rep2").distinct()
+    sided = pairs.join(sets.select("rep", "grams"), "rep").join(sets.select(F.col("rep").alias("rep2"), F.col("grams").alias("grams2")), "rep2")
+    both = F.size(F.array_intersect("grams", "grams2"))
+    links = sided.where(10 * both >= least_tenths * (F.size("grams") + F.size("grams2") - both)).select(F.col("rep").alias("src"), F.col("rep2").alias("dst"))
+    copies = keyed.select("doc_id", "k").join(sets.select("k", "rep"), "k").select(F.col("doc_id").alias("src"), F.col("rep").alias("dst"))
+    return from_pairs(links.unionByName(copies))
 
 
 BUILDERS: dict[str, Callable[[SparkSession, str], HopGraph]] = {

@@ -30,6 +30,18 @@ def sessions(stream: DataFrame, gap: str = "30 minutes") -> DataFrame:
     return stream.groupBy(F.session_window("at", gap).alias("w"), "user_id").agg(F.count("*").alias("n")).select(F.col("w.start").alias("start"), "user_id", "n")
 
 
+def clicks_before_purchases(spark: SparkSession, sf_dir: str, within: str = "1 hour") -> DataFrame:
+    """Interval join of two streams: each purchase with the same user's clicks in the time before it.
+
+    Watermarks on both sides and the bound on the times let state be dropped.
+    """
+    stream = events(spark, sf_dir)
+    p = stream.where("event_type = 'purchase'").select(F.col("event_id").alias("purchase"), F.col("user_id").alias("buyer"), F.col("at").alias("bought"))
+    c = events(spark, sf_dir).where("event_type = 'click'").select(F.col("event_id").alias("click"), "user_id", F.col("at").alias("clicked"))
+    near = F.expr(f"buyer = user_id AND clicked <= bought AND clicked >= bought - INTERVAL {within}")
+    return p.join(c, near).select("purchase", "click")
+
+
 def answered(pairs: DataFrame, index: LandmarkIndex) -> DataFrame:
     """A stream of pairs (pid, u, v) joined with the index, stateless: pid, cid, and both records."""
     a = index.table.select(F.col("v").alias("u"), F.col("recs").alias("ru"))
