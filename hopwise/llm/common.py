@@ -73,13 +73,16 @@ def id_back(docs: DataFrame, name: str) -> Column:
 def hot_join(rows: DataFrame, sizes: DataFrame, keys: list[str], size: str, spread: list[str], salts: int = 16) -> DataFrame:
     """``rows`` inner-joined to ``sizes`` (one row for each of ``keys``, with how many rows have it in ``size``).
 
-    Keys above a 512th of all rows counted are hot: at most 512, so they can be broadcast. Their rows are dealt by a hash
-    of ``spread`` to ``salts`` copies of their row in ``sizes``, so that no task gets a hot key alone.
+    Keys above a 512th of all rows counted are hot: at most 512, so their hashes are a short list. Rows of a hot key
+    are dealt by a hash of ``spread`` to ``salts`` copies of its row in ``sizes``, so that no task gets a hot key alone.
+    Both sides tell hot keys by the same hash: one that is taken for hot by mistake is only dealt, too.
     """
     sizes = written(sizes, "sizes")
     total = sizes.agg(F.sum(size)).first()[0] or 0
-    hot = F.col(size) > max(1, total // 512)
-    marked = rows.join(F.broadcast(sizes.where(hot).select(*keys, F.lit(True).alias("_hot"))), keys, "left")
-    salt = F.when(F.col("_hot"), F.pmod(F.xxhash64(*spread), F.lit(salts)).cast("int")).otherwise(0)
-    copies = F.when(hot, F.sequence(F.lit(0), F.lit(salts - 1))).otherwise(F.array(F.lit(0)))
-    return marked.withColumn("_salt", salt).drop("_hot").join(sizes.withColumn("_salt", F.explode(copies)), [*keys, "_salt"]).drop("_salt")
+    hot = [r["h"] for r in sizes.where(F.col(size) > max(1, total // 512)).select(F.xxhash64(*keys).alias("h")).collect()]
+    if not hot:
+        return rows.join(sizes, keys)
+    is_hot = F.xxhash64(*keys).isin(hot)
+    salt = F.when(is_hot, F.pmod(F.xxhash64(*spread), F.lit(salts)).cast("int")).otherwise(0)
+    copies = F.when(is_hot, F.sequence(F.lit(0), F.lit(salts - 1))).otherwise(F.array(F.lit(0)))
+    return rows.withColumn("_salt", salt).join(sizes.withColumn("_salt", F.explode(copies)), [*keys, "_salt"]).drop("_salt")
