@@ -14,7 +14,7 @@ the dictionary, and the order of the dictionary's suffixes tells which strings a
    Equal phrases are one entry of the dictionary with a count; an entry with a count of two or more is repeated as a
    whole.
 3. The entries of groups with several are gathered some megabytes at a time, whole groups together, and their
-   suffixes ranked by prefix doubling, to the depth of ``length``: strings of equal rank are equal byte for byte.
+   suffixes ranked by multiplying prefixes, to the depth of ``length``: strings of equal rank are equal byte for byte.
    A group above ``most_entries`` (a passage in a great many contexts) is no task's load: its strings are known by
    128-bit hashes instead, and counted across the corpus.
 4. The spans found are united for each document and cut out of its bytes.
@@ -46,9 +46,9 @@ from pyspark.sql import functions as F
 from .common import WordHashes, forget, hot_join, id_as_string, id_back, mixed, text_key, written
 
 GRAM = 16
-CHUNK = 1 << 19
+CHUNK = 1 << 18
 #: bytes of phrases that one call ranks
-RANKED = 1 << 21
+RANKED = 1 << 18
 WORDS = re.compile(r"[^\x20\x09-\x0D]+")
 _LOW = np.uint64((1 << 20) - 1)
 
@@ -198,7 +198,7 @@ def byte_runs(texts: DataFrame, length: int, span: int) -> DataFrame:
 def string_ranks(data: np.ndarray, length: int) -> np.ndarray:
     """For every place, a number that is equal where the ``length`` bytes from there are equal, and grows with their order.
 
-    Prefix doubling: ranks of a depth, taken in pairs, give the ranks of twice the depth; a last pair overlaps.
+    Ranks of a depth, taken two or three at a time, give the ranks of twice or three times the depth; the last overlap.
     """
     if len(data) < length:
         return np.zeros(0, np.int64)
@@ -206,13 +206,20 @@ def string_ranks(data: np.ndarray, length: int) -> np.ndarray:
     key = np.zeros(len(data) - have + 1, np.int64)
     for k in range(have):
         key = (key << 8) | data[k : k + len(key)]
-    rank = np.unique(key, return_inverse=True)[1]
     while have < length:
-        step = min(have, length - have)
-        n = len(rank) - step
-        rank = np.unique(rank[:n] * (int(rank.max()) + 1) + rank[step:], return_inverse=True)[1]
-        have += step
-    return rank
+        rank = np.unique(key, return_inverse=True)[1]
+        most = int(rank.max()) + 1
+        if most**3 < 2**63:  # three ranks at once
+            step = min(have, -(-(length - have) // 2))
+            last = min(2 * step, length - have)
+        else:
+            step = last = min(have, length - have)
+        n = len(rank) - last
+        key = rank[:n] * most + rank[step : step + n]
+        if last > step:
+            key = key * most + rank[last:]
+        have += last
+    return np.unique(key, return_inverse=True)[1]
 
 
 def repeated_starts(phrases: list[bytes], counts: list[int], length: int) -> list[np.ndarray]:
@@ -327,7 +334,7 @@ def shared_windows(texts: DataFrame, words: int) -> DataFrame:
     distinct = texts.join(copies.select(F.col("first").alias("rid"), "copies"), "rid")
 
     def hashed(frames: Iterator[pd.DataFrame]) -> Iterator[tuple[pd.DataFrame, list[int], list[np.ndarray]]]:
-        known = WordHashes()
+        known = WordHashes(200_000)
         for frame in frames:
             rows = ((i, known.of(WORDS.findall(t))) for i, t in enumerate(frame["text"]) if len(t) >= 2 * words - 1)
             for some in gathered(((i, h) for i, h in rows if len(h) >= words), lambda x: len(x[1]), CHUNK // 4):
