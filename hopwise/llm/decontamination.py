@@ -23,14 +23,14 @@ import re
 from collections import defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass
+from itertools import repeat
 
 import numpy as np
 import pandas as pd
-import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordHashes, id_as_string, id_back, mixed, written
+from .common import id_as_string, id_back, written
 
 #: over UTF-8: bytes from 0x80 up belong to characters beyond ASCII, and lower() of bytes changes A-Z alone
 WORDS = re.compile(rb"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
@@ -47,21 +47,26 @@ def windows_of(words: list[bytes], size: int) -> list[tuple[bytes, ...]]:
     return [tuple(words[i : i + size]) for i in range(len(words) - size + 1)]
 
 
-class ByteHashes(WordHashes):
-    def __missing__(self, word: bytes) -> int:
-        if len(self) >= self.most:
-            self.clear()
-        value = self[word] = xxhash.xxh64_intdigest(word)
-        return value
+class Numbered:
+    """The words of some windows as numbers from 1; any other word is 0. Shingles of them are exact 64-bit numbers."""
 
+    def __init__(self, number: dict[bytes, int]):
+        self.number, self.base = number, len(number) + 1
+        if self.base**SHINGLE >= 2**63:
+            raise ValueError("too many words in one block of windows")
 
-def shingles_of(hashes: np.ndarray, k: int) -> np.ndarray:
-    """The 64-bit hashes of the runs of ``k`` words, by place."""
-    n = max(0, len(hashes) - k + 1)
-    out = np.full(n, k, np.uint64)
-    for i in range(k):
-        out = mixed(out * np.uint64(0x100000001B3) + hashes[i : i + n])
-    return out
+    def of(self, words: list[bytes]) -> np.ndarray:
+        return np.fromiter(map(self.number.get, words, repeat(0)), np.int64, len(words))
+
+    def shingles(self, numbers: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+        """Places and keys of the runs of ``k`` words that are all known."""
+        n = max(0, len(numbers) - k + 1)
+        key, known = numbers[:n], numbers[:n] > 0
+        for i in range(1, k):
+            part = numbers[i : i + n]
+            key, known = key * self.base + part, known & (part > 0)
+        places = np.flatnonzero(known)
+        return places, key[places]
 
 
 @dataclass
@@ -72,65 +77,71 @@ class Block:
     ids: list[str]
 
     def __post_init__(self):
-        known = ByteHashes()
+        number: dict[bytes, int] = {}
+        for window, _ in self.windows:
+            for word in window:
+                number.setdefault(word, len(number) + 1)
+        self.words = Numbered(number)
         self.shingles: dict[int, list] = defaultdict(list)  # length -> (window, its shingles by place)
         for i, (window, _) in enumerate(self.windows):
             k = min(SHINGLE, len(window))
-            self.shingles[k].append((i, shingles_of(known.of(list(window)), k)))
+            self.shingles[k].append((i, self.words.shingles(self.words.of(list(window)), k)[1]))
 
     def vocabulary(self) -> dict[int, np.ndarray]:
         return {k: np.unique(np.concatenate([x for _, x in rows])) for k, rows in self.shingles.items()}
 
-    def prefixes(self, counts: dict[int, int]) -> dict[int, tuple[np.ndarray, dict[int, list]]]:
+    def prefixes(self, counts: dict[tuple[int, int], int]) -> dict[int, tuple[np.ndarray, dict[int, list]]]:
         """length -> sorted prefix shingles, and shingle -> [(its place, window words, items)]: the rarest of each window."""
         out = {}
         for k, rows in self.shingles.items():
             by: dict[int, list] = defaultdict(list)
             for i, x in rows:
-                place = min(range(len(x)), key=lambda p: (counts.get(int(x[p]), 0), int(x[p]), p))  # noqa: B023
+                place = min(range(len(x)), key=lambda p: (counts.get((k, int(x[p])), 0), int(x[p]), p))  # noqa: B023
                 window, items = self.windows[i]
                 by[int(x[place])].append((place, list(window), items))
-            out[k] = (np.array(sorted(by), np.uint64), dict(by))
+            out[k] = (np.array(sorted(by), np.int64), dict(by))
         return out
 
 
-def members(values: np.ndarray, among: np.ndarray) -> np.ndarray:
-    """Places of ``values`` that are in the sorted ``among``."""
-    at = np.searchsorted(among, values)
-    at[at == len(among)] = 0
-    return np.flatnonzero(among[at] == values)
+def among(values: np.ndarray, sorted_: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Which of ``values`` are in ``sorted_``, and where there."""
+    at = np.searchsorted(sorted_, values)
+    at[at == len(sorted_)] = 0
+    hit = np.flatnonzero(sorted_[at] == values)
+    return hit, at[hit]
 
 
-def corpus_counts(docs: DataFrame, vocabulary: dict[int, np.ndarray]) -> DataFrame:
-    """shingle, n: how often the corpus shows each shingle of the vocabulary; sums are made before the shuffle."""
-    shared = docs.sparkSession.sparkContext.broadcast(vocabulary)
+def corpus_counts(docs: DataFrame, words: Numbered, vocabulary: dict[int, np.ndarray]) -> DataFrame:
+    """k, shingle, n: how often the corpus shows each shingle of the vocabulary; sums are made before the shuffle."""
+    shared = docs.sparkSession.sparkContext.broadcast((words, vocabulary))
 
     def count(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        known, vocabulary = ByteHashes(), shared.value
+        words, vocabulary = shared.value
         seen = {k: np.zeros(len(v), np.int64) for k, v in vocabulary.items()}
         for frame in frames:
             for text in frame["text"]:
-                hashes = known.of(words_of(text))
+                numbers = words.of(words_of(text))
                 for k, v in vocabulary.items():
-                    x = shingles_of(hashes, k)
+                    _, x = words.shingles(numbers, k)
                     if len(x):
-                        np.add.at(seen[k], np.searchsorted(v, x[members(x, v)]), 1)
+                        np.add.at(seen[k], among(x, v)[1], 1)
         for k, v in vocabulary.items():
             met = seen[k] > 0
-            yield pd.DataFrame({"shingle": v[met].view(np.int64), "n": seen[k][met]})
+            yield pd.DataFrame({"k": k, "shingle": v[met], "n": seen[k][met]})
 
-    return docs.select("text").mapInPandas(count, "shingle long, n long").groupBy("shingle").agg(F.sum("n").alias("n"))
+    return docs.select("text").mapInPandas(count, "k int, shingle long, n long").groupBy("k", "shingle").agg(F.sum("n").alias("n"))
 
 
-def matches(words: list[bytes], hashes: np.ndarray, prefixes: dict[int, tuple[np.ndarray, dict[int, list]]]) -> tuple[list[tuple[int, int]], set[int]]:
+def matches(words: list[bytes], known: Numbered, prefixes: dict[int, tuple[np.ndarray, dict[int, list]]]) -> tuple[list[tuple[int, int]], set[int]]:
     """Merged spans [start, end) of hit words, and the numbers of the items met."""
     found: list[tuple[int, int]] = []
     items: set[int] = set()
-    n = len(words)
-    for k, (among, by) in prefixes.items():
-        x = shingles_of(hashes, k)
-        for at in members(x, among).tolist() if len(x) else ():
-            for place, window, of in by[int(x[at])]:
+    n, numbers = len(words), known.of(words)
+    for k, (sorted_, by) in prefixes.items():
+        places, x = known.shingles(numbers, k)
+        for i in among(x, sorted_)[0].tolist() if len(x) else ():
+            at = int(places[i])
+            for place, window, of in by[int(x[i])]:
                 start = at - place
                 end = start + len(window)
                 if start >= 0 and end <= n and words[start:end] == window:
@@ -146,16 +157,16 @@ def matches(words: list[bytes], hashes: np.ndarray, prefixes: dict[int, tuple[np
 
 
 def blocks_of(benchmark: DataFrame, size: int, block_windows: int) -> Iterator[Block]:
-    """Blocks of windows, read item by item."""
+    """Blocks of windows, read item by item; an item with very many is in several."""
     windows: dict[tuple[bytes, ...], list[int]] = {}
     ids: list[str] = []
     for row in benchmark.select(F.col("item_id").cast("string").alias("i"), "text").toLocalIterator():
         ids.append(row["i"] or "")
         for window in set(windows_of(words_of(row["text"]), size)):
             windows.setdefault(window, []).append(len(ids) - 1)
-        if len(windows) >= block_windows:
-            yield Block(list(windows.items()), ids)
-            windows, ids = {}, []
+            if len(windows) >= block_windows:
+                yield Block(list(windows.items()), ids)
+                windows, ids = {}, [row["i"] or ""]
     if windows:
         yield Block(list(windows.items()), ids)
 
@@ -163,16 +174,19 @@ def blocks_of(benchmark: DataFrame, size: int, block_windows: int) -> Iterator[B
 def find_matches(rows: DataFrame, block: Block | None) -> DataFrame:
     """key, n_words, spans (array of start, end), items (array of ids) for ``rows(key, text)``, the key a string."""
     spark = rows.sparkSession
-    counts = {} if block is None else {r["shingle"] & (2**64 - 1): r["n"] for r in corpus_counts(rows, block.vocabulary()).toLocalIterator()}  # the block's shingles at most
-    shared = spark.sparkContext.broadcast(({}, []) if block is None else (block.prefixes(counts), block.ids))
+    held: tuple = (Numbered({}), {}, [])
+    if block is not None:
+        counts = {(r["k"], r["shingle"]): r["n"] for r in corpus_counts(rows, block.words, block.vocabulary()).toLocalIterator()}  # the block's shingles at most
+        held = (block.words, block.prefixes(counts), block.ids)
+    shared = spark.sparkContext.broadcast(held)
 
     def match(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        (prefixes, ids), known = shared.value, ByteHashes()
+        known, prefixes, ids = shared.value
         for frame in frames:
             n, spans, items = [], [], []
             for text in frame["text"]:
                 words = words_of(text)
-                got, of = matches(words, known.of(words), prefixes) if prefixes else ([], ())
+                got, of = matches(words, known, prefixes) if prefixes else ([], ())
                 n.append(len(words))
                 spans.append([{"s": s, "e": e} for s, e in got])
                 items.append([ids[i] for i in of])
