@@ -329,9 +329,11 @@ def shared_windows(texts: DataFrame, words: int) -> DataFrame:
     """
     span = max(1, words * 3 // 4)
     gram = min(4, words - span + 1)
-    copies = texts.groupBy(text_key("text").alias("k")).agg(F.min("rid").alias("first"), F.count("*").alias("copies"))
-    copies = written(copies, "copies")
-    distinct = texts.join(copies.select(F.col("first").alias("rid"), "copies"), "rid")
+    keys = written(texts.select("rid", text_key("text").alias("k")), "text-keys")
+    copies = written(keys.groupBy("k").agg(F.min("rid").alias("first"), F.count("*").alias("copies")), "copies")
+    again = hot_join(keys, copies.where("copies > 1"), ["k"], "copies", ["rid"])
+    repeats = written(again.where("rid <> first").select("rid"), "repeats")
+    distinct = texts.join(repeats, "rid", "left_anti")
 
     def hashed(frames: Iterator[pd.DataFrame]) -> Iterator[tuple[pd.DataFrame, list[int], list[np.ndarray]]]:
         known = WordHashes(200_000)
@@ -371,11 +373,11 @@ def shared_windows(texts: DataFrame, words: int) -> DataFrame:
     forget(first)
     shared = rows.groupBy("h", "h2").agg(F.count("*").alias("size"), F.min("rid").alias("low"), F.max("rid").alias("high")).where("low < high").select("h", "h2", "size")
     found = hot_join(rows, shared, ["h", "h2"], "size", ["rid"]).groupBy(F.col("rid").alias("first")).agg(F.count("*").alias("n"))
-    per_text = copies.join(found, "first", "left").select("k", "copies", F.coalesce("n", F.lit(0)).alias("n"))
     n_words = F.regexp_count("text", F.lit(WORDS.pattern))
-    own = texts.select("rid", text_key("text").alias("k"), F.greatest(F.lit(0), n_words - (words - 1)).cast("long").alias("all"))
-    counted = hot_join(own, per_text, ["k"], "copies", ["rid"])
-    return counted.select("rid", F.when(F.col("copies") > 1, F.col("all")).otherwise(F.col("n")).cast("long").alias("n_shared_windows"))
+    many = written(copies.where("copies > 1").select(F.col("first").alias("rid"), "copies"), "many")
+    whole = texts.join(many, "rid").select(F.col("rid").alias("first"), F.greatest(F.lit(0), n_words - (words - 1)).cast("long").alias("all"))
+    per_text = copies.join(found, "first", "left").join(whole, "first", "left").select("k", "copies", F.coalesce("all", "n", F.lit(0)).cast("long").alias("n_shared_windows"))
+    return hot_join(keys, per_text, ["k"], "copies", ["rid"]).select("rid", "n_shared_windows")
 
 
 def remove_repeats(
