@@ -30,14 +30,11 @@ def main() -> None:
     from hopwise.operators import cohorts as C
     from hopwise.operators import landmarks as L
     from hopwise.operators import search as S
-    from hopwise.operators.twohop import TwoHopIndex
     from hopwise.plans.workloads import one_partition
-    from hopwise.sources.graphs import HopGraph, customer_part, event_flow
+    from hopwise.sources.graphs import HopGraph, customer_part
 
     g = customer_part(spark, sf_dir).cached()
     g.edges.count()
-    small = event_flow(spark, sf_dir).cached()
-    small.edges.count()
     c = C.pick_cohorts(g, 1, 64).persist()
     sources, spread = [r["s"] for r in c.orderBy("bit").collect()], C.spread_cohorts(g, 10, 64).persist()
     single = HopGraph(g.edges.coalesce(1).persist())
@@ -67,8 +64,6 @@ def main() -> None:
         "plain_build_68": lambda: made.update(plain=L.written(L.wide(L.plain_index(g, C.pick_landmarks(g, 68))), "plain")),
         "plain_query_10000": lambda: answered(L.plain_query(made["plain"], pairs)),
         "local_meet_500_tau_128": lambda: answered(L.local_meet(g, pairs.limit(500), 128)),
-        "exact_build_event_flow": lambda: made.update(exact=TwoHopIndex.build(small, 2)),
-        "exact_query_10000": lambda: answered(made["exact"].query(L.sample_pairs(small, 10_000))),
     }
     times = {}
     for name, run in runs.items():

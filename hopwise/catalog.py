@@ -189,6 +189,29 @@ def eccentricity(spark: SparkSession, d: str) -> DataFrame:
 
 register("eccentricity", eccentricity, walk_sql(PS, _TOP.format(n=8)) + " SELECT s, max(dist) AS ecc FROM dist GROUP BY s")
 
+register("bfs_broadcast_64", lambda s, d: (lambda g: S.bfs_broadcast(g, C.pick_landmarks(g, 64)))(_ps(s, d)), walk_sql(PS, _TOP.format(n=64)) + " SELECT s, v, dist FROM dist")
+_FORESTS = {"customer_order": 4, "nation_region": 7, "turn_path": 40}
+
+
+def component_sizes(spark: SparkSession, d: str) -> DataFrame:
+    """graph, n (vertices of a component), components: how many components there are of each size."""
+    out = None
+    for name in _FORESTS:
+        sizes = S.components(G.BUILDERS[name](spark, d)).groupBy("component").agg(F.count("*").alias("n"))
+        one = sizes.groupBy("n").agg(F.count("*").alias("components")).select(F.lit(name).alias("graph"), "n", "components")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+register(
+    "component_sizes",
+    component_sizes,
+    " UNION ALL ".join(
+        f"SELECT '{name}' AS graph, n, count(*) AS components FROM (SELECT least, count(*) AS n FROM (SELECT v, min(s) AS least FROM ({walk_sql(name, 'src AS (SELECT v AS s FROM deg)', bound=bound)} SELECT s, v FROM dist) GROUP BY v) GROUP BY least) GROUP BY n"
+        for name, bound in _FORESTS.items()
+    ),
+)
+
 # ---- cluster sweeps
 
 

@@ -84,5 +84,6 @@ def relative_times(rows: DataFrame, base_d: int = 2) -> DataFrame:
 
 def shuffled_bytes(spark) -> int:
     """Bytes that the stages of this session have written to shuffles so far."""
-    stages = spark.sparkContext._jsc.sc().statusStore().stageList(None)
+    sc = spark.sparkContext
+    stages = sc._jsc.sc().statusStore().stageList(None, False, False, sc._gateway.new_array(sc._jvm.double, 0), sc._jvm.java.util.ArrayList())
     return sum(stages.apply(i).shuffleWriteBytes() for i in range(stages.size()))

@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from ..functions import masks
-from ..plans.store import RoundLog, written
+from ..plans.store import RoundLog, forget, written
 from ..sources.graphs import HopGraph
 
 #: "auto" pulls while the frontier's edges are more than this share of the edges of vertices not yet met
@@ -176,6 +176,73 @@ def bfs(g: HopGraph, source: int, mode: str = "push", stop_after: int | None = N
     return bfs_each(g, spark.createDataFrame([(source,)], "s long"), mode, stop_after).select("v", "dist")
 
 
+def bfs_broadcast(g: HopGraph, sources: DataFrame, most_edges: int = 5_000_000) -> DataFrame:
+    """(s, v, dist) on a graph that fits every task: the edges are broadcast, each source is searched by one task.
+
+    Only for graphs of ``most_edges`` at most (16 bytes an edge); a larger one is refused, ``bfs_each`` is for those.
+    """
+    import numpy as np
+    import pandas as pd
+
+    if g.edges.limit(most_edges + 1).count() > most_edges:
+        raise ValueError(f"more than {most_edges} edges: use bfs_each")
+    rows = g.edges.select("src", "dst").toPandas()
+    ids, ends = np.unique(rows.to_numpy(np.int64).ravel(), return_inverse=True)
+    src, dst = ends[::2], ends[1::2]
+    order = np.argsort(src, kind="stable")
+    starts = np.searchsorted(src[order], np.arange(len(ids) + 1))
+    shared = g.edges.sparkSession.sparkContext.broadcast((ids, starts, dst[order]))
+
+    def search(frames):
+        ids, starts, heads = shared.value
+        for frame in frames:
+            for s in frame["s"].to_numpy(np.int64):
+                dist = np.full(len(ids), -1, np.int32)
+                at = np.searchsorted(ids, s)
+                if at == len(ids) or ids[at] != s:
+                    yield pd.DataFrame({"s": [s], "v": [s], "dist": [0]})
+                    continue
+                front, depth = np.array([at]), 0
+                dist[at] = 0
+                while len(front):
+                    depth += 1
+                    sizes = starts[front + 1] - starts[front]
+                    offsets = np.arange(sizes.sum()) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+                    near = heads[np.repeat(starts[front], sizes) + offsets]
+                    front = np.unique(near[dist[near] < 0])
+                    dist[front] = depth
+                met = dist >= 0
+                yield pd.DataFrame({"s": s, "v": ids[met], "dist": dist[met]})
+
+    own = sources.select(F.col("s").cast("long").alias("s")).distinct()
+    return own.mapInPandas(search, "s long, v long, dist int")
+
+
+def components(g: HopGraph) -> DataFrame:
+    """v, component: the least vertex of the (weakly) connected component, by stars that are drawn to their least neighbours.
+
+    Two aggregations a turn, and about log(n) turns, whatever the diameter.
+    """
+    ends = g.edges.select("src", "dst")
+    now = written(ends.select(F.greatest("src", "dst").alias("a"), F.least("src", "dst").alias("b")).distinct(), "stars")
+    before = None
+    while True:
+        both = now.unionByName(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
+        least = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
+        large = both.join(least, "a").where(F.col("b") > F.col("a")).select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+        low = large.groupBy("a").agg(F.min("b").alias("m"))
+        small = large.join(low, "a").select(F.explode(F.array(F.struct(F.col("a").alias("x"), F.col("m").alias("y")), F.struct(F.col("b").alias("x"), F.col("m").alias("y")))).alias("e"))
+        after = written(small.select(F.col("e.x").alias("a"), F.col("e.y").alias("b")).where("a <> b").distinct(), "stars")
+        state = after.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
+        forget(now)
+        now = after
+        if state == before:
+            break
+        before = state
+    found = now.select(F.col("a").alias("v"), F.col("b").alias("component"))
+    return g.vertices.select("v").join(found, "v", "left").select("v", F.coalesce("component", "v").alias("component"))
+
+
 def bfs_sequential(g: HopGraph, sources: list[int]) -> DataFrame:
     """One search after another: the slow baseline."""
     out = None
