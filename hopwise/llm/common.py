@@ -80,9 +80,7 @@ def hot_join(rows: DataFrame, sizes: DataFrame, keys: list[str], size: str, spre
     sizes = written(sizes, "sizes")
     total = sizes.agg(F.sum(size)).first()[0] or 0
     hot = [r["h"] for r in sizes.where(F.col(size) > max(1, total // 512)).select(F.xxhash64(*keys).alias("h")).collect()]
-    if not hot:
-        return rows.join(sizes, keys)
-    is_hot = F.xxhash64(*keys).isin(hot)
+    is_hot = F.xxhash64(*keys).isin(hot or [0])  # one plan, with hot keys or without
     salt = F.when(is_hot, F.pmod(F.xxhash64(*spread), F.lit(salts)).cast("int")).otherwise(0)
     copies = F.when(is_hot, F.sequence(F.lit(0), F.lit(salts - 1))).otherwise(F.array(F.lit(0)))
     return rows.withColumn("_salt", salt).join(sizes.withColumn("_salt", F.explode(copies)), [*keys, "_salt"]).drop("_salt")
