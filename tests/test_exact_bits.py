@@ -46,7 +46,7 @@ def check(spark, case, r, first, trim, **how):
     return g
 
 
-@pytest.mark.parametrize(("r", "first", "trim"), [(0, 20, False)])
+@pytest.mark.parametrize(("r", "first", "trim"), [(0, 20, False), (2, 20, False)])
 def test_a_task_searches_from_a_word_of_hubs(spark, case, r, first, trim, monkeypatch):
     """No row for a pair of hub and vertex goes along the edges."""
     monkeypatch.setattr(T, "sent_along", None)
