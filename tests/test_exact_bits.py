@@ -46,14 +46,14 @@ def check(spark, case, r, first, trim, **how):
     return g
 
 
-@pytest.mark.parametrize(("r", "first", "trim"), [(0, 20, False), (2, 20, False)])
+@pytest.mark.parametrize(("r", "first", "trim"), [(0, 20, False), (2, 20, False), (2, 70, True)])
 def test_a_task_searches_from_a_word_of_hubs(spark, case, r, first, trim, monkeypatch):
     """No row for a pair of hub and vertex goes along the edges."""
     monkeypatch.setattr(T, "sent_along", None)
     check(spark, case, r, first, trim)
 
 
-@pytest.mark.parametrize(("r", "first", "trim"), [(0, 20, False)])
+@pytest.mark.parametrize(("r", "first", "trim"), [(0, 20, False), (2, 70, True)])
 def test_graphs_above_the_bound_are_searched_by_plans(spark, case, r, first, trim, monkeypatch):
     """A round has a row for a vertex and 64 hubs at most."""
     append, rows = RoundLog.append, []
