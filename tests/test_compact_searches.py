@@ -39,7 +39,7 @@ def test_steps_give_what_the_whole_gives(monkeypatch):
     assert K.spread(np.array([5]), starts, heads, [few])[0].tolist() == [few[5] if 5 in heads[starts[i] : starts[i + 1]] else 0 for i in range(80)]
 
 
-@pytest.mark.parametrize("name", ["landmark_budget_eps", "landmark_distortion_profile", "landmark_exact_hits"])
+@pytest.mark.parametrize("name", ["landmark_budget_eps", "landmark_distortion_profile", "landmark_exact_hits", "landmark_diameter_eps"])
 def test_graded_queries_on_a_broadcast_graph(spark, name, monkeypatch):
     """No components, no keyed search and one sweep for all budgets of a width."""
     sweep, sweeps = L.cluster_sweep, []
