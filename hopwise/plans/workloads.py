@@ -104,7 +104,7 @@ def _index_rows(g: HopGraph, name: str, variants: list[tuple[int, int, int]], pa
             n = marks.count()
         else:
             chosen = C.pick_cohorts(g, r, w, d)
-            index, built = M.timed(lambda: L.LandmarkIndex.build(g, chosen, d, "complement"))  # noqa: B023
+            index, built = M.timed(lambda: L.LandmarkIndex.build(g, chosen, d, "complement", mode="push"))  # noqa: B023
             answers = index.query
             n = chosen.count()
         eps = M.mean_excess(answers(sample), truth).first()["eps"]
@@ -139,7 +139,7 @@ def local_search_sweep(spark: SparkSession, g: HopGraph, name: str, taus: tuple[
     sample = L.sample_pairs(g, pairs).persist()
     truth = L.exact_pairs(g, sample).persist()
     chosen = C.pick_cohorts(g, 2, 64)
-    index = L.LandmarkIndex.build(g, chosen, 2)
+    index = L.LandmarkIndex.build(g, chosen, 2, mode="push")
     left = chosen.select("s") if skip else None
     rows = []
     for tau in (0, *taus):
