@@ -24,6 +24,9 @@ At any size
   against all nodes of the bucket in other components whose places allow a link, and leaves the bucket: every link of
   a pick has been tried. This goes on until a bucket is of one component or small, so no link of different components
   that share a bucket is lost, and a turn makes at most (picks x nodes) pairs, dealt over tasks by the node.
+* Texts stay where they are unless their node shares a bucket: rows are sifted by a broadcast table of bits (at most 2^20
+  words) before they are joined exactly. Pairs to verify are written first, so that where they are few the texts
+  are not dealt again.
 * Counts combine before the shuffle; rows of hot copies, hot classes and hot buckets are dealt over tasks by a salt.
   Of a pair to verify one text moves; the other is sent once for some hundreds of pairs.
 * Components are labelled by alternating neighbour minima on tables in the shared folder; the driver sees counts.
@@ -180,6 +183,21 @@ def banded(docs: DataFrame, bands: int, rows: int) -> DataFrame:
     return made.withColumn("doc_id", id_back(docs, "doc_id"))
 
 
+def sifted(rows: DataFrame, wanted: DataFrame, key: str = "node", most: int = 1 << 20) -> DataFrame:
+    """All of ``rows`` whose ``key`` is one of ``wanted``'s, and few others, without a shuffle of ``rows``.
+
+    A key sets a bit of a table of as many words of 64 bits as there are keys, ``most`` at most: it is broadcast. One
+    that is full lets more rows through, and none is lost.
+    """
+    n = min(max(wanted.count(), 1), most)
+    h = F.xxhash64(key)
+    word, bit = F.pmod(F.shiftrightunsigned(h, 6), F.lit(n)), F.pmod(h, F.lit(64)).cast("int")
+    one = F.call_function("shiftleft", F.lit(1).cast("long"), bit)
+    words = wanted.select(word.alias("_word"), one.alias("_bit")).groupBy("_word").agg(F.bit_or("_bit").alias("_bits"))
+    met = rows.withColumn("_word", word).join(F.broadcast(words), "_word").where(F.col("_bits").bitwiseAND(one) != 0)
+    return met.select(*rows.columns)
+
+
 def verified(pairs: DataFrame, texts: DataFrame, least: float, each: int = 256) -> DataFrame:
     """The rows of ``pairs(a, b)`` whose texts are similar enough.
 
@@ -201,7 +219,7 @@ def verified(pairs: DataFrame, texts: DataFrame, least: float, each: int = 256)
     sizes = written(pairs.groupBy("a").agg(F.count("*").alias("size")), "pair-counts")
     parts = F.ceil(F.col("size") / each).cast("int")
     heads = sizes.join(texts.withColumnRenamed("node", "a"), "a").select("a", F.explode(F.sequence(F.lit(1), parts)).alias("part"), F.lit(None).cast("binary").alias("b"), "text")
-    dealt = hot_join(pairs, sizes, ["a"], "size", ["b"]).select("a", (F.pmod(F.xxhash64("b"), parts) + 1).cast("int").alias("part"), "b")
+    dealt = written(hot_join(pairs, sizes, ["a"], "size", ["b"]).select("a", (F.pmod(F.xxhash64("b"), parts) + 1).cast("int").alias("part"), "b"), "dealt")
     rows = dealt.join(texts.withColumnRenamed("node", "b"), "b").select("a", "part", "b", "text")
     both = heads.unionByName(rows).repartition("a", "part").sortWithinPartitions("a", "part", F.col("b").asc_nulls_first())
     return both.select("a", "b", "text").mapInPandas(compare, "a binary, b binary")
@@ -337,10 +355,12 @@ def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 32, rows:
     keyed = nodes.select("node", "id", F.explode("bands").alias("bucket"))
     shared = keyed.groupBy("bucket").agg(F.min("node").alias("low"), F.max("node").alias("high"), F.count("*").alias("size")).where("low <> high").select("bucket", "size")
     members = written(hot_join(keyed, shared, ["bucket"], "size", ["node"]).select("bucket", "node", "id"), "members")
-    wanted = members.select("node", "id").distinct()
-    own = docs.select(node_of().alias("node"), F.col("doc_id").alias("id"), F.coalesce("text", F.lit("")).alias("text"))
-    same = (own.node == wanted.node) & own.id.eqNullSafe(wanted.id)
-    texts = written(own.join(wanted, same, "left_semi").groupBy("node").agg(F.first("text").alias("text")), "texts")
+    wanted = written(members.select("node", "id").distinct(), "wanted")
+    own = sifted(docs.select(node_of().alias("node"), F.col("doc_id").alias("id"), F.coalesce("text", F.lit("")).alias("text")), wanted)
+    known = wanted.withColumnsRenamed({"node": "_node", "id": "_id"})
+    same = (F.col("node") == F.col("_node")) & F.col("id").eqNullSafe(F.col("_id"))
+    # a semi-join would be pushed below the sieve
+    texts = written(own.join(known, same).groupBy("node").agg(F.first("text").alias("text")), "texts")
     of_nodes = written(rooted(nodes.select("node", "id", "copies"), links(members.select("bucket", "node"), texts, least)), "of-nodes")
     classes = of_nodes.groupBy("root").agg(F.min("id").alias("class_id"), F.count("*").alias("size"))
     named = hot_join(of_nodes.select("node", "root", "copies"), classes, ["root"], "size", ["node"]).select("node", "root", "class_id", "copies")
