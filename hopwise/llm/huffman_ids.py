@@ -17,7 +17,7 @@ from __future__ import annotations
 
 import uuid
 import zlib
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pandas as pd
@@ -29,6 +29,8 @@ from .common import forget, id_as_string, id_back, shared_folder, written
 from .tokens import tokenizer
 
 LIMIT, EVERY, BLOCK_IDS = 18, 128, 65_536
+#: blocks that a task makes or reads at a time, and the ids in them at most (or one block)
+AT_ONCE, IDS_AT_ONCE = 16, 1 << 20
 
 
 def code_lengths(counts: np.ndarray, limit: int = LIMIT) -> np.ndarray:
@@ -73,11 +75,9 @@ class Codebook:
         self.code_of, self.length_of = np.zeros(size, np.uint64), np.zeros(size, np.int64)
         self.code_of[self.ids], self.length_of[self.ids] = codes, self.lengths
         spans = 1 << (self.limit - self.lengths)
-        self.table_id = np.zeros(1 << self.limit, np.uint32)
-        self.table_length = np.ones(1 << self.limit, np.int64)
-        filled = int(spans.sum())
-        self.table_id[:filled] = np.repeat(self.ids, spans)
-        self.table_length[:filled] = np.repeat(self.lengths, spans)
+        # one look-up for both: the id above the six bits of its code's length
+        self.table = np.ones(1 << self.limit, np.uint32 if size <= 1 << 26 else np.uint64)
+        self.table[: int(spans.sum())] = np.repeat(self.ids << 6 | self.lengths, spans)
 
     def encode(self, ids: np.ndarray, every: int = EVERY) -> tuple[bytes, np.ndarray]:
         lengths = self.length_of[ids]
@@ -91,16 +91,38 @@ class Codebook:
         return words.astype(np.uint32).astype(">u4").tobytes()[: (bits + 7) // 8], offsets[::every].copy()
 
     def decode(self, payload: bytes, checkpoints: np.ndarray, n_ids: int, every: int = EVERY) -> np.ndarray:
-        data = np.frombuffer(payload + b"\0" * 8, np.uint8).astype(np.uint32)
+        return self.decode_all([payload], [checkpoints], [n_ids], every)[0]
+
+    def decode_all(self, payloads: list[bytes], checkpoints: list[np.ndarray], n_ids: list[int], every: int = EVERY) -> list[np.ndarray]:
+        """The ids of blocks, all of their stretches side by side."""
+        padded = [x + b"\0" * 8 for x in payloads]
+        data = np.frombuffer(b"".join(padded), np.uint8).astype(np.uint32)
         window = data[:-3] << np.uint32(24) | data[1:-2] << np.uint32(16) | data[2:-1] << np.uint32(8) | data[3:]
-        at = np.asarray(checkpoints, np.int64).copy()
+        begins = np.cumsum([0, *map(len, padded)])
+        at = np.concatenate([np.asarray(c, np.int64) + 8 * b for c, b in zip(checkpoints, begins, strict=False)])
         out = np.empty((every, len(at)), np.uint32)
         drop, last = np.uint32(32 - self.limit), len(window) - 1
+        low, six = self.table.dtype.type(63), self.table.dtype.type(6)
         for k in range(every):
-            seen = (window[np.minimum(at >> 3, last)] << (at & 7).astype(np.uint32)) >> drop
-            out[k] = self.table_id[seen]
-            at += self.table_length[seen]
-        return out.T.reshape(-1)[:n_ids]
+            seen = self.table[(window[np.minimum(at >> 3, last)] << (at & 7).astype(np.uint32)) >> drop]
+            out[k] = seen >> six
+            at += (seen & low).astype(np.int64)
+        ends = np.cumsum([0, *map(len, checkpoints)])
+        return [out[:, a:b].T.reshape(-1)[:n] for a, b, n in zip(ends, ends[1:], n_ids, strict=False)]
+
+
+def together(n_ids: Iterable[int]) -> Iterator[list[int]]:
+    """Places of blocks that are read at a time."""
+    some: list[int] = []
+    ids = 0
+    for i, n in enumerate(n_ids):
+        if some and (len(some) >= AT_ONCE or ids + n > IDS_AT_ONCE):
+            yield some
+            some, ids = [], 0
+        some.append(i)
+        ids += n
+    if some:
+        yield some
 
 
 def token_table(docs: DataFrame, path: str, end_id: int) -> DataFrame:
@@ -152,12 +174,16 @@ def write_ids(docs: DataFrame, path: str, to: str | None = None, end_id: int = 1
         codes, part, block = Codebook(*book.value), TaskContext.get().partitionId(), 0
         doc_ids: list = []
         arrays: list[np.ndarray] = []
-        held = 0
+        rows: list[tuple] = []
+        held = ready = 0
 
-        def row() -> pd.DataFrame:
+        def row() -> tuple:
             all_ = np.concatenate(arrays)
             payload, checkpoints = codes.encode(all_, every)
-            return pd.DataFrame({"part": [part], "block": [block], "doc_ids": [doc_ids], "lengths": [[len(a) for a in arrays]], "n_ids": [len(all_)], "checkpoints": [checkpoints], "payload": [payload]})
+            return part, block, doc_ids, [len(a) for a in arrays], len(all_), checkpoints, payload
+
+        def frame_of(rows: list[tuple]) -> pd.DataFrame:
+            return pd.DataFrame(dict(zip(("part", "block", "doc_ids", "lengths", "n_ids", "checkpoints", "payload"), map(list, zip(*rows, strict=True)), strict=True)))
 
         for frame in frames:
             for doc_id, data in zip(frame["doc_id"], frame["ids"], strict=True):
@@ -165,10 +191,16 @@ def write_ids(docs: DataFrame, path: str, to: str | None = None, end_id: int = 1
                 arrays.append(np.frombuffer(data, kind))
                 held += len(arrays[-1])
                 if held >= block_ids:
-                    yield row()
+                    rows.append(row())
+                    ready += held
                     doc_ids, arrays, held, block = [], [], 0, block + 1
+                    if len(rows) >= AT_ONCE or ready >= IDS_AT_ONCE:
+                        yield frame_of(rows)
+                        rows, ready = [], 0
         if arrays:
-            yield row()
+            rows.append(row())
+        if rows:
+            yield frame_of(rows)
 
     schema = "part int, block long, doc_ids array<string>, lengths array<long>, n_ids long, checkpoints array<long>, payload binary"
     order = [F.col("doc_id").asc_nulls_first(), F.xxhash64("ids").asc(), F.col("ids").asc()]  # an id that many rows repeat is split by its ids' hash
@@ -188,12 +220,19 @@ def read_ids(spark: SparkSession, folder: str, every: int = EVERY, keep_ids: boo
     def decode(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         codes = Codebook(*shared.value)
         for frame in frames:
-            for part, block, doc_ids, lengths, n, checkpoints, payload in frame.itertuples(index=False):
-                ids = codes.decode(payload, checkpoints, n, every).astype("<u4")
-                lengths = np.asarray(lengths, np.int64)
-                within = np.cumsum(lengths) - lengths
-                data = [ids[s : s + k].tobytes() for s, k in zip(within, lengths, strict=True)]
-                out = pd.DataFrame({"doc_id": pd.Series(list(doc_ids), dtype=object), "part": part, "block": block, "within": within, "n_tokens": lengths, "ids_crc32": [zlib.crc32(x) for x in data]})
+            for some in together(frame["n_ids"]):
+                blocks = frame.iloc[some]
+                parts: list[list[np.ndarray]] = [[] for _ in range(5)]
+                data: list[bytes] = []
+                decoded = codes.decode_all(list(blocks["payload"]), list(blocks["checkpoints"]), list(blocks["n_ids"]), every)
+                for part, block, doc_ids, lengths, ids in zip(blocks["part"], blocks["block"], blocks["doc_ids"], blocks["lengths"], decoded, strict=True):
+                    ids, lengths = ids.astype("<u4"), np.asarray(lengths, np.int64)
+                    within = np.cumsum(lengths) - lengths
+                    data += [ids[s : s + k].tobytes() for s, k in zip(within, lengths, strict=True)]
+                    for held, x in zip(parts, (np.asarray(doc_ids, object), np.full(len(lengths), part), np.full(len(lengths), block), within, lengths), strict=True):
+                        held.append(x)
+                doc_ids, part, block, within, lengths = map(np.concatenate, parts)
+                out = pd.DataFrame({"doc_id": doc_ids, "part": part, "block": block, "within": within, "n_tokens": lengths, "ids_crc32": [zlib.crc32(x) for x in data]})
                 yield out.assign(ids=data) if keep_ids else out
 
     read = blocks.select("part", "block", F.col("doc_ids").cast("array<string>").alias("doc_ids"), "lengths", "n_ids", "checkpoints", "payload")
