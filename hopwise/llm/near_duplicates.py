@@ -183,14 +183,14 @@ def banded(docs: DataFrame, bands: int, rows: int) -> DataFrame:
     return made.withColumn("doc_id", id_back(docs, "doc_id"))
 
 
-def sifted(rows: DataFrame, wanted: DataFrame, key: str = "node", most: int = 1 << 20) -> DataFrame:
-    """All of ``rows`` whose ``key`` is one of ``wanted``'s, and few others, without a shuffle of ``rows``.
+def sifted(rows: DataFrame, wanted: DataFrame, key: str | list[str] = "node", most: int = 1 << 20) -> DataFrame:
+    """All of ``rows`` whose ``key`` (one column or several) is one of ``wanted``'s, and few others, without a shuffle of ``rows``.
 
     A key sets a bit of a table of as many words of 64 bits as there are keys, ``most`` at most: it is broadcast. One
     that is full lets more rows through, and none is lost.
     """
     n = min(max(wanted.count(), 1), most)
-    h = F.xxhash64(key)
+    h = F.xxhash64(*([key] if isinstance(key, str) else key))
     word, bit = F.pmod(F.shiftrightunsigned(h, 6), F.lit(n)), F.pmod(h, F.lit(64)).cast("int")
     one = F.call_function("shiftleft", F.lit(1).cast("long"), bit)
     words = wanted.select(word.alias("_word"), one.alias("_bit")).groupBy("_word").agg(F.bit_or("_bit").alias("_bits"))
@@ -356,11 +356,13 @@ def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 32, rows:
     shared = keyed.groupBy("bucket").agg(F.min("node").alias("low"), F.max("node").alias("high"), F.count("*").alias("size")).where("low <> high").select("bucket", "size")
     members = written(hot_join(keyed, shared, ["bucket"], "size", ["node"]).select("bucket", "node", "id"), "members")
     wanted = written(members.select("node", "id").distinct(), "wanted")
-    own = sifted(docs.select(node_of().alias("node"), F.col("doc_id").alias("id"), F.coalesce("text", F.lit("")).alias("text")), wanted)
-    known = wanted.withColumnsRenamed({"node": "_node", "id": "_id"})
-    same = (F.col("node") == F.col("_node")) & F.col("id").eqNullSafe(F.col("_id"))
+    # a node's text is that of its row of the least id: copies are sifted out, and rows stay where the join has dealt them
+    keys = ["node", "_id", "_none"]
+    keyed_by = lambda df: df.withColumns({"_id": F.coalesce(F.col("id").cast("string"), F.lit("")), "_none": F.col("id").isNull()}).drop("id")
+    wanted = keyed_by(wanted)
+    own = sifted(keyed_by(docs.select(node_of().alias("node"), F.col("doc_id").alias("id"), F.coalesce("text", F.lit("")).alias("text"))), wanted, keys)
     # a semi-join would be pushed below the sieve
-    texts = written(own.join(known, same).groupBy("node").agg(F.first("text").alias("text")), "texts")
+    texts = written(own.join(wanted, keys).groupBy(*keys).agg(F.first("text").alias("text")).select("node", "text"), "texts")
     of_nodes = written(rooted(nodes.select("node", "id", "copies"), links(members.select("bucket", "node"), texts, least)), "of-nodes")
     classes = of_nodes.groupBy("root").agg(F.min("id").alias("class_id"), F.count("*").alias("size"))
     named = hot_join(of_nodes.select("node", "root", "copies"), classes, ["root"], "size", ["node"]).select("node", "root", "class_id", "copies")
